@@ -133,36 +133,28 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
     kind = df.schema[key].dataType.simpleString()
     source = df.select(F.col(key).alias("id"), text_or_empty(text).alias("text"))
 
-    def name_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            high, low = [], []
-            for grams, text in zip(shingle_sets(batch.column(1), n), batch.column(1)):
-                name = set_name(grams, text)
-                high.append(name[0])
-                low.append(name[1])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(high, pa.int64()), pa.array(low, pa.int64()), batch.column(2)], ["id", "high", "low", "text_hash"])
-
-    named = source.select("id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(name_sets, f"id {kind}, high long, low long, text_hash long")
-    named = written(named, "near-names")
-    groups = written(named.groupBy("high", "low").agg(F.min("id").alias("rep"), F.count("*").alias("n_copies")), "near-groups")
-
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[tuple[int, int]] = set()
         for batch in batches:
             high, low, sizes, keys = [], [], [], []
-            for grams in shingle_sets(batch.column(0), n):
-                if not len(grams) or (name := set_name(grams, None)) in met:
-                    continue
-                met.add(name)
+            for grams, text in zip(shingle_sets(batch.column(1), n), batch.column(1)):
+                name = set_name(grams, text)
                 high.append(name[0])
                 low.append(name[1])
                 sizes.append(len(grams))
-                keys.append(band_keys(grams, factors, bands, rows))
-            yield pa.RecordBatch.from_arrays([pa.array(high, pa.int64()), pa.array(low, pa.int64()), pa.array(sizes, pa.int32()), pa.array(keys, pa.list_(pa.int64()))], ["high", "low", "size", "bands"])
-
-    signed = source.select("text").mapInArrow(sign, "high long, low long, size int, bands array<long>").dropDuplicates(["high", "low"])
+                keys.append(None if name in met or not len(grams) else band_keys(grams, factors, bands, rows))
+                met.add(name)
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), batch.column(2), pa.array(high, pa.int64()), pa.array(low, pa.int64()), pa.array(sizes, pa.int32()), pa.array(keys, pa.list_(pa.int64()))],
+                ["id", "text_hash", "high", "low", "size", "bands"],
+            )
+
+    signed = source.select("id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(sign, f"id {kind}, text_hash long, high long, low long, size int, bands array<long>")
+    signed = written(signed, "near-signatures")
+    named = signed.select("id", "high", "low", "text_hash")
+    groups = written(named.groupBy("high", "low").agg(F.min("id").alias("rep"), F.count("*").alias("n_copies")), "near-groups")
     node = F.xxhash64("high", "low").alias("node")
-    signed = written(signed.select(node, "size", "bands"), "near-signatures")
+    signed = signed.where("bands IS NOT NULL").select(node, "size", "bands").dropDuplicates(["node"])
     exploded = signed.select("node", "size", F.explode("bands").alias("band"))
     shared = exploded.groupBy("band").agg(F.count("*").alias("members")).where("members > 1").select("band")
     buckets = WrittenTable(exploded.join(shared, "band"), "near-buckets")
