@@ -82,7 +82,7 @@ def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, key: str
     if edges.df.isEmpty():
         judged = placed.withColumn("group_verdict", F.lit(None).cast("string"))
     else:
-        members = written(connected_components(edges.df), "alias-members")
+        members = written(connected_components(edges.df, one_task_edges=0), "alias-members")
         own = members.withColumn("own", best_rule(host_of(F.col("node")), path_of(F.col("node")), rules)["verdict"])
         groups = own.groupBy("component").agg(F.when(F.max(F.col("own") == "allow"), "allow").when(F.max(F.col("own") == "block"), "block").alias("group_verdict"))
         decided = written(members.join(groups, "component").select(F.col("node").alias("url"), "group_verdict").where("group_verdict IS NOT NULL"), "alias-verdicts")
