@@ -1,0 +1,97 @@
+"""DuckDB SQL that recomputes results on the twin family; projections enter as values."""
+
+from __future__ import annotations
+
+from objann.operators.hashing import Projections
+
+QUERY_OBJECTS = (8, 98, 23, 77, 17, 80)
+
+POINTS = """e AS (
+  SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(CAST(x AS DOUBLE) * 65536 + 0.5) AS BIGINT)) AS v FROM embeddings WHERE vec_id < 500
+), pts AS (
+  SELECT CAST(t.id // 12 AS BIGINT) AS object_id, CAST(t.id AS BIGINT) AS point_id,
+         list_transform(range(1, 65), lambda i: 20 * a.v[i] + 3 * b.v[i] + 7 * c.v[i]) AS vec
+  FROM range(1200) t(id) JOIN e a ON a.vec_id = (t.id // 12) // 2 JOIN e b ON b.vec_id = 400 + (t.id // 12) % 2
+  JOIN e c ON c.vec_id = (12 * (t.id // 12) + 7 * (t.id % 12) + 100) % 500
+)"""
+
+PAIRS = f"""{POINTS}, qp AS (
+  SELECT object_id AS q_obj, point_id AS q_id, vec AS qv FROM pts WHERE object_id IN {QUERY_OBJECTS}
+), pairs AS (
+  SELECT q_obj, q_id, object_id, point_id, CAST(list_sum(list_transform(range(1, 65), lambda i: (qv[i] - vec[i]) * (qv[i] - vec[i]))) AS BIGINT) AS sq_dist FROM qp, pts
+)"""
+
+
+def distances(n: int, d: int) -> str:
+    return f"""{PAIRS}, numbered AS (
+  SELECT q_obj, object_id, sq_dist, row_number() OVER (PARTITION BY q_obj, object_id ORDER BY sq_dist) AS rn,
+         greatest(1, (count(*) OVER (PARTITION BY q_obj, object_id) * {n} + {d - 1}) // {d}) AS rank_in_pairs FROM pairs
+), gd AS (SELECT q_obj, object_id, rank_in_pairs, sq_dist FROM numbered WHERE rn = rank_in_pairs)"""
+
+
+def truth(n: int, d: int, k: int) -> str:
+    return f"""{distances(n, d)}, truth AS (
+  SELECT q_obj, CAST(row_number() OVER (PARTITION BY q_obj ORDER BY sq_dist, object_id) AS INTEGER) AS rank, object_id, sq_dist FROM gd QUALIFY rank <= {k}
+)"""
+
+
+def linear(k: int) -> str:
+    return f"""{PAIRS}, knn AS (
+  SELECT q_obj, q_id, CAST(row_number() OVER (PARTITION BY q_obj, q_id ORDER BY sq_dist, object_id, point_id) AS INTEGER) AS rank, object_id, point_id, sq_dist FROM pairs QUALIFY rank <= {k}
+)"""
+
+
+def floor_div(v: str, w: str) -> str:
+    return f"(({v}) - ((({v}) % ({w})) + ({w})) % ({w})) // ({w})"
+
+
+def hashes(p: Projections) -> str:
+    rows = ", ".join(f"({j + 1}, {a.tolist()}::BIGINT[], {int(b)}::BIGINT)" for j, (a, b) in enumerate(zip(p.a, p.b)))
+    dot = "CAST(list_sum(list_transform(range(1, 65), lambda i: vec[i] * a[i])) AS BIGINT)"
+    h = floor_div(f"{dot} + b", str(p.width)) if p.params.kind == "static" else dot
+    return f"pj(proj, a, b) AS (VALUES {rows}), h AS (SELECT object_id, point_id, proj, CAST({h} AS BIGINT) AS bucket FROM pts, pj)"
+
+
+def first_level(p: Projections) -> str:
+    out = "NULL"
+    for t in range(p.levels, -1, -1):
+        r = int(p.params.c) ** t
+        same = f"{floor_div('q.bucket', str(r))} = {floor_div('x.bucket', str(r))}" if p.params.kind == "static" else f"2 * abs(q.bucket - x.bucket) <= {p.width * r}"
+        out = f"CASE WHEN {same} THEN {t} ELSE {out} END"
+    return out
+
+
+def search(p: Projections, n: int, d: int, k: int, n_objects: int = 100, eps=(1, 5), mode: str = "carry", step: int = 1) -> str:
+    """CTEs up to ``stops`` and ``inside`` of the whole search as order statistics."""
+    m, threshold = p.params.m, p.params.l
+    num, den = (eps[1] - eps[0]) * n, eps[1] * d
+    enough = k + 25
+    last = p.levels * (m + 1) + m
+    if mode == "carry":
+        events = f"""events AS (SELECT q_obj, object_id, -1 AS turn, key FROM (
+          SELECT q_obj, object_id, t * {m + 1} + proj AS key, row_number() OVER (PARTITION BY q_id, point_id ORDER BY t * {m + 1} + proj) AS at FROM firsts WHERE t IS NOT NULL) WHERE at = {threshold})"""
+    else:
+        events = f"""events AS (SELECT q_obj, object_id, turn, turn * {m + 1} + proj AS key FROM (
+          SELECT q_obj, object_id, l.turn, proj, row_number() OVER (PARTITION BY q_id, point_id, l.turn ORDER BY proj) AS at FROM firsts, range({p.levels + 1}) l(turn) WHERE t <= l.turn) WHERE at = {threshold})"""
+    reach = str(p.levels + 1)
+    for t in range(p.levels, -1, -1):
+        reach = f"CASE WHEN sq_dist <= {(step * int(p.params.c) ** t * 163840) ** 2} THEN {t} ELSE {reach} END"
+    return f"""{distances(n, d)}, {hashes(p)}, firsts AS (
+  SELECT q.object_id AS q_obj, q.point_id AS q_id, x.object_id, x.point_id, q.proj, {first_level(p)} AS t FROM h q JOIN h x ON q.proj = x.proj WHERE q.object_id IN {QUERY_OBJECTS}
+), {events}, upto AS (
+  SELECT q_obj, object_id, key, row_number() OVER (PARTITION BY q_obj, object_id, turn ORDER BY key) AS n FROM events
+), keys AS (SELECT q_obj, object_id, min(key) AS key FROM upto WHERE n * {den} >= 144 * {num} GROUP BY 1, 2
+), t1 AS (SELECT q_obj, key AS t1 FROM (SELECT *, row_number() OVER (PARTITION BY q_obj ORDER BY key, object_id) AS at FROM keys) WHERE at = {enough}
+), near AS (SELECT q_obj, object_id, greatest(key // {m + 1}, {reach}) AS level FROM keys JOIN gd USING (q_obj, object_id)
+), t2 AS (SELECT q_obj, level * {m + 1} + {m} AS t2 FROM (SELECT *, row_number() OVER (PARTITION BY q_obj ORDER BY level, object_id) AS at FROM near) WHERE at = {k} AND level <= {p.levels}
+), stops AS (
+  SELECT q_obj, CASE WHEN t1 IS NULL AND t2 IS NULL THEN 'exhausted' WHEN coalesce(t1, {last + 1}) <= coalesce(t2, {last + 1}) THEN 'T1' ELSE 'T2' END AS status,
+         least(coalesce(t1, {last}), coalesce(t2, {last})) AS stop
+  FROM (SELECT DISTINCT q_obj FROM qp) LEFT JOIN t1 USING (q_obj) LEFT JOIN t2 USING (q_obj)
+), inside AS (SELECT q_obj, object_id, sq_dist FROM keys JOIN stops USING (q_obj) JOIN gd USING (q_obj, object_id) WHERE key <= stop
+), found AS (SELECT q_obj, CAST(row_number() OVER (PARTITION BY q_obj ORDER BY sq_dist, object_id) AS INTEGER) AS rank, object_id, sq_dist FROM inside QUALIFY rank <= {k})"""
+
+
+def stats(p: Projections) -> str:
+    m = p.params.m
+    return f"SELECT q_obj, status, CAST(stop // {m + 1} AS INTEGER) AS stop_level, CAST(stop % {m + 1} AS INTEGER) AS stop_proj, coalesce(n, 0) AS n_candidates FROM stops LEFT JOIN (SELECT q_obj, count(*) AS n FROM inside GROUP BY 1) USING (q_obj)"
