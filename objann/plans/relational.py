@@ -26,7 +26,7 @@ TEXTS = {
     "setop_difference": "SELECT p_partkey AS id FROM {part} EXCEPT SELECT l_partkey FROM {lineitem} WHERE l_quantity > 45",
     "scalar_string": "SELECT doc_id, lower(lang) AS lang, length(text) AS n, substring(text, 1, 10) AS head, replace(source, 'src', '') AS number, concat(lang, '-', source) AS tag FROM {documents}",
     "scalar_date": "SELECT o_orderkey, year(o_orderdate) AS y, month(o_orderdate) AS m, day(o_orderdate) AS d, date_trunc('month', o_orderdate) AS month_start FROM {orders}",
-    "scalar_math": "SELECT l_orderkey, l_linenumber, l_partkey, floor(l_quantity / 7) AS f, round(sqrt(l_extendedprice), 6) AS s, greatest(l_discount, l_tax) AS g, least(l_discount, l_tax) AS l FROM {lineitem}",
+    "scalar_math": "SELECT l_orderkey, l_linenumber, l_partkey, CAST(floor(l_quantity / 7) AS BIGINT) AS f, round(sqrt(l_extendedprice), 6) AS s, greatest(l_discount, l_tax) AS g, least(l_discount, l_tax) AS l FROM {lineitem}",
     "cte_subquery": "WITH big AS (SELECT o_custkey, sum(o_totalprice) AS total FROM {orders} GROUP BY o_custkey) SELECT o_custkey, round(total, 2) AS total FROM big WHERE total > (SELECT avg(total) FROM big)",
     "ranking_functions": "SELECT c_custkey, rank() OVER w AS r, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY c_mktsegment ORDER BY c_acctbal, c_custkey) AS quarter FROM {customer} WINDOW w AS (PARTITION BY c_mktsegment ORDER BY c_nationkey)",
 }

@@ -69,10 +69,10 @@ def search(p: Projections, n: int, d: int, k: int, n_objects: int = 100, eps=(1,
     last = p.levels * (m + 1) + m
     if mode == "carry":
         events = f"""events AS (SELECT q_obj, object_id, -1 AS turn, key FROM (
-          SELECT q_obj, object_id, t * {m + 1} + proj AS key, row_number() OVER (PARTITION BY q_id, point_id ORDER BY t * {m + 1} + proj) AS at FROM firsts WHERE t IS NOT NULL) WHERE at = {threshold})"""
+          SELECT q_obj, object_id, t * {m + 1} + proj AS key, row_number() OVER (PARTITION BY q_id, point_id ORDER BY t * {m + 1} + proj) AS pos FROM firsts WHERE t IS NOT NULL) WHERE pos = {threshold})"""
     else:
         events = f"""events AS (SELECT q_obj, object_id, turn, turn * {m + 1} + proj AS key FROM (
-          SELECT q_obj, object_id, l.turn, proj, row_number() OVER (PARTITION BY q_id, point_id, l.turn ORDER BY proj) AS at FROM firsts, range({p.levels + 1}) l(turn) WHERE t <= l.turn) WHERE at = {threshold})"""
+          SELECT q_obj, object_id, l.turn, proj, row_number() OVER (PARTITION BY q_id, point_id, l.turn ORDER BY proj) AS pos FROM firsts, range({p.levels + 1}) l(turn) WHERE t <= l.turn) WHERE pos = {threshold})"""
     reach = str(p.levels + 1)
     for t in range(p.levels, -1, -1):
         reach = f"CASE WHEN sq_dist <= {(step * int(p.params.c) ** t * 163840) ** 2} THEN {t} ELSE {reach} END"
@@ -81,9 +81,9 @@ def search(p: Projections, n: int, d: int, k: int, n_objects: int = 100, eps=(1,
 ), {events}, upto AS (
   SELECT q_obj, object_id, key, row_number() OVER (PARTITION BY q_obj, object_id, turn ORDER BY key) AS n FROM events
 ), keys AS (SELECT q_obj, object_id, min(key) AS key FROM upto WHERE n * {den} >= 144 * {num} GROUP BY 1, 2
-), t1 AS (SELECT q_obj, key AS t1 FROM (SELECT *, row_number() OVER (PARTITION BY q_obj ORDER BY key, object_id) AS at FROM keys) WHERE at = {enough}
+), t1 AS (SELECT q_obj, key AS t1 FROM (SELECT *, row_number() OVER (PARTITION BY q_obj ORDER BY key, object_id) AS pos FROM keys) WHERE pos = {enough}
 ), near AS (SELECT q_obj, object_id, greatest(key // {m + 1}, {reach}) AS level FROM keys JOIN gd USING (q_obj, object_id)
-), t2 AS (SELECT q_obj, level * {m + 1} + {m} AS t2 FROM (SELECT *, row_number() OVER (PARTITION BY q_obj ORDER BY level, object_id) AS at FROM near) WHERE at = {k} AND level <= {p.levels}
+), t2 AS (SELECT q_obj, level * {m + 1} + {m} AS t2 FROM (SELECT *, row_number() OVER (PARTITION BY q_obj ORDER BY level, object_id) AS pos FROM near) WHERE pos = {k} AND level <= {p.levels}
 ), stops AS (
   SELECT q_obj, CASE WHEN t1 IS NULL AND t2 IS NULL THEN 'exhausted' WHEN coalesce(t1, {last + 1}) <= coalesce(t2, {last + 1}) THEN 'T1' ELSE 'T2' END AS status,
          least(coalesce(t1, {last}), coalesce(t2, {last})) AS stop

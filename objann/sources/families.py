@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -71,15 +75,23 @@ def text_points(df: DataFrame, key: str, text: Column) -> DataFrame:
     """Sentences and lines of at least 20 characters as signed 3-gram counts in 32 bins, at unit length."""
     parts = df.select(F.col(key).alias("object_id"), F.posexplode(F.split(text, "[.\n]")).alias("at", "part")).withColumn("part", F.trim("part"))
     long = parts.where(F.length("part") >= 20)
-    code = lambda i, k: F.ascii(F.substring(F.col("part"), i + k, F.lit(1))).cast("long")
-    gram = lambda i: F.pmod(code(i, 0) * 961 + code(i, 1) * 31 + code(i, 2), F.lit(1000003))
-    hashed = long.withColumn("h", F.transform(F.sequence(F.lit(1), F.length("part") - 2), gram))
-    bins = F.transform(F.sequence(F.lit(0), F.lit(31)), lambda b: F.aggregate(F.filter("h", lambda h: F.pmod(h, F.lit(32)) == b), F.lit(0).cast("long"), lambda a, h: a + 1 - 2 * F.pmod(F.floor(h / 32), F.lit(2))))
-    binned = hashed.select("object_id", "at", bins.alias("bins"))
-    square = F.aggregate("bins", F.lit(0).cast("long"), lambda a, x: a + x * x)
-    unit = binned.withColumn("norm", F.sqrt(square.cast("double"))).where("norm > 0")
-    vec = F.transform("bins", lambda x: q16(x.cast("double") / F.col("norm")))
-    return unit.select("object_id", (F.col("object_id") * 10000 + F.col("at")).alias("point_id"), vec.alias("vec"))
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep, vectors = [], []
+            for k, part in enumerate(batch.column(2).to_pylist()):
+                codes = np.frombuffer(part.encode("utf-32-le"), dtype=np.uint32).astype(np.int64)
+                h = (codes[:-2] * 961 + codes[1:-1] * 31 + codes[2:]) % 1000003
+                bins = np.bincount(h % 32, weights=1 - 2 * (h // 32 % 2), minlength=32)
+                if square := float(bins @ bins):
+                    keep.append(k)
+                    vectors.append(np.floor(bins / np.sqrt(square) * 65536 + 0.5).astype(np.int64))
+            ids = batch.take(pa.array(keep, pa.int64()))
+            number = pc.add(pc.multiply(ids.column(0), 10000), ids.column(1))
+            yield pa.RecordBatch.from_arrays([ids.column(0), number, pa.array([v.tolist() for v in vectors], pa.list_(pa.int64()))], ["object_id", "point_id", "vec"])
+
+    long = long.select(F.col("object_id").cast("long").alias("object_id"), F.col("at").cast("long").alias("at"), "part")
+    return long.mapInArrow(count, "object_id long, point_id long, vec array<long>")
 
 
 def points(spark: SparkSession, sf_dir: str, family: Family) -> DataFrame:
