@@ -19,7 +19,7 @@ NGRAM = 5
 THRESHOLD = 0.8
 TARGET_RECALL = 0.99999
 MAX_HASHES = 160
-SLICE_BYTES = 12_000_000
+SLICE_BYTES = 4_000_000
 MAX_STAR_ROUNDS = 8
 WORD_BREAK = r"[^\p{L}\p{M}\p{N}_]+"
 
@@ -86,6 +86,8 @@ def shingle_sets(texts: pa.Array, n: int = NGRAM) -> Iterator[np.ndarray]:
                     short = (short ^ hashes[k]) * mix[k - a]
                     short ^= short >> np.uint64(31)
                 yield short
+        del plain, lists, coded, words, hashes, grams
+        pa.default_memory_pool().release_unused()
         first = stop
 
 
