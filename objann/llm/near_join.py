@@ -9,7 +9,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from objann.llm.graph import connected_components
@@ -20,7 +20,8 @@ THRESHOLD = 0.8
 TARGET_RECALL = 0.99999
 MAX_HASHES = 160
 SLICE_BYTES = 4_000_000
-MAX_STAR_ROUNDS = 8
+MAX_STAR_ROUNDS = 3
+SPREAD_GRAMS = 200_000
 WORD_BREAK = r"[^\p{L}\p{M}\p{N}_]+"
 
 
@@ -123,8 +124,10 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
     3. In each bucket every member is checked against the bucket's centre on the full gram sets;
        later rounds take centres per component, and members already connected with all others of
        their bucket leave.  When few pairs of different components are left, they are all checked.
-       So no pair within a group is made that cannot change the components, and no link between
-       components of a common bucket is lost.
+       If many are left after the rounds, those of the members that have no rare gram in common
+       cannot reach the threshold (see ``_prefix_pairs``); the others are all checked.  So no pair
+       within a group is made that cannot change the components, and no link between components
+       of a common bucket is lost.
     4. Connected components of the links.
 
     Null and empty texts are copies of each other.  Null keys keep a row each, in a class of their
@@ -202,15 +205,14 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
             break
         current = state.df if "component" in state.df.columns else state.df.withColumn("component", F.col("node"))
         order = F.xxhash64("node", F.lit(turn)) if turn else F.col("node")
-        if turn < MAX_STAR_ROUNDS and not _few_pairs(current):
+        few = _few_pairs(current)
+        if turn < MAX_STAR_ROUNDS and not few:
             centres = current.groupBy("band").agg(F.min_by(F.struct("node", "size", "component"), order).alias("centre"))
             stars = current.join(written(centres, "near-centres"), "band").where(F.col("component") != F.col("centre.component"))
             pairs = stars.select(F.col("node").alias("a"), F.col("size").alias("a_size"), F.col("centre.node").alias("b"), F.col("centre.size").alias("b_size"))
             last = False
         else:
-            left = current.select("band", F.col("node").alias("a"), F.col("size").alias("a_size"), F.col("component").alias("a_component"))
-            right = current.select("band", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("component").alias("b_component"))
-            pairs = left.join(right, "band").where((F.col("a") < F.col("b")) & (F.col("a_component") != F.col("b_component")) & close)
+            pairs = _bucket_pairs(current) if few else _prefix_pairs(current, sets, threshold)
             last = True
         pairs = pairs.where(close).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
         if tried is not None:
@@ -250,6 +252,52 @@ def _few_pairs(current: DataFrame) -> bool:
     return (total[0] or 0) <= (total[1] or 0)
 
 
+def _bucket_pairs(current: DataFrame) -> DataFrame:
+    """All pairs (a, b) of different components within buckets, with their sizes."""
+    left = current.select("band", F.col("node").alias("a"), F.col("size").alias("a_size"), F.col("component").alias("a_component"))
+    right = current.select("band", F.col("node").alias("b"), F.col("size").alias("b_size"), F.col("component").alias("b_component"))
+    return left.join(right, "band").where((F.col("a") < F.col("b")) & (F.col("a_component") != F.col("b_component")))
+
+
+def _prefix_pairs(current: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """Pairs (a, b) of different components, with their sizes, that can still reach the threshold.
+
+    Every set's grams are put in one order, rare ones first.  Sets of sizes x and y at the
+    threshold t have at least o = t / (1 + t) (x + y) grams in common, so the first of these is
+    among the first x - o + 1 of the one set and the first y - o + 1 of the other: pairs without
+    such a gram are left out and no link is.  A gram that only one set has matches nothing, and one
+    that only one component has joins nothing new, so a large group of texts that merely share
+    passages makes no pairs.
+    """
+    nodes = current.select("node", "size", "component").distinct()
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            first, lengths = 0, pc.binary_length(batch.column(3)).to_numpy() // 8
+            ends = np.cumsum(lengths, dtype=np.int64)
+            while first < batch.num_rows:
+                done = ends[first - 1] if first else 0
+                stop = max(first + 1, int(np.searchsorted(ends, done + SPREAD_GRAMS, side="right")))
+                part = batch.slice(first, stop - first)
+                owner = np.repeat(np.arange(stop - first), lengths[first:stop])
+                grams = np.frombuffer(b"".join(part.column(3).to_pylist()), np.int64)
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(owner)), part.column(1).take(pa.array(owner)), part.column(2).take(pa.array(owner)), pa.array(grams)], ["node", "size", "component", "gram"])
+                first = stop
+
+    grams = written(nodes.join(sets, "node").select("node", "size", "component", "grams").mapInArrow(spread, "node long, size int, component long, gram long"), "near-grams")
+    spans = grams.groupBy("gram").agg(F.count("*").alias("holders"), F.min("component").alias("low"), F.max("component").alias("high")).where("holders > 1")
+    one = Window.partitionBy("node")
+    place = F.col("size") - F.count("*").over(one) + F.row_number().over(one.orderBy("holders", "gram"))
+    longest = F.col("size") - F.ceil(threshold * F.col("size") - 1e-9) + 1
+    entries = grams.join(spans, "gram").withColumn("place", place).where((F.col("place") <= longest) & (F.col("low") != F.col("high")))
+    entries = written(entries.select("gram", "node", "size", "component", "place"), "near-prefixes")
+    left, right = (entries.select("gram", *[F.col(c).alias(f"{side}_{c}") for c in ("node", "size", "component", "place")]) for side in "ab")
+    shared = F.ceil(threshold / (1 + threshold) * (F.col("a_size") + F.col("b_size")) - 1e-9)
+    reach = (F.col("a_place") <= F.col("a_size") - shared + 1) & (F.col("b_place") <= F.col("b_size") - shared + 1)
+    met = left.join(right, "gram").where((F.col("a_node") < F.col("b_node")) & (F.col("a_component") != F.col("b_component")) & reach)
+    return met.select(F.col("a_node").alias("a"), "a_size", F.col("b_node").alias("b"), "b_size")
+
+
 def keep_one(df: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """``df`` with one row of each class: the least by key, then by text hash.
 
