@@ -94,6 +94,47 @@ def test_near_join_against_brute_force(spark):
     assert 1 - (1 - 0.8**rows) ** bands >= near_join.TARGET_RECALL
 
 
+def test_prefix_pairs_lose_no_link(spark):
+    rng = np.random.default_rng(5)
+    base = rng.integers(0, 1 << 62, 90)
+    sets = []
+    for _ in range(150):
+        kept = base[rng.random(90) > rng.choice([0.02, 0.08, 0.2, 0.4])]
+        own = rng.integers(0, 1 << 62, rng.integers(0, 25))
+        sets.append(np.unique(np.concatenate([kept, own, rng.choice(base, 1)])))
+    part = [int(x) for x in rng.integers(0, 60, len(sets))]
+    nodes = spark.createDataFrame([(b, k, len(x), part[k]) for k, x in enumerate(sets) for b in range(2)], "band long, node long, size int, component long")
+    stored = spark.createDataFrame([(k, bytearray(x.tobytes())) for k, x in enumerate(sets)], "node long, grams binary")
+    found = {(r.a, r.b) for r in near_join._prefix_pairs(nodes, stored, 0.8).collect()}
+    links, made = set(), 0
+    for a in range(len(sets)):
+        for b in range(a + 1, len(sets)):
+            both = len(np.intersect1d(sets[a], sets[b]))
+            made += part[a] != part[b]
+            if part[a] != part[b] and both >= 0.8 * (len(sets[a]) + len(sets[b]) - both):
+                links.add((a, b))
+    assert links and links <= found and len(found) < made
+    assert all(part[a] != part[b] for a, b in found)
+    assert near_join._prefix_pairs(nodes.where("false"), stored, 0.8).count() == 0
+
+
+def test_near_join_classes_do_not_depend_on_the_last_step(spark, monkeypatch):
+    rng = random.Random(9)
+    words = [f"w{k}" for k in range(4000)]
+    base = [rng.choice(words) for _ in range(120)]
+    texts = []
+    for _ in range(80):
+        edited = list(base)
+        for _ in range(rng.choice([0, 1, 2, 3, 8])):
+            edited[rng.randrange(120)] = rng.choice(words)
+        texts.append(" ".join(edited))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    plain = {r.doc_id: r.class_id for r in near_join.similarity_classes(df).collect()}
+    monkeypatch.setattr(near_join, "MAX_STAR_ROUNDS", 0)
+    monkeypatch.setattr(near_join, "_few_pairs", lambda current: False)
+    assert {r.doc_id: r.class_id for r in near_join.similarity_classes(df).collect()} == plain
+
+
 def test_components_both_ways(spark):
     edges = spark.createDataFrame([(k, k + 1) for k in range(30) if k % 7] + [(100, 50), (5, 5)], "src long, dst long")
     small = {tuple(r) for r in graph.connected_components(edges).collect()}
