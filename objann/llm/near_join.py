@@ -22,6 +22,8 @@ MAX_HASHES = 160
 SLICE_BYTES = 4_000_000
 MAX_STAR_ROUNDS = 3
 SPREAD_GRAMS = 200_000
+BLOCK_SETS = 2_000  # sets, and grams of sets, of a component that are compared with as many others at once
+BLOCK_GRAMS = 600_000
 WORD_BREAK = r"[^\p{L}\p{M}\p{N}_]+"
 
 
@@ -109,13 +111,13 @@ def band_keys(grams: np.ndarray, factors: np.ndarray, bands: int, rows: int) ->
     return key.view(np.int64)
 
 
-def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, n: int = NGRAM, recall: float = TARGET_RECALL) -> DataFrame:
-    """(key, class_id, n_links, n_copies, text_hash) of every row.
+def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, n: int = NGRAM, recall: float = TARGET_RECALL, with_links: bool = True) -> DataFrame:
+    """(key, class_id, n_links, n_copies, text_hash) of every row; n_links only where ``with_links``.
 
     class_id is the least key of the connected component of the graph whose links are pairs of
     texts with Jaccard similarity of at least the threshold on word n-grams.  n_copies counts the rows with
-    the same gram set, the row itself among them; n_links counts the checked links kept between
-    this text and different ones (0: the class is this text's copies alone).
+    the same gram set, the row itself among them; n_links counts the different gram sets that this
+    row's set is linked with (0: the class is this text's copies alone).
 
     1. Rows of one gram set are copies; the least key stands for them.  A gram set is named by
        128 bits of a digest.  A text without words is a copy of equal texts only.
@@ -129,6 +131,8 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
        within a group is made that cannot change the components, and no link between components
        of a common bucket is lost.
     4. Connected components of the links.
+    5. n_links is counted afresh: every set is compared with all others of its component, outside
+       of which it has no link (see ``_link_counts``), so it hangs on no round and no bucket.
 
     Null and empty texts are copies of each other.  Null keys keep a row each, in a class of their
     gram set (null where all keys of the class are null).  An empty table gives no rows; other columns are left out.
@@ -179,7 +183,8 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
             yield pa.RecordBatch.from_arrays([pa.array(high, pa.int64()), pa.array(low, pa.int64()), pa.array(sets, pa.binary())], ["high", "low", "grams"])
 
     sets = source.select("text").mapInArrow(grams_of, "high long, low long, grams binary").select(node, "grams")
-    sets = written(sets.join(members, "node", "left_semi").dropDuplicates(["node"]), "near-sets")
+    sets = sets.join(members, "node", "left_semi").dropDuplicates(["node"])
+    sets = written(sets.withColumn("n_grams", F.length("grams") / 8), "near-sets")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -231,12 +236,15 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
     if links is None:
         links = sets.select(F.col("node").alias("a"), F.col("node").alias("b")).where("false")
     components = written(connected_components(links, "a", "b"), "near-components")
-    degrees = links.select(F.col("a").alias("node")).union(links.select(F.col("b").alias("node"))).groupBy("node").agg(F.count("*").alias("n_links"))
-    per_group = groups.withColumn("node", F.xxhash64("high", "low")).join(components, "node", "left").join(degrees, "node", "left").withColumn("component", F.coalesce("component", "node"))
-    per_group = written(per_group.select("high", "low", "rep", "n_copies", "component", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links")), "near-placed")
+    per_group = groups.withColumn("node", F.xxhash64("high", "low")).join(components, "node", "left")
+    counted = []
+    if with_links:
+        per_group = per_group.join(_link_counts(components, sets, threshold), "node", "left").withColumn("n_links", F.coalesce("n_links", F.lit(0)).cast("long"))
+        counted = ["n_links"]
+    per_group = written(per_group.select("high", "low", "rep", "n_copies", F.coalesce("component", "node").alias("component"), *counted), "near-placed")
     heads = per_group.groupBy("component").agg(F.min("rep").alias("class_id"))
-    final = written(per_group.join(heads, "component").select("high", "low", "class_id", "n_links", "n_copies"), "near-classes")
-    return named.join(final, ["high", "low"]).select(F.col("id").alias(key), "class_id", "n_links", "n_copies", "text_hash")
+    final = written(per_group.join(heads, "component").select("high", "low", "class_id", *counted, "n_copies"), "near-classes")
+    return named.join(final, ["high", "low"]).select(F.col("id").alias(key), "class_id", *counted, "n_copies", "text_hash")
 
 
 def similarity_classes(df: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
@@ -244,6 +252,103 @@ def similarity_classes(df: DataFrame, key: str = "doc_id", text: str = "text", *
     return classify(df, key, text, **options).drop("text_hash")
 
 
+def common_counts(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """How many grams each set of ``left`` has in common with each set of ``right``.
+
+    Grams of many holders are multiplied as columns of a 0/1 matrix, those of few are paired off.
+    """
+    grams = np.concatenate([*left, *right])
+    owner = np.repeat(np.arange(len(left) + len(right)), [len(x) for x in (*left, *right)])
+    _, code, holders = np.unique(grams, return_inverse=True, return_counts=True)
+    often = holders * 32 >= len(left) + len(right)
+    both = np.zeros((len(left), len(right)), dtype=np.float32)
+    for dense in (True, False):
+        number = np.cumsum((holders > 1) & (often == dense)) - 1
+        own = ((holders > 1) & (often == dense))[code]
+        order = np.argsort(number[code[own]], kind="stable")
+        codes, owners = number[code[own]][order], owner[own][order]
+        on_left = owners < len(left)
+        lc, lo, rc, ro = codes[on_left], owners[on_left], codes[~on_left], owners[~on_left] - len(left)
+        if not len(lc) or not len(rc):
+            continue
+        if dense:
+            for first in range(0, int(codes[-1]) + 1, 2048):
+                a, b = np.zeros((len(left), 2048), np.float32), np.zeros((len(right), 2048), np.float32)
+                for matrix, c, o in ((a, lc, lo), (b, rc, ro)):
+                    x, y = np.searchsorted(c, (first, first + 2048))
+                    matrix[o[x:y], c[x:y] - first] = 1
+                both += a @ b.T
+            continue
+        begin, end = np.searchsorted(rc, lc), np.searchsorted(rc, lc, side="right")
+        reach = np.cumsum(end - begin)
+        at = 0
+        while at < len(lc):
+            stop = max(at + 1, int(np.searchsorted(reach, (reach[at - 1] if at else 0) + 1_000_000, side="right")))
+            times = (end - begin)[at:stop]
+            places = np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times) + np.repeat(begin[at:stop], times)
+            np.add.at(both, (np.repeat(lo[at:stop], times), ro[places]), 1)
+            at = stop
+    return both
+
+
+def block_links(left: list[np.ndarray], right: list[np.ndarray], threshold: float) -> tuple[np.ndarray, np.ndarray]:
+    """Links of each set of ``left`` to sets of ``right``, and of each of ``right`` to ``left``."""
+    both = common_counts(left, right)
+    x, y = (np.array([len(s) for s in side], dtype=np.float64) for side in (left, right))
+    to_right, to_left = np.zeros(len(left), dtype=np.int64), np.zeros(len(right), dtype=np.int64)
+    for a in range(0, len(left), 256):
+        part = both[a : a + 256].astype(np.float64)
+        link = part >= threshold * (x[a : a + 256, None] + y[None, :] - part) - 1e-9
+        to_right[a : a + 256] = link.sum(axis=1)
+        to_left += link.sum(axis=0)
+    return to_right, to_left
+
+
+def _link_counts(components: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """(node, n_links) of every node of a component: the members whose sets reach the threshold with its own.
+
+    A component is cut into blocks by a hash of the node, and every pair of blocks is one piece of
+    work, so a row is copied once for each block of its component and pairs never become rows.
+    Two nodes that make up a component have one link.
+    """
+    held = components.join(sets.select("node", "n_grams"), "node").groupBy("component").agg(F.count("*").alias("members"), F.sum("n_grams").alias("held"))
+    parts = F.ceil(F.greatest(F.col("members") / BLOCK_SETS, F.col("held") / BLOCK_GRAMS)).cast("int")
+    placed = written(components.join(held.select("component", "members", parts.alias("parts")), "component"), "near-members")
+    own = F.pmod(F.xxhash64("node"), F.col("parts")).cast("int").alias("own")
+    spread = placed.where("members > 2").select("component", "node", own, F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("other"))
+    spread = spread.select("component", F.least("own", "other").alias("low"), F.greatest("own", "other").alias("high"), "own", "node")
+    work = spread.join(sets.select("node", "grams"), "node").repartition("component", "low", "high").sortWithinPartitions("component", "low", "high")
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        piece, held = None, ([], [], [], [])
+
+        def counted() -> pa.RecordBatch:
+            left_nodes, left, right_nodes, right = held
+            if piece[1] == piece[2]:
+                nodes, found = left_nodes, block_links(left, left, threshold)[0] - 1  # but for itself
+            elif left and right:
+                nodes, found = left_nodes + right_nodes, np.concatenate(block_links(left, right, threshold))
+            else:
+                nodes, found = [], np.zeros(0, dtype=np.int64)
+            return pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(found, pa.int64())], ["node", "n_links"])
+
+        for batch in batches:
+            component, low, high, own, node = (batch.column(batch.schema.get_field_index(c)).to_pylist() for c in ("component", "low", "high", "own", "node"))
+            for k, grams in enumerate(batch.column(batch.schema.get_field_index("grams"))):
+                if (component[k], low[k], high[k]) != piece:
+                    if piece is not None:
+                        yield counted()
+                    piece, held = (component[k], low[k], high[k]), ([], [], [], [])
+                side = 0 if own[k] == low[k] else 2
+                held[side].append(node[k])
+                held[side + 1].append(np.frombuffer(grams.as_py(), np.uint64))
+        if piece is not None:
+            yield counted()
+
+    found = work.mapInArrow(count, "node long, n_links long").groupBy("node").agg(F.sum("n_links").alias("n_links"))
+    return found.union(placed.where("members = 2").select("node", F.lit(1).cast("long").alias("n_links")))
+
+
 def _few_pairs(current: DataFrame) -> bool:
     """Whether the pairs of different components within buckets are at most as many as the bucket rows."""
     parts = current.groupBy("band", "component").agg(F.count("*").cast("double").alias("n"))
@@ -304,7 +409,7 @@ def keep_one(df: DataFrame, key: str = "doc_id", text: str = "text", **options)
     Where that row repeats, one of the repeats stays; a null key is kept only where its class has
     no other key.  The rows are found by a join on key and text hash, so texts are not regrouped.
     """
-    rows = written(classify(df, key, text, **options).select(F.col(key).alias("k"), "class_id", "n_copies", "text_hash"), "near-rows")
+    rows = written(classify(df, key, text, with_links=False, **options).select(F.col(key).alias("k"), "class_id", "n_copies", "text_hash"), "near-rows")
     member = F.struct(F.col("k").isNull().alias("none"), "k", "text_hash")
     # rows without any key in their class fall back to one per text hash
     part = F.when(F.col("class_id").isNull(), F.col("text_hash")).alias("part")

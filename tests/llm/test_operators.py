@@ -135,6 +135,39 @@ def test_near_join_classes_do_not_depend_on_the_last_step(spark, monkeypatch):
     assert {r.doc_id: r.class_id for r in near_join.similarity_classes(df).collect()} == plain
 
 
+@pytest.mark.parametrize("few", [True, False])
+def test_links_are_counted_as_by_brute_force(spark, monkeypatch, few):
+    rng = random.Random(11)
+    texts = []
+    for size, edits in ((40, [0, 1, 2]), (25, [1, 3, 5]), (3, [1]), (2, [1]), (1, [0])):
+        base = [f"w{rng.randrange(9000)}" for _ in range(100)]
+        for _ in range(size):
+            own = list(base)
+            for _ in range(rng.choice(edits)):
+                own[rng.randrange(100)] = f"x{rng.randrange(9999)}"
+            texts.append(" ".join(own))
+    distinct = {x.tobytes(): x for x in near_join.shingle_sets(pa.array(texts))}
+    want = []
+    for x in near_join.shingle_sets(pa.array(texts)):
+        both = [(len(np.intersect1d(x, y)), len(np.union1d(x, y))) for name, y in distinct.items() if name != x.tobytes()]
+        want.append(sum(b >= 0.8 * u for b, u in both))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    monkeypatch.setattr(near_join, "_few_pairs", lambda current: few)
+    assert {r.doc_id: r.n_links for r in near_join.similarity_classes(df).collect()} == dict(enumerate(want))
+    if few:
+        monkeypatch.setattr(near_join, "BLOCK_SETS", 7)
+        assert {r.doc_id: r.n_links for r in near_join.similarity_classes(df).collect()} == dict(enumerate(want))
+
+
+def test_common_counts_of_rare_and_frequent_grams():
+    rng = np.random.default_rng(8)
+    often = rng.integers(0, 1 << 62, 30)
+    sets = [np.unique(np.concatenate([often[rng.random(30) < 0.6], rng.integers(0, 3000, 40)])) for _ in range(260)]
+    left, right = sets[:150], sets[150:]
+    want = [[len(np.intersect1d(x, y)) for y in right] for x in left]
+    assert near_join.common_counts(left, right).tolist() == want
+
+
 def test_components_both_ways(spark):
     edges = spark.createDataFrame([(k, k + 1) for k in range(30) if k % 7] + [(100, 50), (5, 5)], "src long, dst long")
     small = {tuple(r) for r in graph.connected_components(edges).collect()}
