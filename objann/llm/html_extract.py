@@ -14,7 +14,6 @@ from objann.llm.shared import read_table, written
 from objann.llm.url_filter import host_of
 
 MAX_BROADCAST_HOSTS = 200_000
-VOTES_PER_PAGE = 3
 
 RAW = "script|style|noscript|template|textarea|title|iframe|svg|math|object|select|button"
 _token = re.compile(
@@ -131,16 +130,19 @@ class Page:
         self._links = 0
 
     def scores(self) -> dict[str, float]:
-        """Score by path: text that is no link in a container's own blocks, half of it to its parent, a quarter further up."""
-        found: dict[str, float] = {}
+        """Score by path: all kept text below a container that is no link, less the links and the dropped text below it.
+
+        A container that holds the whole article so beats each of its sections, lists and tables,
+        and one that holds the page's menus and footers too falls behind.
+        """
+        below = [0.0] * len(self.paths)
         for text, links, paragraph, container, dropped in self.blocks:
-            if dropped:
-                continue
-            gain = (len(text) - 2 * links) * (1.0 if paragraph else 0.4)
-            share = 1.0
-            while container >= 0 and share > 0.2:
-                found[self.paths[container]] = found.get(self.paths[container], 0.0) + gain * share
-                container, share = self.parents[container], share / 2
+            below[container] += -len(text) if dropped else (len(text) - 2 * links) * (1.0 if paragraph else 0.4)
+        for k in range(len(below) - 1, 0, -1):
+            below[self.parents[k]] += below[k]
+        found: dict[str, float] = {}
+        for path, score in zip(self.paths, below):
+            found[path] = found.get(path, 0.0) + score
         return found
 
     def text_in(self, path: str) -> str:
@@ -151,13 +153,23 @@ class Page:
         return "\n\n".join(b[0] for b in self.blocks if inside[b[3]] and not b[4])
 
     def best(self) -> list[tuple[str, float]]:
-        return sorted(((p, s) for p, s in self.scores().items() if s > 0), key=lambda x: (-x[1], x[0]))[:VOTES_PER_PAGE]
+        return sorted(((p, s) for p, s in self.scores().items() if s > 0), key=lambda x: (-x[1], -len(x[0]), x[0]))
+
+    def main_text(self, path: str | None) -> str:
+        """Text in the host's path, or in the page's own best one where that holds the other or the host's has less than half its score."""
+        best = self.best()
+        if path and best:
+            own, score = best[0]
+            if own != path and (path.startswith(own + ">") or dict(best).get(path, 0.0) < score / 2):
+                path = own
+        text = self.text_in(path) if path else ""
+        return text or (self.text_in(best[0][0]) if best else "")
 
 
 def host_votes(pages: DataFrame) -> DataFrame:
     """(host, path): each host's winning container path.
 
-    Each page gives its best paths a vote of their share of its score; votes are summed per host
+    Each page gives every path of positive score a vote, in proportion to its best one's; votes are summed per host
     and path with partial sums, so a host with a third of all pages is no single task's work.
     """
 
@@ -166,11 +178,10 @@ def host_votes(pages: DataFrame) -> DataFrame:
             hosts, paths, votes = [], [], []
             for host, html in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 best = Page(html).best()
-                total = sum(s for _, s in best)
                 for path, score in best:
                     hosts.append(host)
                     paths.append(path)
-                    votes.append(round(1000 * score / total))
+                    votes.append(round(1000 * score / best[0][1]))
             yield pa.RecordBatch.from_arrays([pa.array(hosts, pa.string()), pa.array(paths, pa.string()), pa.array(votes, pa.int64())], ["host", "path", "votes"])
 
     counted = pages.select("host", "html").mapInArrow(vote, "host string, path string, votes long").groupBy("host", "path").agg(F.sum("votes").alias("votes"))
@@ -180,8 +191,8 @@ def host_votes(pages: DataFrame) -> DataFrame:
 def extract(df: DataFrame, key: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
     """(key, url, text, n_chars) of every page.
 
-    A page is read with its host's winning path; where that gives nothing, with its own best
-    path; without any text it is empty.  Null html is empty; null URLs share the empty host.
+    A page is read with its host's winning path; where that gives nothing or less than the page
+    needs (see ``Page.main_text``), with its own best path; without any text it is empty.  Null html is empty; null URLs share the empty host.
     Repeated rows repeat; an empty table gives no rows; other columns are left out.
     The table of winners is broadcast up to MAX_BROADCAST_HOSTS hosts and joined by shuffle beyond.
     """
@@ -196,11 +207,7 @@ def extract(df: DataFrame, key: str = "page_id", url: str = "url", html: str = "
         for batch in batches:
             texts = []
             for path, html in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
-                page = Page(html)
-                text = page.text_in(path) if path else ""
-                if not text and (best := page.best()):
-                    text = page.text_in(best[0][0])
-                texts.append(text)
+                texts.append(Page(html).main_text(path))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["key", "url", "text", "n_chars"])
 
     kind = df.schema[key].dataType.simpleString()

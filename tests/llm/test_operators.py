@@ -242,3 +242,19 @@ def test_html_consensus(spark):
     assert rows[1].text == "Head 1\n\nFirst & long paragraph of page 1 goes on\n\nSecond one" and rows[1].n_chars == len(rows[1].text)
     assert rows[9].text == "" and rows[10].text == ""
     assert html_extract.extract(spark.createDataFrame(pages, "page_id long, url string, html string").where(F.lit(False))).count() == 0
+
+
+def test_html_articles_of_sections_lists_and_tables_are_whole(spark):
+    line = "A sentence of the article that is long enough to count. "
+    inner = [
+        f"<section class='one'><p>First {line * 18}</p></section><div class='share'>Share this</div><section class='two'><p>Second {line * 12}</p></section>",
+        f"<h1>Title</h1><p>First {line * 2}</p><ul><li>Second {line * 9}</li><li>Third {line * 9}</li></ul>",
+        f"<p>First {line * 2}</p><table><tr><td>Second {line * 9}</td><td>Third {line * 9}</td></tr></table>",
+        f"<p>First {line * 3}</p><blockquote>Second {line * 9}</blockquote><div id='more'><p>Third {line * 4}</p></div>",
+    ]
+    page = "<html><body><nav><a href='/'>Home</a> <a href='/x'>Section list of the site</a></nav><article>{}</article><footer>Imprint and more words of the footer</footer></body></html>"
+    rows = [(h * 10 + k, f"http://h{h}.org/{k}", page.format(body)) for h, bodies in enumerate([*([x] * 3 for x in inner), inner]) for k, body in enumerate(bodies)]
+    for r in html_extract.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect():
+        body = next(html for key, _, html in rows if key == r.page_id)
+        assert [w in r.text for w in ("Title", "First", "Second", "Third")] == [w in body for w in ("Title", "First", "Second", "Third")]
+        assert not any(w in r.text for w in ("Share", "Home", "Imprint"))
