@@ -80,7 +80,7 @@ def buffer_size_sweep(p: DataFrame, q: DataFrame, proj: Projections, shares=(0.0
 
 
 def guarantee_rates(p: DataFrame, q: DataFrame, family: Family, gamma: tuple[int, int], n_objects: int, seeds=range(3), radius: int = 8) -> DataFrame:
-    """(seed, q_obj, p1, c2): whether all near objects became candidates, and whether results are within c squared."""
+    """(seed, q_obj, c2): whether results are within c squared of the exact ones."""
     truth = exact_object_knn(p, q, family, gamma, 1).persist()
     out = None
     for seed in seeds:
