@@ -46,6 +46,7 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", m
     least of them.  The edges shrink to stars around component minima in a number of rounds that
     grows with the logarithm of the size.  Minima are partial aggregates, so a hub is no single
     task's work; joins with a hub are split by the adaptive planner.  Each round is a written table.
+    If it is not stable after ``max_rounds`` rounds, which a doubling of reach makes impossible in practice, that is an error.
     Loops and null ends are ignored; nodes without edges do not appear.  Up to ONE_TASK_EDGES edges
     one task does the same by union and find; the result does not depend on the way.
     """
@@ -71,6 +72,8 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst", m
         if tuple(now) == before:
             break
         before = tuple(now)
+    else:
+        raise RuntimeError(f"components are not stable after {max_rounds} rounds")
     stars = state.df
     roots = stars.select(F.col("v").alias("node")).distinct()
     return stars.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots.select("node", F.col("node").alias("component")))

@@ -6,6 +6,8 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -14,16 +16,24 @@ _own_folder: str | None = None
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
+    """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session, else the folder
+    that ``setCheckpointDir`` was given.
 
-    Only where the session names none (tests on one machine), a temporary folder is made and
-    set as checkpoint folder; it goes when the process ends.
+    Only where there is neither and the master is local, as in tests, a temporary folder is made and
+    set as checkpoint folder; it goes when the process ends.  On any other master this is an error,
+    as executors cannot read the driver's folders.
     """
     global _own_folder
     named = spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    given = spark.sparkContext._jsc.sc().getCheckpointDir()
+    if given.isDefined() and (_own_folder is None or _own_folder not in given.get()):
+        return given.get().rstrip("/")
     if _own_folder is None:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         _own_folder = tempfile.mkdtemp(prefix="objann-shared-")
         atexit.register(shutil.rmtree, _own_folder, ignore_errors=True)
         spark.sparkContext.setCheckpointDir(f"{_own_folder}/rdd")
@@ -37,22 +47,45 @@ def delete_path(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
 
 
+_scopes: list[list["WrittenTable"]] = []
+
+
 class WrittenTable:
-    """A DataFrame cut from its lineage: written as Parquet to the shared folder and read back."""
+    """A DataFrame cut from its lineage: written as Parquet to the shared folder and read back.
+
+    A table made inside ``scratch()`` goes at its end, unless it is ``lasting``.
+    """
 
-    def __init__(self, df: DataFrame, name: str):
-        self.spark = df.sparkSession
+    def __init__(self, df: DataFrame, name: str, lasting: bool = False):
+        self.spark, self.gone = df.sparkSession, False
+        if _scopes and not lasting:
+            _scopes[-1].append(self)
         self.path = f"{shared_folder(self.spark)}/objann/{name}-{uuid.uuid4().hex}"
         df.write.option("compression", "zstd").parquet(self.path)
         self.df = self.spark.read.schema(df.schema).parquet(self.path)
 
     def drop(self) -> None:
-        delete_path(self.spark, self.path)
+        if not self.gone:
+            self.gone = True
+            delete_path(self.spark, self.path)
+
+
+@contextmanager
+def scratch() -> Iterator[None]:
+    """Tables that are written inside are deleted at the end; what a result reads must be ``lasting``."""
+    held: list[WrittenTable] = []
+    _scopes.append(held)
+    try:
+        yield
+    finally:
+        _scopes.remove(held)
+        for table in held:
+            table.drop()
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
+def written(df: DataFrame, name: str, lasting: bool = False) -> DataFrame:
     """``df`` written to the shared folder and read back; later stages never recompute it."""
-    return WrittenTable(df, name).df
+    return WrittenTable(df, name, lasting).df
 
 
 def text_or_empty(column: str = "text"):
