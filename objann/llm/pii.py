@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from objann.llm.shared import read_table, text_or_empty, written
+from objann.llm.shared import read_table, scratch, text_or_empty, written
 
 # The kinds in their order, the added kind last.
 KINDS = ["email", "ip", "card", "phone", "term"]
@@ -22,12 +22,12 @@ CARD = r"[0-9](?:[ -]?+[0-9])++"
 PHONE = r"\+[0-9][ ().0-9-]+[0-9]"
 BYTE = r"0*(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])"
 
-# A word of the context: letters between white space, punctuation after it allowed.  What overlaps a
-# base span is none: an e-mail address has no white space, the other kinds have no letters.
-WORD = r"(?<!\S)\p{L}{4,}+(?=[.,;:!?]*+(?:\s|$))"
-WINDOW = 48  # code points of context on each side of a span
-MIN_CONTEXTS = 3  # different contexts in which a term must stand by an entity
-DISCLOSURE = 0.8  # share of an entity's information that a term may give away at most
+# A word of the context: letters with their marks, with apostrophes and hyphens inside it; quotes and
+# brackets around it do not matter.
+WORD = r"(?<![\p{L}\p{M}\p{N}_])\p{L}[\p{L}\p{M}]++(?:['\u2019-]\p{L}[\p{L}\p{M}]*+)*+(?![\p{L}\p{M}\p{N}_])"
+WINDOW = 96  # code points of context on each side of a span
+RESIDUE = 2.0  # bits about an entity that a term must leave open to be harmless
+DISCLOSURE = 0.5  # share of an entity's information from which a term can be revealing at all
 MAX_BROADCAST_ROWS = 100_000
 
 
@@ -78,13 +78,13 @@ def span_text(spans: Column) -> Column:
 
 
 def _windows(found: DataFrame) -> DataFrame:
-    """One row for each base span of each different text: (text_hash, rows, start, end, entity, left, right)."""
-    once = found.where(F.size("base") > 0).groupBy("text_hash").agg(F.count("*").alias("rows"), F.first("contexts").alias("contexts"))
-    return once.select("text_hash", "rows", F.explode("contexts").alias("c")).select("text_hash", "rows", "c.*")
+    """One row for each base span of each different text: (text_hash, rows, base, start, end, entity, left, right)."""
+    once = found.where(F.size("base") > 0).groupBy("text_hash").agg(F.count("*").alias("rows"), F.first("contexts").alias("contexts"), F.first("base").alias("base"))
+    return once.select("text_hash", "rows", "base", F.explode("contexts").alias("c")).select("text_hash", "rows", "base", "c.*")
 
 
 def _terms(windows: DataFrame) -> DataFrame:
-    """(text_hash, rows, entity, context, term, start, end): words of the windows."""
+    """(text_hash, rows, entity, context, term, start, end): words of the windows that touch no base span."""
     sides = windows.withColumns(
         {
             "left_words": F.regexp_extract_all("left", F.lit(WORD), F.lit(0)),
@@ -96,7 +96,8 @@ def _terms(windows: DataFrame) -> DataFrame:
     left_at = F.col("start") - F.length("left")
     left = F.filter(_located(F.col("left_gaps"), F.col("left_words"), left_at, 4), lambda x: (x["start"] > F.col("start") - F.length("left")) | (F.length("left") < WINDOW))
     right = F.filter(_located(F.col("right_gaps"), F.col("right_words"), F.col("end"), 4), lambda x: (x["end"] < F.col("end") + WINDOW))
-    found = sides.select("text_hash", "rows", "entity", F.xxhash64("left", "right").alias("context"), F.explode(F.concat(left, right)).alias("t"))
+    free = F.filter(F.concat(left, right), lambda x: ~F.exists("base", lambda b: (b["start"] < x["end"]) & (b["end"] > x["start"])))
+    found = sides.select("text_hash", "rows", "entity", F.xxhash64("left", "right").alias("context"), F.explode(free).alias("t"))
     return found.select("text_hash", "rows", "entity", "context", F.lower("t.value").alias("term"), F.col("t.start").alias("start"), F.col("t.end").alias("end"))
 
 
@@ -104,24 +105,29 @@ def revealing_terms(df: DataFrame, found: DataFrame, text: str) -> DataFrame:
     """(text_hash, added): spans of terms that give away an entity they stand by.
 
     Word occurrences of the whole corpus are the probability space.  With c the occurrences of
-    a term in windows of an entity, n its occurrences anywhere, w the words in the entity's windows and
-    N all words, the term gives log2(c N / (n w)) of the entity's log2(N / w) bits.  A term at or
-    over DISCLOSURE of them, seen by the entity in MIN_CONTEXTS different contexts (so that copies
-    of a text prove nothing), is marked wherever it stands in that entity's windows.
+    a term in windows of an entity, n its occurrences anywhere and m the different contexts
+    behind c, the chance that the term speaks of the entity is estimated as c / n, shrunk to
+    m / (m + 1) of it, so that one sighting counts half and copies of a text prove nothing more.  The term
+    is revealing if that leaves at most RESIDUE bits open and, with w the words in the entity's
+    windows and N all words, gives at least DISCLOSURE of the log2(N / w) bits that the entity has.
+    So an entity that occurs once is covered as well: a word of its window found nowhere else, or
+    once elsewhere, gives it away.  A revealing term is marked wherever it stands in that entity's
+    windows.  The rule is in bits of the entity, so it is the same at every corpus size.
     """
     near = written(_terms(_windows(found)), "pii-terms")
     pairs = near.groupBy("entity", "term", "context").agg(F.sum("rows").alias("c")).groupBy("entity", "term").agg(F.sum("c").alias("c"), F.count("*").alias("contexts"))
     pairs = written(pairs, "pii-pairs")
-    likely = pairs.where(F.col("contexts") >= MIN_CONTEXTS)
-    words = df.select(F.explode(F.split(F.lower(text_or_empty(text)), r"[^\p{L}]++")).alias("term")).where(F.length("term") >= 4)
+    words = df.select(F.explode(F.regexp_extract_all(F.lower(text_or_empty(text)), F.lit(WORD), F.lit(0))).alias("term"))
     counts = written(words.groupBy("term").agg(F.count("*").alias("n")), "pii-words")
     total = F.lit(float(counts.agg(F.sum("n")).first()[0] or 0))
     weight = pairs.groupBy("entity").agg(F.sum("c").alias("w"))
-    scored = likely.join(counts, "term").join(weight, "entity")
-    share = F.log2(F.col("c") * total / (F.col("n") * F.col("w"))) / F.log2(total / F.col("w"))
-    marked = written(scored.where((F.col("w") < total) & (share >= DISCLOSURE)).select("entity", "term"), "pii-marked")
+    scored = pairs.join(counts, "term").join(weight, "entity")
+    # overlapping windows of one entity can count an occurrence twice
+    chance = F.least(F.lit(1.0), F.col("c") / F.col("n")) * F.col("contexts") / (F.col("contexts") + 1)
+    told = F.log2(chance * total / F.col("w")) / F.log2(total / F.col("w"))
+    marked = written(scored.where((F.col("w") < total) & (F.log2(chance) >= -RESIDUE) & (told >= DISCLOSURE)).select("entity", "term"), "pii-marked")
     spans = near.join(marked, ["entity", "term"]).select("text_hash", F.struct("start", F.lit(4).alias("kind"), "end", F.lit("").alias("value")).alias("span"))
-    return written(spans.groupBy("text_hash").agg(F.collect_set("span").alias("added")), "pii-added")
+    return written(spans.groupBy("text_hash").agg(F.collect_set("span").alias("added")), "pii-added", lasting=True)
 
 
 def find_spans(df: DataFrame, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
@@ -140,8 +146,9 @@ def find_spans(df: DataFrame, key: str = "doc_id", text: str = "text") -> tuple[
         ),
     )
     found = spans.select("id", F.sha2("text", 256).alias("text_hash"), "base", contexts.alias("contexts"))
-    found = written(found, "pii-found")
-    return found.drop("contexts"), revealing_terms(slim, found, "text")
+    found = written(found, "pii-found", lasting=True)
+    with scratch():
+        return found.drop("contexts"), revealing_terms(slim, found, "text")
 
 
 def personal_data(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -163,7 +170,7 @@ def personal_data(df: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
 def sanitise(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``df`` with every span of its text generalised to its kind in brackets; null text stays null.
 
-    Of overlapping spans the first counts.  Spans of revealing terms come by a join on the text's
+    Spans that overlap become one, named by the first, so no part of any stays.  Spans of revealing terms come by a join on the text's
     hash, broadcast up to MAX_BROADCAST_ROWS texts.
     """
     _, added = find_spans(df, key, text)
@@ -176,7 +183,8 @@ def sanitise(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFram
 
     def step(acc: Column, x: Column) -> Column:
         kept = F.concat(acc["out"], F.substring(F.col("__text"), acc["at"] + 1, x["start"] - acc["at"]), F.element_at(names, x["kind"] + 1))
-        return F.when(x["start"] < acc["at"], acc).otherwise(F.struct(x["end"].alias("at"), kept.alias("out")))
+        merged = F.struct(F.greatest(acc["at"], x["end"]).alias("at"), acc["out"].alias("out"))
+        return F.when(x["start"] < acc["at"], merged).otherwise(F.struct(x["end"].alias("at"), kept.alias("out")))
 
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     end = lambda acc: F.concat(acc["out"], F.substring(F.col("__text"), acc["at"] + 1, F.length("__text")))
