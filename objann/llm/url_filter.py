@@ -17,7 +17,7 @@ RULES = [
     ("block", "org", "/es/"),
 ]
 
-MAX_RULES = 10_000  # beyond this the rules would have to be a joined table
+MAX_RULES = 10_000  # rules are an argument on the driver, not data; more than fit one expression are refused
 
 
 def host_of(url: Column) -> Column:
@@ -53,16 +53,94 @@ def best_rule(host: Column, path: Column, rules: list[tuple[str, str, str]]) ->
     return out
 
 
-def alias_edges(pages: DataFrame, key: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
-    """(src, dst) URLs that name one page: canonical links and immediate redirects in its html."""
-    tag = r"(?is)<link\b(?=[^>]*\brel\s*=\s*[\"']?canonical\b)[^>]*\bhref\s*=\s*[\"']?([^\"'\s>]+)"
-    refresh = r"(?is)<meta\b(?=[^>]*http-equiv\s*=\s*[\"']?refresh\b)[^>]*\bcontent\s*=\s*[\"'][^\"'>]*url\s*=\s*([^\"'\s>]+)"
-    lowered = pages.where(F.col(url).isNotNull() & (F.col(html).ilike("%canonical%") | F.col(html).ilike("%refresh%")))
-    found = lowered.select(F.col(url).alias("src"), F.explode(F.array(F.regexp_extract(html, tag, 1), F.regexp_extract(html, refresh, 1))).alias("link"))
-    link = F.col("link")
-    origin = F.regexp_extract("src", r"(?s)^([^:/?#]+://[^/?#]*)", 1)
-    target = F.when(F.instr(link, "://") > 0, link).when(F.startswith(link, F.lit("//")), F.concat(F.regexp_extract("src", r"(?s)^([^:/?#]+:)", 1), link)).when(F.startswith(link, F.lit("/")), F.concat(origin, link))
-    return found.where(link != "").select("src", target.alias("dst")).where(F.col("dst").isNotNull() & (F.col("dst") != F.col("src"))).distinct()
+def decoded(text: Column) -> Column:
+    """Character references of a URL attribute resolved: all numeric ones, and the named ones of markup."""
+    refs = F.array_distinct(F.regexp_extract_all(text, F.lit(r"&#(?:[0-9]{1,7}|[xX][0-9a-fA-F]{1,6})(?:;|(?![0-9a-fA-F]))"), F.lit(0)))
+
+    def resolve(acc: Column, ref: Column) -> Column:
+        body = F.regexp_replace(ref, "[&#;]", "")
+        code = F.when(body.rlike("^[xX]"), F.conv(F.substring(body, 2, 10), 16, 10)).otherwise(body).cast("long")
+        letter = F.decode(F.unhex(F.lpad(F.hex(code), 8, "0")), "UTF-32")
+        fine = code.between(1, 1114111) & ~code.between(55296, 57343)
+        return F.when(fine, F.replace(acc, ref, letter)).otherwise(acc)
+
+    out = F.when(F.size(refs) > 0, F.aggregate(refs, text, resolve)).otherwise(text)
+    for name, letter in (("lt", "<"), ("gt", ">"), ("quot", '"'), ("apos", "'"), ("amp", "&")):
+        out = F.replace(out, F.lit(f"&{name};"), F.lit(letter))
+    return out
+
+
+def with_resolved(df: DataFrame, link: str, base: str, into: str) -> DataFrame:
+    """``df`` with the absolute URL of a link found on the page ``base``; null for other schemes than ``name://`` and for empty links.
+
+    Absolute, scheme-relative (``//host``), rooted (``/path``), query-only (``?q``) and relative links,
+    with ``.`` and ``..`` taken out of the path.  Each step is a column of its own, so that no
+    expression is written out more than once.
+    """
+    l = F.col("__link")  # noqa: E741
+    out = df.withColumns(
+        {
+            "__link": F.trim(link),
+            "__scheme": F.regexp_extract(base, r"(?s)^([^:/?#]+:)", 1),
+            "__origin": F.regexp_extract(base, r"(?s)^([^:/?#]+://[^/?#]*)", 1),
+            "__path": F.regexp_extract(base, r"(?s)^[^:/?#]+://[^/?#]*([^?#]*)", 1),
+        }
+    ).withColumn("__folder", F.regexp_extract("__path", r"(?s)^(.*/)", 1))
+    whole = (
+        F.when(l.rlike(r"^[A-Za-z][A-Za-z0-9+.-]*://"), l)
+        .when(l.rlike(r"^[A-Za-z][A-Za-z0-9+.-]*:") | (l == "") | (F.col("__origin") == ""), None)
+        .when(F.startswith(l, F.lit("//")), F.concat("__scheme", l))
+        .when(F.startswith(l, F.lit("/")), F.concat("__origin", l))
+        .when(l.rlike("^[?#]"), F.concat("__origin", "__path", l))
+        .otherwise(F.concat(F.col("__origin"), F.when(F.col("__folder") == "", "/").otherwise(F.col("__folder")), l))
+    )
+    parts = r"(?s)^([^:/?#]+://[^/?#]*)([^?#]*)(.*)$"
+    out = out.withColumn("__whole", whole).withColumns({f"__part{k}": F.regexp_extract("__whole", parts, k) for k in (1, 2, 3)}).withColumn("__names", F.split("__part2", "/"))
+    start = F.expr("cast(array() as array<string>)")
+    back = lambda acc: F.when(F.size(acc) > 1, F.slice(acc, 1, F.size(acc) - 1)).otherwise(acc)
+    kept = F.aggregate("__names", start, lambda acc, n: F.when(n == ".", acc).when(n == "..", back(acc)).otherwise(F.concat(acc, F.array(n))))
+    ends = F.when(F.element_at("__names", -1).isin(".", ".."), "/").otherwise("")
+    dotted = F.col("__part2").rlike(r"(?:^|/)\.\.?(?:/|$)")
+    out = out.withColumn(into, F.when(dotted, F.concat(F.col("__part1"), F.array_join(kept, "/"), ends, F.col("__part3"))).otherwise(F.col("__whole")))
+    return out.drop(*[c for c in out.columns if c.startswith("__")])
+
+
+def node_of(url: Column) -> Column:
+    """The name of a URL among aliases: scheme and host in lower case, no fragment, ``/`` for an empty path."""
+    bare = F.regexp_replace(url, "(?s)#.*$", "")
+    head, rest = (F.regexp_extract(bare, r"(?s)^([^:/?#]+://[^/?#]*)(.*)$", k) for k in (1, 2))
+    return F.when(head == "", url).otherwise(F.concat(F.lower(head), F.when(F.startswith(rest, F.lit("/")), rest).otherwise(F.concat(F.lit("/"), rest))))
+
+
+def _attribute(tag: Column, name: str) -> Column:
+    pattern = rf"""(?is)[\s"'/]{name}\s*+=\s*+(?:"([^"]*+)"|'([^']*+)'|([^\s"'>]++))"""
+    return F.concat(*[F.regexp_extract(tag, pattern, k) for k in (1, 2, 3)])
+
+
+def alias_edges(pages: DataFrame, url: str = "url", html: str = "html") -> DataFrame:
+    """(src, dst) URLs that name one page: all canonical links and timed redirects in its html.
+
+    Comments and scripts are left out; attribute values may be quoted or not and hold character
+    references; links are resolved against the page's base link or URL.
+    """
+    whole = F.col(html)
+    likely = pages.where(F.col(url).isNotNull() & (whole.ilike("%canonical%") | whole.ilike("%refresh%")))
+    clean = F.regexp_replace(whole, r"(?is)<!--.*?(?:-->|\z)|<(script|style|textarea|template)\b.*?(?:</\1\s*>|\z)", " ")
+    tags = likely.select(F.col(url).alias("src"), F.regexp_extract_all(clean, F.lit(r"(?is)<(?:link|meta|base)\b[^>]*+>"), F.lit(0)).alias("tags"))
+    first_base = F.coalesce(F.try_element_at(F.filter("tags", lambda t: t.rlike(r"(?is)^<base\b")), F.lit(1)), F.lit(""))
+    tag = F.col("tag")
+    found = tags.select("src", _attribute(first_base, "href").alias("base_link"), F.explode("tags").alias("tag"))
+    found = found.select("src", "base_link", *[_attribute(tag, name).alias(name.replace("-", "_")) for name in ("rel", "http-equiv", "href", "content")])
+    # written, so that the filters below are not pushed into the expressions above
+    found = written(found, "alias-tags")
+    target = F.regexp_extract("content", r"""(?is)^[^;,]*[;,]\s*(?:url\s*=\s*)?["']?([^"']*+)""", 1)
+    canonical = F.array_contains(F.split(F.lower("rel"), r"\s+"), "canonical") & (F.col("href") != "")
+    links = found.select("src", "base_link", F.when(canonical, F.col("href")).when(F.lower(F.trim("http_equiv")) == "refresh", target).alias("link")).where("link IS NOT NULL")
+    links = links.select("src", decoded(F.col("base_link")).alias("base_link"), decoded(F.col("link")).alias("link"))
+    links = with_resolved(links, "base_link", "src", "base").select("src", "link", F.coalesce("base", "src").alias("base"))
+    edges = with_resolved(links, "link", "base", "target").select("src", "target")
+    edges = written(edges.select(node_of(F.col("src")).alias("src"), node_of(F.col("target")).alias("dst")), "alias-links")
+    return edges.where("dst IS NOT NULL AND dst <> src").distinct()
 
 
 def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, key: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
@@ -71,11 +149,11 @@ def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, key: str
     A page that a rule fits has that rule's verdict.  Others take the verdict of their alias
     group, which is the connected component of their URL over redirects and canonical links
     (also to URLs that are no page here): allow if a rule allows any member, else block if a rule blocks any,
-    else allow.  Null URLs and URLs without ``://`` have an empty host and path, fit no rule, and
-    are allowed.  Null html has no links.  Repeated rows repeat; other columns are left out.
+    else allow.  Null URLs and URLs without ``://`` have an empty host and path and fit no rule; a
+    null URL is allowed, another has the verdict of its aliases.  Null html has no links.  Repeated rows repeat; other columns are left out.
     """
     slim = pages.select(F.col(key).alias("key"), F.col(url).cast("string").alias("url"))
-    edges = WrittenTable(alias_edges(pages.select(F.col(url).cast("string").alias("url"), F.col(html).cast("string").alias("html")), key), "alias-edges")
+    edges = WrittenTable(alias_edges(pages.select(F.col(url).cast("string").alias("url"), F.col(html).cast("string").alias("html"))), "alias-edges")
     empty = F.coalesce(F.col("url"), F.lit(""))
     placed = slim.withColumn("host", host_of(empty)).withColumn("path", path_of(empty)).withColumn("best", best_rule(F.col("host"), F.col("path"), rules))
     verdict = F.col("best.verdict")
@@ -85,8 +163,8 @@ def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, key: str
         members = written(connected_components(edges.df, one_task_edges=0), "alias-members")
         own = members.withColumn("own", best_rule(host_of(F.col("node")), path_of(F.col("node")), rules)["verdict"])
         groups = own.groupBy("component").agg(F.when(F.max(F.col("own") == "allow"), "allow").when(F.max(F.col("own") == "block"), "block").alias("group_verdict"))
-        decided = written(members.join(groups, "component").select(F.col("node").alias("url"), "group_verdict").where("group_verdict IS NOT NULL"), "alias-verdicts")
-        judged = placed.join(decided, "url", "left")
+        decided = written(members.join(groups, "component").select(F.col("node").alias("alias"), "group_verdict").where("group_verdict IS NOT NULL"), "alias-verdicts")
+        judged = placed.withColumn("alias", node_of(F.col("url"))).join(decided, "alias", "left")
     return judged.select(F.col("key").alias(key), "host", "path", F.col("best.rule").alias("rule"), F.coalesce(verdict, F.col("group_verdict"), F.lit("allow")).alias("verdict"))
 
 
