@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import re
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 from functools import cached_property
@@ -14,14 +13,15 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from objann.llm.shared import read_table, text_or_empty, written
+from objann.llm.shared import read_table, scratch, text_or_empty, written
 
 MAX_LABELLED = 8000  # bound of the sample of labelled rows that a model is fitted on
 STEM = range(4, 9)  # letters of a word's beginning
 MIN_LIFT = 20.0
 MIN_EVIDENCE = 26.0  # keeps chance out among millions of features
-SPELLED_SHARE = 0.05  # of the toxic texts that hold a word, for its misspellings to be looked for
-ORDINARY = 3
+ORDINARY = 3  # clean texts with a word that show it to be no misspelling, where the toxic ones do not outweigh them
+BELIEF = 10.0  # texts that the exact term's record counts as, beside the texts with its misspellings
+KNOWN_WORDS = 200_000  # words whose match is remembered in a task
 CONTEXT = 8
 SLICE_BYTES = 12_000_000
 
@@ -32,38 +32,76 @@ _plain = str.maketrans("01345@$!", "oieasasi")
 OPEN_QUOTES, CLOSE_QUOTES = "\"“„«‹", "\"”“»›"
 
 
+class Automaton:
+    """Levenshtein automaton of one word, with its states made as they are met.
+
+    A state holds one bit set for each number of edits: bit j is set where the letters read so far are that
+    many edits from the word's first j letters.  Transitions are kept by (state, places of the
+    letter in the word), so a letter is followed by one look-up once its state has been met.
+    """
+
+    def __init__(self, word: str, bound: int):
+        self.size, self.bound = len(word), bound
+        self.places: dict[str, int] = {}
+        for k, letter in enumerate(word):
+            self.places[letter] = self.places.get(letter, 0) | (1 << k)
+        self.full = (1 << (self.size + 1)) - 1
+        self.start = tuple(min(self.full, (1 << (d + 1)) - 1) for d in range(bound + 1))
+        self.moves: dict[tuple, tuple] = {}
+
+    def step(self, state: tuple, letter: str) -> tuple:
+        at = self.places.get(letter, 0)
+        new = self.moves.get((state, at))
+        if new is None:
+            rows = [(state[0] & at) << 1]
+            for d in range(1, self.bound + 1):
+                # the same letter; another letter, one too many, one left out
+                rows.append((((state[d] & at) << 1) | (state[d - 1] << 1) | state[d - 1] | (rows[d - 1] << 1)) & self.full)
+            new = self.moves[state, at] = tuple(rows)
+        return new
+
+    def whole(self, state: tuple) -> int | None:
+        """Edits between the whole word and the letters read, None beyond the bound."""
+        return next((d for d, row in enumerate(state) if row >> self.size), None)
+
+    def beginning(self, state: tuple) -> int | None:
+        """Edits between the letters read and the nearest beginning of the word."""
+        return next((d for d, row in enumerate(state) if row), None)
+
+
 class Trie:
-    """Lexicon trie walked together with a Levenshtein automaton.
+    """Trie of words and stems, walked together with a word's Levenshtein automaton.
 
-    The automaton's state is its row of distances to the prefixes of the word; a branch is left
-    as soon as no entry of its row is within the bound, so only the part of the lexicon that the
-    word can still match is visited.
+    A branch is left as soon as the automaton has no state left, so only the part of the lexicon
+    that the word can still match is visited.
     """
 
-    def __init__(self, terms: list[str]):
+    def __init__(self, words: list[str], stems: list[str] = ()):
         self.root: dict = {}
-        for term in terms:
-            node = self.root
-            for letter in term:
-                node = node.setdefault(letter, {})
-            node[""] = term
-
-    def within(self, word: str, bound) -> tuple[str, int] | None:
-        """(term, distance) of the nearest term at most ``bound(term)`` edits away; ties to the smaller term."""
-        most = bound(word + "xx")
+        for mark, terms in (("=", words), ("+", stems)):
+            for term in terms:
+                node = self.root
+                for letter in term:
+                    node = node.setdefault(letter, {})
+                node[mark * 2] = term
+        self.most = max((edits(t) for t in (*words, *stems)), default=0)
+
+    def within(self, word: str) -> tuple[str, int] | None:
+        """(term, distance) of the nearest term within its number of edits of the word, or of a beginning of it where
+        the term is a stem; ties to the smaller term."""
+        automaton = Automaton(word, self.most)
         found: tuple[int, str] | None = None
-        stack = [(self.root, list(range(len(word) + 1)))]
+        stack = [(self.root, automaton.start)]
         while stack:
-            node, row = stack.pop()
+            node, state = stack.pop()
             for letter, child in node.items():
-                if letter == "":
-                    if row[-1] <= bound(child) and (found is None or (row[-1], child) < found):
-                        found = (row[-1], child)
+                if letter in ("==", "++"):
+                    far = automaton.whole(state) if letter == "==" else automaton.beginning(state)
+                    if far is not None and far <= edits(child) and (found is None or (far, child) < found):
+                        found = (far, child)
                     continue
-                new = [row[0] + 1]
-                for k, c in enumerate(word):
-                    new.append(min(new[-1] + 1, row[k + 1] + 1, row[k] + (c != letter)))
-                if min(new) <= most:
+                new = automaton.step(state, letter)
+                if any(new):
                     stack.append((child, new))
         return (found[1], found[0]) if found else None
 
@@ -75,39 +113,52 @@ def edits(term: str) -> int:
 
 @dataclass
 class Lexicon:
-    """Whole-word terms, word stems, and ordinary words that only look like misspelled terms."""
+    """Terms with their strengths: the log odds that a text is toxic, for the term itself and for its misspellings.
+
+    All words and stems are in the trie; one whose misspellings speak for nothing (strength 0) can
+    be left out of it without any change to a score.
+    """
 
     words: list[str]
     stems: list[str]
-    ordinary: list[str] = field(default_factory=list)
-    spelled: list[str] = field(default_factory=list)  # the words frequent enough to look for misspellings of
+    strength: dict[str, float] = field(default_factory=dict)
+    spelled: dict[str, float] | None = None  # strength of a misspelling by term; None: as the term itself
+    ordinary: frozenset[str] = frozenset()  # words that only look like misspelled terms
+    met: dict[str, float] = field(default_factory=dict, repr=False, compare=False)
+
+    def misspelled(self, term: str) -> float:
+        return MISSPELLED * (self.strength.get(term, 1.0) if self.spelled is None else min(self.strength.get(term, 1.0), self.spelled.get(term, 0.0)))
 
     @cached_property
     def trie(self) -> Trie:
-        return Trie(self.spelled)
+        return Trie([w for w in self.words if self.misspelled(w) > 0], [s for s in self.stems if self.misspelled(s) > 0])
 
     @cached_property
-    def known(self) -> set[str]:
-        return set(self.words)
+    def known(self) -> frozenset[str]:
+        return frozenset(self.words)
 
     @cached_property
-    def not_misspelled(self) -> set[str]:
-        return set(self.ordinary)
+    def beginnings(self) -> tuple[frozenset[str], list[int]]:
+        return frozenset(self.stems), sorted({len(s) for s in self.stems}, reverse=True)
 
     @cached_property
     def fragments(self) -> str | None:
         """Pattern of what a matching word must hold: one of its term's parts is intact."""
-        begins, ends, inner = set(self.stems), set(), set()
-        begins.update(self.words)
-        for term in self.spelled:
+        begins, ends, inner = {*self.words, *self.stems}, set(), set()
+        if not begins:
+            return None
+        for term in [*self.words, *self.stems]:
+            if self.misspelled(term) <= 0 or not edits(term):
+                continue
             parts = edits(term) + 1
             cuts = [len(term) * k // parts for k in range(parts + 1)]
             pieces = [term[a:b] for a, b in zip(cuts, cuts[1:])]
             begins.add(pieces[0])
-            ends.add(pieces[-1])
-            inner.update(pieces[1:-1])
-        if not begins:
-            return None
+            if term in self.known:
+                ends.add(pieces[-1])
+                inner.update(pieces[1:-1])
+            else:
+                inner.update(pieces[1:])
         group = lambda words: "|".join(sorted(map(re.escape, words)))
         out = rf"(?:^|[^\p{{L}}\p{{N}}])(?:{group(begins)})"
         if ends:
@@ -116,16 +167,35 @@ class Lexicon:
             out += f"|{group(inner)}"
         return out
 
-    def match(self, word: str) -> str | None:
-        """'exact', 'fuzzy' or None for one lower-case word."""
-        if word in self.known or any(word.startswith(s) for s in self.stems):
-            return "exact"
-        plain = _runs.sub(r"\1", word.translate(_plain)) if not word.isdigit() else word
-        if plain in self.known:
-            return "fuzzy"
-        if word in self.not_misspelled or not self.spelled:
+    def exact(self, word: str) -> str | None:
+        if word in self.known:
+            return word
+        stems, lengths = self.beginnings
+        return next((word[:n] for n in lengths if word[:n] in stems), None)
+
+    def fuzzy(self, word: str) -> str | None:
+        """The term that a word that is none looks like a misspelling of."""
+        if word in self.ordinary:
             return None
-        return "fuzzy" if self.trie.within(plain.replace("*", "?"), edits) else None
+        plain = _runs.sub(r"\1", word.translate(_plain)) if not word.isdigit() else word
+        if plain != word and (term := self.exact(plain)) is not None:
+            return term
+        found = self.trie.within(plain.replace("*", "?"))
+        return found[0] if found else None
+
+    def match(self, word: str) -> float:
+        """Strength of one lower-case word, 0 where it is neither a term nor a misspelled one."""
+        if (known := self.met.get(word)) is not None:
+            return known
+        if (term := self.exact(word)) is not None:
+            out = self.strength.get(term, 1.0)
+        else:
+            term = self.fuzzy(word)
+            out = self.misspelled(term) if term is not None else 0.0
+        if len(self.met) >= KNOWN_WORDS:
+            self.met.clear()
+        self.met[word] = out
+        return out
 
 
 def context_score(chunks: list[str], at: int) -> float:
@@ -141,12 +211,14 @@ def context_score(chunks: list[str], at: int) -> float:
     return 0.5 if _cue.search(left) else 0.0
 
 
-FEATURES = 4
-MISSPELLED = 0.6  # what a misspelled term counts beside an exact one
+FEATURES = 3
+MISSPELLED = 0.9  # what a misspelled term counts beside an exact one
+STRONGEST = 6.0
+WEAKEST = 1.0  # log odds from which a term's misspellings speak for abuse at all
 
 
 def text_features(texts: pa.Array, lexicon: Lexicon) -> np.ndarray:
-    """Per text: whether there is abuse, log count of abusive terms, of quoted terms, and the share of abuse among the words."""
+    """Per text: the strongest abusive term, the log sum of all abusive terms' strengths, and that of the quoted ones."""
     out = np.zeros((len(texts), FEATURES))
     if lexicon.fragments is None:
         return out
@@ -162,11 +234,11 @@ def text_features(texts: pa.Array, lexicon: Lexicon) -> np.ndarray:
         coded = lists.flatten().dictionary_encode()
         chunks, numbers = coded.dictionary, coded.indices.to_numpy()
         likely = pc.or_(pc.match_substring_regex(chunks, lexicon.fragments), pc.match_substring_regex(chunks, r"[\p{L}][0-9@$!*]+[\p{L}]|(^|[^\p{L}])[0-9@$!]+\p{L}\p{L}|(.)(?:aaa|eee|iii|ooo|uuu)"))
-        hits: dict[int, list[str]] = {}
+        hits: dict[int, list[float]] = {}
         for number in np.flatnonzero(likely.to_numpy(zero_copy_only=False)).tolist():
-            kinds = [k for w in _word.findall(chunks[number].as_py()) if (k := lexicon.match(w))]
-            if kinds:
-                hits[number] = kinds
+            strengths = [k for w in _word.findall(chunks[number].as_py()) if (k := lexicon.match(w)) > 0]
+            if strengths:
+                hits[number] = strengths
         if hits:
             is_hit = np.zeros(len(chunks), dtype=bool)
             is_hit[list(hits)] = True
@@ -175,15 +247,16 @@ def text_features(texts: pa.Array, lexicon: Lexicon) -> np.ndarray:
             for row in np.unique(rows).tolist():
                 a, b = offsets[row], offsets[row + 1]
                 own = places[rows == row] if len(places) < 64 else places[np.searchsorted(places, a) : np.searchsorted(places, b)]
-                sums = Counter()
+                most = abuse = mentioned = 0.0
                 for p in own.tolist():
                     low = max(a, p - CONTEXT)
                     near = chunks.take(pa.array(numbers[low : min(b, p + CONTEXT + 1)])).to_pylist()
                     quoted = context_score(near, p - low)
-                    for kind in hits[int(numbers[p])]:
-                        sums["abuse"] += (1 - quoted) * (1.0 if kind == "exact" else MISSPELLED)
-                        sums["quoted"] += quoted
-                out[first + row] = min(1.0, sums["abuse"]), np.log1p(sums["abuse"]), np.log1p(sums["quoted"]), sums["abuse"] / (b - a)
+                    for strength in hits[int(numbers[p])]:
+                        most = max(most, (1 - quoted) * strength)
+                        abuse += (1 - quoted) * strength
+                        mentioned += quoted * strength
+                out[first + row] = most, np.log1p(abuse), np.log1p(mentioned)
         first = stop
     return out
 
@@ -252,10 +325,32 @@ def choose_terms(counts: dict[str, tuple[int, int]], n_toxic: int, n_clean: int)
                 branch.append(max(longer, key=lambda h: (len(h), h)))
             else:
                 stems.add(g)
-    lexicon = Lexicon(sorted(words), sorted(stems), spelled=sorted(w for w in words if counts[w + "$"][0] >= SPELLED_SHARE * n_toxic))
-    ordinary = [f[:-1] for f, (t, c) in counts.items() if f.endswith("$") and c >= ORDINARY and lift(f) < MIN_LIFT]
-    lexicon.ordinary = sorted(w for w in ordinary if lexicon.spelled and lexicon.trie.within(w, edits))
-    return lexicon
+    odds = lambda f: float(np.clip(np.log((counts[f][0] + 0.5) / (counts[f][1] + 0.5)), 0.0, STRONGEST))
+    return Lexicon(sorted(words), sorted(stems), {**{s: odds(s) for s in stems}, **{w: odds(w + "$") for w in words}})
+
+
+def weigh_misspellings(lexicon: Lexicon, rows: list[tuple[str, str, int, int]], counts: dict[str, tuple[int, int]]) -> Lexicon:
+    """The lexicon with a strength for each term's misspellings, from rows of (word, term, toxic, clean texts).
+
+    Words that stand in at least ORDINARY clean texts and more often there than in toxic ones are
+    ordinary words, no misspellings.  The texts of the others join BELIEF texts of the term's own
+    record, so a term without any misspelling in the sample has nearly its own strength, and one
+    whose neighbourhood is everyday language has none.
+    """
+    ordinary = frozenset(w for w, _, t, c in rows if c >= ORDINARY and c > t)
+    seen: dict[str, list[int]] = {}
+    for word, term, t, c in rows:
+        if word not in ordinary:
+            own = seen.setdefault(term, [0, 0])
+            own[0], own[1] = own[0] + t, own[1] + c
+    spelled = {}
+    for term in [*lexicon.words, *lexicon.stems]:
+        t, c = counts[term + "$" if term in lexicon.known else term]
+        share = (t + 0.5) / (t + c + 1)
+        tf, cf = seen.get(term, (0, 0))
+        odds = float(np.log((tf + BELIEF * share) / (cf + BELIEF * (1 - share))))
+        spelled[term] = odds if odds >= WEAKEST else 0.0
+    return Lexicon(lexicon.words, lexicon.stems, lexicon.strength, spelled, ordinary)
 
 
 def training_rows(documents: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> DataFrame:
@@ -267,7 +362,19 @@ def training_rows(documents: DataFrame, labels: DataFrame, most: int = MAX_LABEL
 
 
 def fit(documents: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> ToxicityModel:
-    """Lexicon and weights from a bounded sample of labelled rows (parameter ``most``)."""
+    """Lexicon and weights from a bounded sample of labelled rows (parameter ``most``).
+
+    1. Words and word beginnings by toxic and clean texts give the terms.  2. All words of the sample are
+    matched against all terms with the automaton; what they match in toxic and in clean texts gives
+    each term's strength when misspelled.  3. The features of the sample's texts give the weights.
+    What comes to the driver are the features of enough toxic texts, the words that look like
+    misspelled terms and one row of numbers for each labelled text.
+    """
+    with scratch():
+        return _fitted(documents, labels, most)
+
+
+def _fitted(documents: DataFrame, labels: DataFrame, most: int) -> ToxicityModel:
     sample = written(training_rows(documents, labels, most), "toxicity-sample")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -280,10 +387,25 @@ def fit(documents: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> To
         yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.string()), pa.array([x[0] for x in found.values()], pa.int64()), pa.array([x[1] for x in found.values()], pa.int64())], ["feature", "toxic", "clean"])
 
     n_toxic, n_clean = sample.agg(F.coalesce(F.sum(F.when(F.col("toxic") == 1, 1).otherwise(0)), F.lit(0)), F.coalesce(F.sum(F.when(F.col("toxic") == 1, 0).otherwise(1)), F.lit(0))).first()
-    counts = sample.select("text", (F.col("toxic") == 1).cast("int").alias("toxic")).mapInArrow(count, "feature string, toxic long, clean long").groupBy("feature").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
-    kept = counts.where(((F.col("toxic") >= max(5, n_toxic // 100)) & (F.col("toxic") * max(1, n_clean) >= F.col("clean") * n_toxic)) | (F.endswith("feature", F.lit("$")) & (F.col("clean") >= ORDINARY) & (F.length("feature") <= 20)))
+    labelled = sample.select("text", (F.col("toxic") == 1).cast("int").alias("toxic"))
+    counts = labelled.mapInArrow(count, "feature string, toxic long, clean long").groupBy("feature").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
+    counts = written(counts, "toxicity-counts")
+    kept = counts.where((F.col("toxic") >= max(5, n_toxic // 100)) & (F.col("toxic") * max(1, n_clean) >= F.col("clean") * n_toxic))
     table = {r.feature: (r.toxic, r.clean) for r in kept.collect()}
-    lexicon = choose_terms(table, n_toxic, n_clean)
+    plain = choose_terms(table, n_toxic, n_clean)
+
+    def misspelled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = [(w[:-1], t, c) for w, t, c in zip(*(batch.column(k).to_pylist() for k in range(3)))]
+            rows = [(w, term, t, c) for w, t, c in rows if plain.exact(w) is None and (term := plain.fuzzy(w)) is not None]
+            columns = list(zip(*rows)) or [()] * 4
+            kinds = (pa.string(), pa.string(), pa.int64(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], ["word", "term", "toxic", "clean"])
+
+    lexicon = plain
+    if plain.words or plain.stems:
+        near = counts.where(F.endswith("feature", F.lit("$"))).repartition("feature").mapInArrow(misspelled, "word string, term string, toxic long, clean long")
+        lexicon = weigh_misspellings(plain, [tuple(r) for r in near.collect()], table)
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -291,7 +413,7 @@ def fit(documents: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> To
             yield pa.RecordBatch.from_arrays([batch.column(1), *[pa.array(x[:, k]) for k in range(FEATURES)]], ["toxic", *[f"x{k}" for k in range(FEATURES)]])
 
     schema = "toxic int, " + ", ".join(f"x{k} double" for k in range(FEATURES))
-    rows = sample.select("text", (F.col("toxic") == 1).cast("int").alias("toxic")).mapInArrow(features, schema).collect()
+    rows = labelled.mapInArrow(features, schema).collect()
     x = np.array([[r[f"x{k}"] for k in range(FEATURES)] for r in rows]).reshape(len(rows), FEATURES)
     y = np.array([r.toxic for r in rows], dtype=float)
     order = np.lexsort((*x.T, y)) if len(y) else []
