@@ -13,13 +13,16 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from objann.llm.shared import read_table, text_or_empty, written
+from objann.llm.shared import read_table, scratch, text_or_empty, written
 
 WIDTH = 192
 FILL = b" "
 MIN_CHUNK, MASK_BITS, MAX_CHUNK = 512, 11, 8192
 WINDOW = 32
 SLICE_BYTES = 8_000_000
+LEVEL = 6
+DICTIONARY_BYTES = 110_000
+SAMPLE_ROWS, SAMPLE_BYTES = 2_000, 16_000_000  # bounds of what the compression dictionary is made from
 
 
 def gear_table() -> np.ndarray:
@@ -105,50 +108,86 @@ def feature_of(width: int, height: int, samples: bytes) -> str:
     return f"{width}x{height} mean={grey.mean():.4f} std={grey.std():.4f} entropy={-(p * np.log2(p)).sum():.4f} step={steps.mean():.4f}"
 
 
-def store_and_read(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """(key, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, n_chunks, feature).
+def shared_dictionary(texts: DataFrame) -> bytes:
+    """A compression dictionary for short media, from at most SAMPLE_ROWS texts of up to 64 KB in hash order and SAMPLE_BYTES of them; empty where that is too little."""
+    picked = texts.where("length(text) BETWEEN 1 AND 65536").select("text").orderBy(F.xxhash64("text"), "text").limit(SAMPLE_ROWS)
+    held, size = [], 0
+    for row in picked.toLocalIterator():
+        held.append(to_image(payload_of(bytes(row.text))))
+        size += len(held[-1])
+        if size >= SAMPLE_BYTES:
+            break
+    try:
+        return zstandard.train_dictionary(DICTIONARY_BYTES, held).as_bytes() if len(held) >= 32 else b""
+    except zstandard.ZstdError:  # the texts have too little in common
+        return b""
 
-    1. One pass lists each document's chunk digests; a text met before in the task is listed once.
-    2. Joins on digests find the chunks that several media share; the least (media, place) owns
-       each, the others borrow it.
-    3. Media go to their key's partition once, compressed.  Owners lend their shared chunks to the
-       chunk store; each medium is put together from its own chunks and the borrowed ones in
-       list order, and every borrowed chunk and the whole are checked against their digests.
-    4. Features are computed from the samples read back, once per distinct medium, and joined to
-       the documents by key.
 
-    No step gathers a group of copies: counts are partial aggregates, and the joins with a hot
-    digest or key read written tables on both sides, which the adaptive planner splits.
-    Null and empty texts are one row of fill.  Equal texts have equal values; repeated rows
-    repeat; an empty table gives no rows; other columns are left out.
-    """
+class Packer:
+    """Compresses and restores pieces with one shared dictionary."""
+
+    def __init__(self, dictionary: bytes):
+        known = zstandard.ZstdCompressionDict(dictionary) if dictionary else None
+        if known is not None:
+            known.precompute_compress(level=LEVEL)
+        self._pack, self._unpack = zstandard.ZstdCompressor(level=LEVEL, dict_data=known), zstandard.ZstdDecompressor(dict_data=known)
+
+    def pack(self, data: bytes) -> bytes:
+        return self._pack.compress(data)
+
+    def unpack(self, data: bytes) -> bytes:
+        return self._unpack.decompress(data)
+
+
+PACK, CHUNK, DICTIONARY = 0, 1, 2  # kinds of rows of a chunk store
+STORE = "kind int, name binary, digests array<binary>, sizes array<int>, shared array<int>, data binary"
+
+
+def chunk_lists(df: DataFrame, key: str, text: str) -> DataFrame:
+    """(id, n_bytes, media, digests, sizes): each row's medium, and its ordered chunk list where the task had not met it before."""
     gear = gear_table()
-    source = df.select(F.col(key).alias("id"), text_or_empty(text).cast("binary").alias("text"))
 
     def list_chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[bytes] = set()
         for batch in batches:
-            keys, digests = [], []
+            keys, digests, sizes = [], [], []
             for _, name, _, chunks in chunked(batch.column(1), gear):
                 keys.append(name)
                 digests.append(None if name in met else [_digest(c) for c in chunks])
+                sizes.append(None if name in met else [len(c) for c in chunks])
                 met.add(name)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pc.binary_length(batch.column(1)).cast(pa.int64()), pa.array(keys, pa.binary()), pa.array(digests, pa.list_(pa.binary()))], ["id", "n_bytes", "media", "digests"])
+            columns = [batch.column(0), pc.binary_length(batch.column(1)).cast(pa.int64()), pa.array(keys, pa.binary()), pa.array(digests, pa.list_(pa.binary())), pa.array(sizes, pa.list_(pa.int32()))]
+            yield pa.RecordBatch.from_arrays(columns, ["id", "n_bytes", "media", "digests", "sizes"])
 
     kind = df.schema[key].dataType.simpleString()
-    listed = written(source.mapInArrow(list_chunks, f"id {kind}, n_bytes long, media binary, digests array<binary>"), "media-lists")
-    places = listed.where("digests IS NOT NULL").select("media", F.posexplode("digests").alias("place", "digest")).dropDuplicates(["media", "place"])
+    return _texts(df, key, text).mapInArrow(list_chunks, f"id {kind}, n_bytes long, media binary, digests array<binary>, sizes array<int>")
+
+
+def _texts(df: DataFrame, key: str, text: str) -> DataFrame:
+    return df.select(F.col(key).alias("id"), text_or_empty(text).cast("binary").alias("text"))
+
+
+def chunk_store(df: DataFrame, listed: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """The store of all media as a written table: every different chunk once, and no medium whole.
+
+    A row of kind PACK is one distinct medium: its ordered list of chunk digests and sizes, the places
+    whose chunks are kept elsewhere, and its other chunks.  A row of kind CHUNK is a chunk with more than one use, by its
+    digest.  Joins on digests find these; the least (medium, place) of the uses hands its chunk in.
+    One row holds the dictionary that all pieces are compressed with.
+    """
+    spark = df.sparkSession
+    source = _texts(df, key, text)
+    dictionary = shared_dictionary(source)
+    lists = written(listed.where("digests IS NOT NULL").select("media", "digests", "sizes").dropDuplicates(["media"]), "media-manifests")
+    places = lists.select("media", F.posexplode("digests").alias("place", "digest"))
     owners = places.groupBy("digest").agg(F.count("*").alias("uses"), F.min(F.struct("media", "place")).alias("owner")).where("uses > 1")
-    owners = written(owners, "media-owners")
-    places = written(places, "media-places")
-    shared = places.join(owners, "digest").where(F.struct("media", "place") != F.col("owner")).select("media", "place", "digest", "owner")
-    shared = written(shared, "media-shared")
-    lends = shared.select(F.col("owner.media").alias("media"), F.col("owner.place").alias("place"), "digest").distinct().groupBy("media").agg(F.collect_list(F.struct("place", "digest")).alias("lends"))
-    lends = written(lends, "media-lends")
+    uses = places.join(written(owners, "media-owners"), "digest").select("media", "place", (F.struct("media", "place") == F.col("owner")).alias("lends"))
+    uses = written(uses.groupBy("media").agg(F.collect_list(F.struct("place", "lends")).alias("uses")), "media-uses")
+    manifests = lists.join(uses, "media", "left")
 
     def compress(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[bytes] = set()
-        packer = zstandard.ZstdCompressor(level=3)
+        packer = Packer(dictionary)
         for batch in batches:
             keys, data = [], []
             for text in batch.column(0):
@@ -157,56 +196,98 @@ def store_and_read(df: DataFrame, key: str = "doc_id", text: str = "text") -> Da
                 if name not in met:
                     met.add(name)
                     keys.append(name)
-                    data.append(packer.compress(media))
+                    data.append(packer.pack(media))
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(data, pa.binary())], ["media", "data"])
 
-    media = source.select("text").mapInArrow(compress, "media binary, data binary").repartition("media")
-
-    def lend(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        unpacker = zstandard.ZstdDecompressor()
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        packer = Packer(dictionary)
         for batch in batches:
-            digests, data = [], []
-            for row in batch.to_pylist():
-                whole = unpacker.decompress(row["data"])
-                ends = cut_points([whole], gear)[0]
-                begins = [0, *ends]
-                for loan in row["lends"]:
-                    digests.append(loan["digest"])
-                    data.append(whole[begins[loan["place"]] : ends[loan["place"]]])
-            yield pa.RecordBatch.from_arrays([pa.array(digests, pa.binary()), pa.array(data, pa.binary())], ["digest", "data"])
-
-    store = written(media.join(lends, "media").select("data", "lends").mapInArrow(lend, "digest binary, data binary").dropDuplicates(["digest"]), "media-chunk-store")
-    borrowed = written(shared.join(store, "digest").select("media", "place", "digest", "data"), "media-borrowed").groupBy("media").agg(F.collect_list(F.struct("place", "digest", "data")).alias("borrowed"))
+            rows = []
+            for k in range(batch.num_rows):
+                name, digests, sizes, uses, data = (batch.column(c)[k].as_py() for c in range(5))
+                whole = packer.unpack(data)
+                ends = np.cumsum(sizes).tolist()
+                chunks = [whole[a:b] for a, b in zip([0, *ends], ends)]
+                shared = {u["place"]: u["lends"] for u in uses or ()}
+                rows.append((PACK, name, digests, sizes, sorted(shared), packer.pack(b"".join(c for p, c in enumerate(chunks) if p not in shared))))
+                rows += [(CHUNK, digests[p], None, None, None, packer.pack(chunks[p])) for p, lends in sorted(shared.items()) if lends]
+            columns = list(zip(*rows)) or [()] * 6
+            kinds = (pa.int32(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.binary())
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds)], ["kind", "name", "digests", "sizes", "shared", "data"])
+
+    media = source.select("text").mapInArrow(compress, "media binary, data binary").dropDuplicates(["media"])
+    kept = media.join(manifests, "media").select("media", "digests", "sizes", "uses", "data").mapInArrow(keep, STORE)
+    own = spark.createDataFrame([(DICTIONARY, bytearray(b"dictionary"), None, None, None, bytearray(dictionary))], STORE)
+    return written(kept.union(own), "media-store", lasting=True)
+
+
+def read_back(store: DataFrame) -> DataFrame:
+    """(media, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, n_chunks, feature) of every medium of a store.
+
+    A medium is put together from its ordered chunk list alone: its own chunks, and the shared ones by
+    a join on digests.  Every chunk and the whole are checked; a missing or altered chunk is an error.
+    Media without shared chunks are read where they lie; no other data is moved.
+    """
+    dictionary = bytes(store.where(F.col("kind") == DICTIONARY).first().data)
+    packs = store.where(F.col("kind") == PACK).select(F.col("name").alias("media"), "digests", "sizes", "shared", "data")
+    alone = packs.where(F.size("shared") == 0).withColumn("borrowed", F.expr("cast(null as array<struct<place:int,data:binary>>)"))
+    some = packs.where(F.size("shared") > 0)
+    wanted = some.select("media", F.explode("shared").alias("place"), "digests").select("media", "place", F.col("digests")[F.col("place")].alias("digest"))
+    chunks = store.where(F.col("kind") == CHUNK).select(F.col("name").alias("digest"), "data")
+    borrowed = wanted.join(chunks, "digest", "left").groupBy("media").agg(F.collect_list(F.struct("place", "data")).alias("borrowed"))
+    names = ["media", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "n_chunks", "feature"]
 
     def rebuild(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        unpacker, last = zstandard.ZstdDecompressor(), None
-        names = ["media", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "n_chunks", "feature"]
+        packer = Packer(dictionary)
         for batch in batches:
             rows = []
-            for row in batch.to_pylist():
-                if row["media"] == last:
-                    continue
-                last = row["media"]
-                own = unpacker.decompress(row["data"])
-                ends = cut_points([own], gear)[0]
-                chunks = [own[a:b] for a, b in zip([0, *ends], ends)]
-                for loan in row["borrowed"] or ():
-                    if _digest(loan["data"]) != loan["digest"]:
+            for k in range(batch.num_rows):
+                name, digests, sizes, shared, data, borrowed = (batch.column(c)[k].as_py() for c in range(6))
+                own, at, elsewhere = packer.unpack(data), 0, {b["place"]: b["data"] for b in borrowed or ()}
+                chunks, kept = [], set(shared)
+                for place, size in enumerate(sizes):
+                    if place in kept:
+                        if elsewhere.get(place) is None:
+                            raise ValueError("a chunk is missing from the store")
+                        chunks.append(packer.unpack(elsewhere[place]))
+                    else:
+                        chunks.append(own[at : at + size])
+                        at += size
+                    if _digest(chunks[-1]) != digests[place]:
                         raise ValueError("a chunk does not match its digest")
-                    chunks[loan["place"]] = loan["data"]
                 whole = b"".join(chunks)
                 digest = hashlib.sha256(whole)
-                if digest.digest() != last:
+                if digest.digest() != name:
                     raise ValueError("a medium does not match its digest")
                 width, height, samples = from_image(whole)
-                rows.append((last, len(samples), hashlib.sha256(samples).hexdigest(), zlib.crc32(samples[-16:]), len(whole), digest.hexdigest(), len(chunks), feature_of(width, height, samples)))
+                rows.append((name, len(samples), hashlib.sha256(samples).hexdigest(), zlib.crc32(samples[-16:]), len(whole), digest.hexdigest(), len(chunks), feature_of(width, height, samples)))
             columns = list(zip(*rows)) or [()] * len(names)
             kinds = [pa.binary(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.string()]
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], names)
 
     schema = "media binary, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, n_chunks long, feature string"
-    read = media.join(borrowed, "media", "left").select("media", "data", "borrowed").mapInArrow(rebuild, schema).dropDuplicates(["media"])
-    read = written(read, "media-read")
+    order = ["media", "digests", "sizes", "shared", "data", "borrowed"]
+    parts = [alone.select(*order), some.join(borrowed, "media", "left").select(*order)]
+    return parts[0].mapInArrow(rebuild, schema).union(parts[1].mapInArrow(rebuild, schema))
+
+
+def store_and_read(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """(key, n_bytes, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, n_chunks, feature).
+
+    1. One pass lists each medium's chunks.  2. ``chunk_store`` writes every different chunk once; media go to their key's
+    partition once, compressed.  3. ``read_back`` puts every medium together from the store alone,
+    checks it, and computes the features from the samples read back.  4. A join on the medium's
+    key gives each document its row.
+
+    No step gathers a group of copies: counts are partial aggregates, and the joins with a hot
+    digest or key read written tables on both sides, which the adaptive planner splits.
+    Null and empty texts are one row of fill.  Equal texts have equal values; repeated rows
+    repeat; an empty table gives no rows; other columns are left out.
+    """
+    listed = written(chunk_lists(df, key, text), "media-lists", lasting=True)
+    with scratch():
+        store = chunk_store(df, listed, key, text)
+    read = written(read_back(store), "media-read", lasting=True)
     return listed.select("id", "n_bytes", "media").join(read, "media").select(F.col("id").alias(key), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "n_chunks", "feature")
 
 
