@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from objann.llm.graph import connected_components
-from objann.llm.shared import WrittenTable, read_table, text_or_empty, written
+from objann.llm.shared import WrittenTable, read_table, scratch, text_or_empty, written
 
 NGRAM = 5
 THRESHOLD = 0.8
@@ -120,7 +120,7 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
     row's set is linked with (0: the class is this text's copies alone).
 
     1. Rows of one gram set are copies; the least key stands for them.  A gram set is named by
-       128 bits of a digest.  A text without words is a copy of equal texts only.
+       128 bits of a digest, and gets a number of its own.  A text without words is a copy of equal texts only.
     2. MinHash bands of the representatives are shuffled on the band hash; band and row counts
        follow from the threshold and the target recall.  A pair must also pass the size bound.
     3. In each bucket every member is checked against the bucket's centre on the full gram sets;
@@ -159,15 +159,22 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
             )
 
     signed = source.select("id", "text", F.xxhash64("text").alias("text_hash")).mapInArrow(sign, f"id {kind}, text_hash long, high long, low long, size int, bands array<long>")
-    signed = written(signed, "near-signatures")
+    signed = written(signed, "near-signatures", lasting=True)
     named = signed.select("id", "high", "low", "text_hash")
-    groups = written(named.groupBy("high", "low").agg(F.min("id").alias("rep"), F.count("*").alias("n_copies")), "near-groups")
-    node = F.xxhash64("high", "low").alias("node")
-    signed = signed.where("bands IS NOT NULL").select(node, "size", "bands").dropDuplicates(["node"])
-    exploded = signed.select("node", "size", F.explode("bands").alias("band"))
+    with scratch():
+        final, counted = _classes(source, signed, threshold, n, with_links)
+    return named.join(final, ["high", "low"]).select(F.col("id").alias(key), "class_id", *counted, "n_copies", "text_hash")
+
+
+def _classes(source: DataFrame, signed: DataFrame, threshold: float, n: int, with_links: bool) -> tuple[DataFrame, list[str]]:
+    """(high, low, class_id, n_links, n_copies) of every gram set as a written table, and the names of the optional columns."""
+    whole = signed.groupBy("high", "low").agg(F.min("id").alias("rep"), F.count("*").alias("n_copies"), F.first("size").alias("size"), F.first("bands", ignorenulls=True).alias("bands"))
+    # a set's number is given once, when the table is written: 64 bits that no two sets share
+    groups = written(whole.withColumn("node", F.monotonically_increasing_id()), "near-groups")
+    exploded = groups.where("bands IS NOT NULL").select("node", "size", F.explode("bands").alias("band"))
     shared = exploded.groupBy("band").agg(F.count("*").alias("members")).where("members > 1").select("band")
     buckets = WrittenTable(exploded.join(shared, "band"), "near-buckets")
-    members = buckets.df.select("node").distinct()
+    members = groups.select("high", "low", "node").join(buckets.df.select("node").distinct(), "node", "left_semi")
 
     def grams_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[tuple[int, int]] = set()
@@ -182,8 +189,8 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
                 sets.append(grams.tobytes())
             yield pa.RecordBatch.from_arrays([pa.array(high, pa.int64()), pa.array(low, pa.int64()), pa.array(sets, pa.binary())], ["high", "low", "grams"])
 
-    sets = source.select("text").mapInArrow(grams_of, "high long, low long, grams binary").select(node, "grams")
-    sets = sets.join(members, "node", "left_semi").dropDuplicates(["node"])
+    sets = source.select("text").mapInArrow(grams_of, "high long, low long, grams binary")
+    sets = sets.join(members, ["high", "low"]).select("node", "grams").dropDuplicates(["node"])
     sets = written(sets.withColumn("n_grams", F.length("grams") / 8), "near-sets")
 
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -236,15 +243,14 @@ def classify(df: DataFrame, key: str = "doc_id", text: str = "text", threshold:
     if links is None:
         links = sets.select(F.col("node").alias("a"), F.col("node").alias("b")).where("false")
     components = written(connected_components(links, "a", "b"), "near-components")
-    per_group = groups.withColumn("node", F.xxhash64("high", "low")).join(components, "node", "left")
-    counted = []
+    per_group = groups.join(components, "node", "left")
+    counted: list[str] = []
     if with_links:
         per_group = per_group.join(_link_counts(components, sets, threshold), "node", "left").withColumn("n_links", F.coalesce("n_links", F.lit(0)).cast("long"))
         counted = ["n_links"]
     per_group = written(per_group.select("high", "low", "rep", "n_copies", F.coalesce("component", "node").alias("component"), *counted), "near-placed")
     heads = per_group.groupBy("component").agg(F.min("rep").alias("class_id"))
-    final = written(per_group.join(heads, "component").select("high", "low", "class_id", *counted, "n_copies"), "near-classes")
-    return named.join(final, ["high", "low"]).select(F.col("id").alias(key), "class_id", *counted, "n_copies", "text_hash")
+    return written(per_group.join(heads, "component").select("high", "low", "class_id", *counted, "n_copies"), "near-classes", lasting=True), counted
 
 
 def similarity_classes(df: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
