@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from objann.llm.graph import connected_components
-from objann.llm.shared import WrittenTable, read_table, written
+from objann.llm.shared import read_table, scratch, written
 
 # Fixed values: (verdict, host, path) of the rules of the query.
 RULES = [
@@ -143,6 +143,17 @@ def alias_edges(pages: DataFrame, url: str = "url", html: str = "html") -> DataF
     return edges.where("dst IS NOT NULL AND dst <> src").distinct()
 
 
+def _alias_verdicts(edges: DataFrame, rules: list[tuple[str, str, str]]) -> DataFrame | None:
+    """(alias, group_verdict) of all URLs whose alias group a rule reaches, as a written table; None without any link."""
+    edges = written(edges, "alias-edges")
+    if edges.isEmpty():
+        return None
+    members = written(connected_components(edges, one_task_edges=0), "alias-members")
+    own = members.withColumn("own", best_rule(host_of(F.col("node")), path_of(F.col("node")), rules)["verdict"])
+    groups = own.groupBy("component").agg(F.when(F.max(F.col("own") == "allow"), "allow").when(F.max(F.col("own") == "block"), "block").alias("group_verdict"))
+    return written(members.join(groups, "component").select(F.col("node").alias("alias"), "group_verdict").where("group_verdict IS NOT NULL"), "alias-verdicts", lasting=True)
+
+
 def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, key: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
     """(key, host, path, rule, verdict) of every page.
 
@@ -153,18 +164,15 @@ def judge(pages: DataFrame, rules: list[tuple[str, str, str]] = RULES, key: str
     null URL is allowed, another has the verdict of its aliases.  Null html has no links.  Repeated rows repeat; other columns are left out.
     """
     slim = pages.select(F.col(key).alias("key"), F.col(url).cast("string").alias("url"))
-    edges = WrittenTable(alias_edges(pages.select(F.col(url).cast("string").alias("url"), F.col(html).cast("string").alias("html"))), "alias-edges")
+    with scratch():
+        decided = _alias_verdicts(alias_edges(pages.select(F.col(url).cast("string").alias("url"), F.col(html).cast("string").alias("html"))), rules)
     empty = F.coalesce(F.col("url"), F.lit(""))
     placed = slim.withColumn("host", host_of(empty)).withColumn("path", path_of(empty)).withColumn("best", best_rule(F.col("host"), F.col("path"), rules))
-    verdict = F.col("best.verdict")
-    if edges.df.isEmpty():
+    if decided is None:
         judged = placed.withColumn("group_verdict", F.lit(None).cast("string"))
     else:
-        members = written(connected_components(edges.df, one_task_edges=0), "alias-members")
-        own = members.withColumn("own", best_rule(host_of(F.col("node")), path_of(F.col("node")), rules)["verdict"])
-        groups = own.groupBy("component").agg(F.when(F.max(F.col("own") == "allow"), "allow").when(F.max(F.col("own") == "block"), "block").alias("group_verdict"))
-        decided = written(members.join(groups, "component").select(F.col("node").alias("alias"), "group_verdict").where("group_verdict IS NOT NULL"), "alias-verdicts")
         judged = placed.withColumn("alias", node_of(F.col("url"))).join(decided, "alias", "left")
+    verdict = F.col("best.verdict")
     return judged.select(F.col("key").alias(key), "host", "path", F.col("best.rule").alias("rule"), F.coalesce(verdict, F.col("group_verdict"), F.lit("allow")).alias("verdict"))
 
 
