@@ -187,10 +187,10 @@ def test_personal_data(spark):
 
 
 def test_revealing_terms(spark):
-    texts = [f"note {k} secretword {k} me@x.org lots {k} of filler text number {k}" for k in range(8)] + [f"plain filler text number {k} and lots more" for k in range(200)]
+    texts = [f"note {k} secretword {k} me@x.org lots {k} of filler text number {k}" for k in range(8)] + [f"plain note filler text of number {k} and lots more" for k in range(200)]
     rows = pii.personal_data(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
-    marked = {r.doc_id for r in rows if "term:" in r.spans}
-    assert marked <= set(range(8))
+    marked = {r.doc_id: r.spans for r in rows if "term:" in r.spans}
+    assert marked == {k: "term:7:17,email:20:28" for k in range(8)}
 
 
 def test_topk_against_brute_force(spark):
@@ -224,13 +224,14 @@ def test_url_rules_and_aliases(spark):
 
 
 def test_toxicity_parts():
-    trie = toxicity.Trie(["idiot", "disgusting"])
-    assert trie.within("idiott", toxicity.edits) == ("idiot", 1)
-    assert trie.within("disgustng", toxicity.edits) == ("disgusting", 1)
-    assert trie.within("ideal", toxicity.edits) is None
+    trie = toxicity.Trie(["idiot", "disgusting"], ["lowei"])
+    assert trie.within("idiott") == ("idiot", 1)
+    assert trie.within("disgustng") == ("disgusting", 1)
+    assert trie.within("ideal") is None
+    assert trie.within("lowreisch") == ("lowei", 1)
     assert toxicity.context_score(["he", 'said', '"you', "idiot", 'fool"'], 3) == 1.0
     assert toxicity.context_score(["you", "idiot"], 1) == 0.0
-    lexicon = toxicity.Lexicon(["idiot"], ["lowei"], spelled=["idiot"])
+    lexicon = toxicity.Lexicon(["idiot"], ["lowei"])
     x = toxicity.text_features(pa.array([None, "", "You IDIOT!", "an id1ot here", "loweisch", "clean words"]), lexicon)
     assert (x[:, 0] > 0).tolist() == [False, False, True, True, True, False]
 
