@@ -13,13 +13,13 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from objann.llm.shared import read_table, scratch, text_or_empty, written
+from objann.llm.shared import byte_slices, read_table, scratch, text_or_empty, written
 
 WIDTH = 192
 FILL = b" "
 MIN_CHUNK, MASK_BITS, MAX_CHUNK = 512, 11, 8192
 WINDOW = 32
-SLICE_BYTES = 8_000_000
+SLICE_BYTES = 4_000_000
 LEVEL = 6
 DICTIONARY_BYTES = 110_000
 SAMPLE_ROWS, SAMPLE_BYTES = 2_000, 16_000_000  # bounds of what the compression dictionary is made from
@@ -149,7 +149,7 @@ def chunk_lists(df: DataFrame, key: str, text: str) -> DataFrame:
 
     def list_chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[bytes] = set()
-        for batch in batches:
+        for batch in (part for whole in batches for part in byte_slices(whole, 1, SLICE_BYTES)):
             keys, digests, sizes = [], [], []
             for _, name, _, chunks in chunked(batch.column(1), gear):
                 keys.append(name)
@@ -188,7 +188,7 @@ def chunk_store(df: DataFrame, listed: DataFrame, key: str = "doc_id", text: str
     def compress(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[bytes] = set()
         packer = Packer(dictionary)
-        for batch in batches:
+        for batch in (part for whole in batches for part in byte_slices(whole, 0, SLICE_BYTES)):
             keys, data = [], []
             for text in batch.column(0):
                 media = to_image(payload_of(text.as_buffer().to_pybytes()))
@@ -201,22 +201,31 @@ def chunk_store(df: DataFrame, listed: DataFrame, key: str = "doc_id", text: str
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = Packer(dictionary)
-        for batch in batches:
+        manifest = last = None
+        for batch in (part for whole in batches for part in byte_slices(whole, 4, SLICE_BYTES // 4)):
             rows = []
             for k in range(batch.num_rows):
-                name, digests, sizes, uses, data = (batch.column(c)[k].as_py() for c in range(5))
+                name = batch.column(0)[k].as_py()
+                if (data := batch.column(4)[k].as_py()) is None:
+                    manifest = (name, *(batch.column(c)[k].as_py() for c in (1, 2, 3)))
+                    continue
+                if name == last:  # the same medium from another task
+                    continue
+                last, (known, digests, sizes, uses) = name, manifest
                 whole = packer.unpack(data)
                 ends = np.cumsum(sizes).tolist()
                 chunks = [whole[a:b] for a, b in zip([0, *ends], ends)]
                 shared = {u["place"]: u["lends"] for u in uses or ()}
-                rows.append((PACK, name, digests, sizes, sorted(shared), packer.pack(b"".join(c for p, c in enumerate(chunks) if p not in shared))))
+                rows.append((PACK, known, digests, sizes, sorted(shared), packer.pack(b"".join(c for p, c in enumerate(chunks) if p not in shared))))
                 rows += [(CHUNK, digests[p], None, None, None, packer.pack(chunks[p])) for p, lends in sorted(shared.items()) if lends]
             columns = list(zip(*rows)) or [()] * 6
             kinds = (pa.int32(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds)], ["kind", "name", "digests", "sizes", "shared", "data"])
 
-    media = source.select("text").mapInArrow(compress, "media binary, data binary").dropDuplicates(["media"])
-    kept = media.join(manifests, "media").select("media", "digests", "sizes", "uses", "data").mapInArrow(keep, STORE)
+    media = source.select("text").mapInArrow(compress, "media binary, data binary")
+    # a medium's manifest and its data, once from each task that met it, lie side by side in one partition
+    meet = manifests.select("media", "digests", "sizes", "uses", F.lit(None).cast("binary").alias("data")).unionByName(media, allowMissingColumns=True)
+    kept = meet.repartition("media").sortWithinPartitions("media", F.col("data").isNotNull()).mapInArrow(keep, STORE)
     own = spark.createDataFrame([(DICTIONARY, bytearray(b"dictionary"), None, None, None, bytearray(dictionary))], STORE)
     return written(kept.union(own), "media-store", lasting=True)
 
@@ -239,7 +248,7 @@ def read_back(store: DataFrame) -> DataFrame:
 
     def rebuild(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = Packer(dictionary)
-        for batch in batches:
+        for batch in (part for whole in batches for part in byte_slices(whole, 4, SLICE_BYTES // 4)):
             rows = []
             for k in range(batch.num_rows):
                 name, digests, sizes, shared, data, borrowed = (batch.column(c)[k].as_py() for c in range(6))
