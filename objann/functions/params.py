@@ -66,5 +66,16 @@ def fp_bound(n_objects: int, beta: float, gamma: float, n_query: int, n_object:
     return n_objects * math.exp(-(beta**2) * gamma**2 * n_query * n_object / 2)
 
 
-def radius_ladder(c: float, levels: int) -> list[float]:
-    return [c**t for t in range(levels + 1)]
+def radius_ladder(c: float, widest: float) -> list[float]:
+    """1, c, c squared and so on, up to the first radius that is no less than ``widest``."""
+    radii = [1.0]
+    while radii[-1] < widest:
+        radii.append(radii[-1] * c)
+    return radii
+
+
+def point_error_rates(p: Params) -> tuple[float, float]:
+    """(a near pair reaches the threshold, a far pair misses it): the least probabilities that m and l are made for."""
+    z = math.sqrt(math.log(2 / p.beta) / math.log(1 / p.delta))
+    share = (z * p.p1 + p.p2) / (1 + z)
+    return 1 - math.exp(-2 * (p.p1 - share) ** 2 * p.m), 1 - math.exp(-2 * (share - p.p2) ** 2 * p.m)

@@ -2,18 +2,20 @@
 
 from __future__ import annotations
 
-from collections import OrderedDict, defaultdict
+from collections import OrderedDict
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from objann.functions.fixedpoint import floor_div
 from objann.operators.hashing import Projections, inverted, level_bucket
 
 SEEK_MS, MB_PER_MS = 8.5, 0.156  # fixed values of the disk model
 ENTRY_BYTES = 8
 REGIONS, SPLITS = 10, 10
+STEP_MS = 0.001  # modelled time of one lookup or one bucket handed to a query
 POLICIES = ("lru", "per_bucket", "frequency")
 
 
@@ -21,13 +23,14 @@ def bucket_catalog(points: DataFrame, proj: Projections) -> DataFrame:
     return inverted(points, proj).groupBy("proj", "bucket").agg(F.count("*").alias("n_points"), (F.count("*") * ENTRY_BYTES).alias("bytes"))
 
 
-def bucket_needs(points: DataFrame, queries: DataFrame, proj: Projections) -> DataFrame:
-    """(q_obj, level, proj, q_id, low, bucket, bytes): what each query point needs anew at each level.
+def bucket_needs(points: DataFrame, queries: DataFrame, proj: Projections, levels: int | None = None) -> DataFrame:
+    """(q_obj, level, proj, q_id, low, length, bucket, bytes): what each query point needs anew at each level.
 
     A level's bucket is a range of base buckets from ``low``; only the part that the level before
-    did not have is read.  Joined by the widest level's bucket, so it is an equi-join.
+    did not have is read.  Joined by the widest level's bucket, so it is an equi-join.  A search that
+    stops at level t needs ``levels`` = t.
     """
-    c, top = int(proj.params.c), proj.levels
+    c, top = int(proj.params.c), proj.levels if levels is None else levels
     catalog = bucket_catalog(points, proj).withColumn("cell", level_bucket(F.col("bucket"), c**top))
     own = inverted(queries, proj).select(F.col("object_id").alias("q_obj"), F.col("point_id").alias("q_id"), "proj", F.col("bucket").alias("own"))
     own = own.withColumn("cell", level_bucket(F.col("own"), c**top))
@@ -39,13 +42,22 @@ def bucket_needs(points: DataFrame, queries: DataFrame, proj: Projections) -> Da
     return found.withColumn("low", F.col("own") - F.pmod(F.col("own"), radius)).withColumn("length", radius).select("q_obj", "level", "proj", "q_id", "low", "length", "bucket", "bytes")
 
 
-def access_trace(points: DataFrame, queries: DataFrame, proj: Projections, n_splits: int = 1) -> DataFrame:
-    """``bucket_needs`` in order: per level and projection, slices of the query points' ranges by start and point."""
-    need = bucket_needs(points, queries, proj)
+def sliced(needs: DataFrame, n_splits: int) -> DataFrame:
+    """``needs`` with split_id and the split's start: each query point's own range in equal slices."""
     slices = F.least(F.lit(n_splits).cast("long"), F.col("length"))
     size = F.ceil(F.col("length") / slices).cast("long")
-    cut = need.withColumn("split_id", ((F.col("bucket") - F.col("low") - F.pmod(F.col("bucket") - F.col("low"), size)) / size).cast("int")).withColumn("start", F.col("low") + F.col("split_id") * size)
-    order = Window.partitionBy("q_obj").orderBy("level", "proj", "start", "q_id", "bucket")
+    return needs.withColumn("split_id", floor_div(F.col("bucket") - F.col("low"), size).cast("int")).withColumn("start", F.col("low") + F.col("split_id") * size)
+
+
+def access_trace(points: DataFrame, queries: DataFrame, proj: Projections, n_splits: int = 1, levels: int | None = None, schedule: str = "joint") -> DataFrame:
+    """``bucket_needs`` in order.
+
+    joint: per level and projection, slices of all query points' ranges by start and point.
+    independent: one query point after the other, as point searches run.
+    """
+    cut = sliced(bucket_needs(points, queries, proj, levels), n_splits)
+    first = ["level", "proj", "start", "q_id", "bucket"] if schedule == "joint" else ["q_id", "level", "proj", "bucket"]
+    order = Window.partitionBy("q_obj").orderBy(*first)
     return cut.select("q_obj", F.row_number().over(order).cast("long").alias("seq"), "level", "proj", "q_id", "bucket", "bytes", "split_id", "start")
 
 
@@ -56,82 +68,139 @@ def exact_frequency(trace: DataFrame) -> DataFrame:
 
 
 def region_of(bucket: Column, low: Column, high: Column, regions: int = REGIONS) -> Column:
-    span = high - low + 1
-    offset = (bucket - low) * regions
-    return F.least(F.lit(regions - 1), ((offset - F.pmod(offset, span)) / span).cast("int"))
+    return F.least(F.lit(regions - 1), floor_div((bucket - low) * regions, high - low + 1).cast("int"))
+
 
+def estimated_frequency(points: DataFrame, sample: DataFrame, proj: Projections, n_query: int, n_random: int, regions: int = REGIONS, shape: str = "equal_width", levels: int | None = None) -> DataFrame:
+    """(proj, bucket, region, est_freq): mean accesses by random query points over each region, for n_query points.
 
-def estimated_frequency(points: DataFrame, sample: DataFrame, proj: Projections, n_query: int, n_random: int, regions: int = REGIONS) -> DataFrame:
-    """(proj, bucket, region, est_freq): mean accesses by random query points over each region, for n_query points."""
+    Worked out offline, from any ``sample`` of n_random points: no query is known.  Regions cut a
+    projection into equal widths, or (``equal_depth``) into equal numbers of buckets.
+    """
     catalog = bucket_catalog(points, proj)
-    span = catalog.groupBy("proj").agg(F.min("bucket").alias("low"), F.max("bucket").alias("high"))
-    placed = catalog.join(F.broadcast(span), "proj").withColumn("region", region_of(F.col("bucket"), F.col("low"), F.col("high"), regions))
-    used = bucket_needs(points, sample, proj).groupBy("proj", "bucket").agg(F.count("*").alias("used"))
+    if shape == "equal_width":
+        span = catalog.groupBy("proj").agg(F.min("bucket").alias("low"), F.max("bucket").alias("high"))
+        placed = catalog.join(F.broadcast(span), "proj").withColumn("region", region_of(F.col("bucket"), F.col("low"), F.col("high"), regions))
+    else:
+        placed = catalog.withColumn("region", F.ntile(regions).over(Window.partitionBy("proj").orderBy("bucket")) - 1)
+    used = bucket_needs(points, sample, proj, levels).groupBy("proj", "bucket").agg(F.count("*").alias("used"))
     seen = placed.join(used, ["proj", "bucket"], "left").withColumn("used", F.coalesce("used", F.lit(0)))
-    mean = seen.groupBy("proj", "region").agg((F.sum("used") / F.count("*") * n_query / n_random).alias("est_freq"))
+    mean = seen.groupBy("proj", "region").agg(F.round(F.sum("used") * n_query / (F.count("*") * n_random), 6).alias("est_freq"))
     return placed.join(F.broadcast(mean), ["proj", "region"]).select("proj", "bucket", "region", "est_freq")
 
 
+def random_points(points: DataFrame, n: int, dim: int, seed: int = 11, source: str = "data") -> DataFrame:
+    """About n query points for the estimate: points of the data by a hash of their ids, or (``box``) uniform in the data's bounding box."""
+    if source == "data":
+        total = max(1, points.count())
+        picked = points.where(F.pmod(F.xxhash64("point_id", F.lit(seed)), F.lit(1_000_000)) < int(1_000_000 * min(1.0, n / total)))
+        return picked.select(F.lit(0).cast("long").alias("object_id"), "point_id", "vec")
+    ends = points.agg(*[f(F.col("vec")[k]).alias(f"{name}{k}") for k in range(dim) for f, name in ((F.min, "low"), (F.max, "high"))]).first()
+    rng = np.random.default_rng(seed)
+    rows = [(0, i, [int(rng.integers(ends[f"low{k}"], ends[f"high{k}"] + 1)) for k in range(dim)]) for i in range(n)]
+    return points.sparkSession.createDataFrame(rows, "object_id long, point_id long, vec array<long>")
+
+
 def frequency_error(exact: DataFrame, estimate: DataFrame) -> DataFrame:
-    """(proj, mae, corr) of exact against estimated access counts."""
-    both = exact.join(estimate, ["proj", "bucket"])
+    """(proj, mae, corr) of exact against estimated access counts of all buckets; a bucket without accesses has none."""
+    both = estimate.join(exact, ["proj", "bucket"], "left").withColumn("exact_freq", F.coalesce("exact_freq", F.lit(0)))
     return both.groupBy("proj").agg(F.round(F.avg(F.abs(F.col("exact_freq") - F.col("est_freq"))), 6).alias("mae"), F.round(F.corr("exact_freq", "est_freq"), 6).alias("corr"))
 
 
 class FrequencyBuffer:
-    """Evicts, of what is neither recent nor near, the page with the least remaining use."""
+    """Evicts, of what is neither recent nor near, the page with the least remaining use.
+
+    The newest ``recent_frac`` of the pages stay; of the rest those at least as far from the wanted
+    bucket as the ``far_frac`` quantile count (pages of another projection are farthest); the least
+    remaining use goes, ties to the farther, then the older.  Held pages are columns of numbers, so
+    one choice is a few passes over them.
+    """
 
     def __init__(self, capacity: int, remaining: dict, recent_frac: float = 0.1, far_frac: float = 0.5, use_frequency: bool = True):
-        self.capacity, self.left, self.held = capacity, dict(remaining), OrderedDict()
+        self.capacity, self.left = capacity, dict(remaining)
         self.size, self.recent, self.far, self.use_frequency = 0, recent_frac, far_frac, use_frequency
+        self.slot: dict[tuple, int] = {}
+        self.pages: list[tuple] = []
+        self.columns = np.zeros((4, 1024))  # projection, bucket, remaining use, arrival
+        self.sizes: list[int] = []
+        self.clock = 0
 
     def access(self, page: tuple, size: int) -> tuple[bool, int]:
         """(hit, evictions)"""
-        self.left[page] = max(0, self.left.get(page, 0) - 1)
-        if page in self.held:
+        rest = self.left[page] = max(0, self.left.get(page, 0) - 1)
+        if (at := self.slot.get(page)) is not None:
+            self.columns[2, at] = rest
             return True, 0
         if size > self.capacity:
             return False, 0
         gone = 0
         while self.size + size > self.capacity:
-            self.size -= self.held.pop(self._victim(page))
+            self._drop(self._victim(page))
             gone += 1
-        self.held[page] = size
+        at = len(self.pages)
+        if at == self.columns.shape[1]:
+            self.columns = np.concatenate([self.columns, np.zeros_like(self.columns)], axis=1)
+        self.clock += 1
+        self.columns[:, at] = page[0], page[1], rest, self.clock
+        self.slot[page] = at
+        self.pages.append(page)
+        self.sizes.append(size)
         self.size += size
         return False, gone
 
-    def _victim(self, page: tuple) -> tuple:
-        pages = list(self.held)
-        old = pages[: len(pages) - int(len(pages) * self.recent)] or pages
-        distance = {p: abs(p[1] - page[1]) if p[0] == page[0] else float("inf") for p in old}
-        median = float(np.quantile(list(distance.values()), self.far, method="lower"))
-        far = [p for p in old if distance[p] >= median] or old
-        age = {p: k for k, p in enumerate(pages)}
-        return min(far, key=lambda p: (self.left.get(p, 0) if self.use_frequency else 0, -distance[p], age[p]))
-
-
-def replay(trace: pd.DataFrame, policy: str, capacity: int, **options) -> dict:
-    """Hits, misses, evictions, seeks, bytes read and lookups of one trace in order."""
-    pages = list(zip(trace["proj"].tolist(), trace["bucket"].tolist()))
-    sizes, levels = trace["bytes"].tolist(), trace["level"].tolist()
-    hits = misses = evictions = read = lookups = 0
+    def _drop(self, at: int) -> None:
+        self.size -= self.sizes[at]
+        del self.slot[self.pages[at]]
+        last = len(self.pages) - 1
+        if at != last:
+            self.pages[at], self.sizes[at] = self.pages[last], self.sizes[last]
+            self.columns[:, at] = self.columns[:, last]
+            self.slot[self.pages[at]] = at
+        self.pages.pop()
+        self.sizes.pop()
+
+    def _victim(self, page: tuple) -> int:
+        n = len(self.pages)
+        projs, buckets, rest, arrived = self.columns[:, :n]
+        old = np.arange(n)
+        if kept := int(n * self.recent):
+            old = np.flatnonzero(arrived < np.partition(arrived, n - kept)[n - kept])
+        far = np.where(projs[old] == page[0], np.abs(buckets[old] - page[1]), np.inf)
+        limit = np.partition(far, int((len(far) - 1) * self.far))[int((len(far) - 1) * self.far)]
+        keep = far >= limit
+        old, far = old[keep], far[keep]
+        use = rest[old] if self.use_frequency else np.zeros(len(old))
+        least = use == use.min()
+        old, far = old[least], far[least]
+        farthest = far == far.max()
+        old = old[farthest]
+        return int(old[arrived[old].argmin()])
+
+
+def replay(trace: pd.DataFrame, policy: str, capacity: int, frequencies: str = "exact", **options) -> dict:
+    """Hits, misses, evictions, seeks, bytes read and lookups of one trace in order.
+
+    frequency: ``frequencies`` is ``estimated`` (column est_freq of the trace, known offline) or
+    ``exact`` (the accesses still to come, which no real query knows).  alg_cost counts lookups of
+    a range or slice and buckets handed to a query point; per_bucket looks every loaded bucket up
+    for all query points of its projection.
+    """
+    projs, buckets = trace["proj"].to_numpy(), trace["bucket"].to_numpy()
+    pages = list(zip(projs.tolist(), buckets.tolist()))
+    sizes, levels = trace["bytes"].tolist(), trace["level"].to_numpy()
+    hits = misses = evictions = read = 0
+    starts = np.stack([levels, projs, *[trace[c].to_numpy() for c in ("q_id", "split_id") if c in trace]], axis=1)
+    lookups = int((starts[1:] != starts[:-1]).any(axis=1).sum()) + 1 if len(trace) else 0
+    work = lookups + len(pages)
     if policy == "per_bucket":
-        served = set()
-        for level, page, size in zip(levels, pages, sizes):
-            lookups += 1
-            if (level, page) not in served:
-                served.add((level, page))
-                misses, read = misses + 1, read + size
-        groups = defaultdict(int)
-        for level, page in zip(levels, pages):
-            groups[level, page[0]] += 1
-        # every loaded bucket is looked up against all query points of its projection
-        lookups = sum(1 for key in served for _ in range(groups[key[0], key[1][0]]))
+        served = trace.drop_duplicates(["level", "proj", "bucket"])
+        misses, read = len(served), int(served["bytes"].sum())
         hits = len(pages) - misses
+        askers = trace.groupby(["level", "proj"])["q_id"].nunique() if "q_id" in trace else trace.groupby(["level", "proj"]).size()
+        work = int(sum(askers[key] for key in zip(served["level"], served["proj"])))
     elif policy == "lru":
         held, size_held = OrderedDict(), 0
         for page, size in zip(pages, sizes):
-            lookups += 1
             if page in held:
                 held.move_to_end(page)
                 hits += 1
@@ -144,33 +213,34 @@ def replay(trace: pd.DataFrame, policy: str, capacity: int, **options) -> dict:
                 held[page] = size
                 size_held += size
     else:
-        counts = defaultdict(int)
-        for page in pages:
-            counts[page] += 1
-        estimate = dict(zip(pages, trace["est_freq"].tolist())) if "est_freq" in trace and options.pop("estimated", True) else counts
-        buffer = FrequencyBuffer(capacity, estimate, **options)
+        if frequencies == "estimated":
+            known = dict(zip(pages, trace["est_freq"].tolist()))
+        else:
+            names, counts = np.unique(np.stack([projs, buckets], axis=1), axis=0, return_counts=True)
+            known = dict(zip(map(tuple, names.tolist()), counts.tolist()))
+        buffer = FrequencyBuffer(capacity, known, **options)
         for page, size in zip(pages, sizes):
-            lookups += 1
             hit, gone = buffer.access(page, size)
             hits, evictions = hits + hit, evictions + gone
             if not hit:
                 misses, read = misses + 1, read + size
-    return {"hits": hits, "misses": misses, "evictions": evictions, "seeks": misses, "bytes_read": read, "alg_cost": lookups}
+    return {"hits": hits, "misses": misses, "evictions": evictions, "seeks": misses, "bytes_read": read, "alg_cost": work}
 
 
-def simulate_buffer(trace: DataFrame, policy: str, capacity: int, **options) -> DataFrame:
-    """(q_obj, policy, buffer_bytes, hits, misses, evictions, seeks, mb, io_ms, alg_cost), one query object a group.
+def simulate_buffer(trace: DataFrame, policy: str, capacity: int, name: str | None = None, **options) -> DataFrame:
+    """(q_obj, policy, buffer_bytes, hits, misses, evictions, seeks, mb, alg_cost, alg_ms, io_ms, total_ms), one query object a group.
 
     A buffer is sequential, so a group is the trace of one query object, which the query's own
-    size bounds; groups run in parallel.
+    size and the catalog bound; groups run in parallel.
     """
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
         found = replay(part.sort_values("seq"), policy, capacity, **options)
         mb = found.pop("bytes_read") / 1e6
-        return pd.DataFrame([{"q_obj": part["q_obj"].iloc[0], "policy": policy, "buffer_bytes": capacity, **found, "mb": mb, "io_ms": io_ms(found["seeks"], mb)}])
+        alg, io = found["alg_cost"] * STEP_MS, io_ms(found["seeks"], mb)
+        return pd.DataFrame([{"q_obj": part["q_obj"].iloc[0], "policy": name or policy, "buffer_bytes": capacity, **found, "mb": mb, "alg_ms": alg, "io_ms": io, "total_ms": alg + io}])
 
-    schema = "q_obj long, policy string, buffer_bytes long, hits long, misses long, evictions long, seeks long, alg_cost long, mb double, io_ms double"
+    schema = "q_obj long, policy string, buffer_bytes long, hits long, misses long, evictions long, seeks long, alg_cost long, mb double, alg_ms double, io_ms double, total_ms double"
     return trace.groupBy("q_obj").applyInPandas(run, schema)
 
 
@@ -179,11 +249,33 @@ def io_ms(seeks, mb):
     return seeks * SEEK_MS + mb / MB_PER_MS
 
 
+def reuse_distances(trace: DataFrame) -> DataFrame:
+    """(q_obj, seq, distance): different pages since the page's last use, null at its first; a buffer of more equal pages hits under LRU."""
+
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        part = part.sort_values("seq")
+        recent: OrderedDict = OrderedDict()
+        out = []
+        for page in zip(part["proj"].tolist(), part["bucket"].tolist()):
+            if page in recent:
+                names = list(reversed(recent))
+                out.append(names.index(page))
+                recent.move_to_end(page)
+            else:
+                out.append(None)
+                recent[page] = True
+        return pd.DataFrame({"q_obj": part["q_obj"], "seq": part["seq"], "distance": pd.array(out, dtype="Int64")})
+
+    return trace.groupBy("q_obj").applyInPandas(run, "q_obj long, seq long, distance long")
+
+
 def lru_by_reuse_distance(trace: DataFrame, pages: int) -> DataFrame:
-    """(q_obj, hits, misses) for equal pages: a hit has fewer than ``pages`` other pages since its last use."""
-    page = [F.col("q_obj"), F.col("proj"), F.col("bucket")]
-    last = trace.withColumn("last", F.lag("seq").over(Window.partitionBy(*page).orderBy("seq")))
-    between = last.alias("x").join(last.alias("y"), (F.col("x.q_obj") == F.col("y.q_obj")) & (F.col("y.seq") > F.col("x.last")) & (F.col("y.seq") < F.col("x.seq")), "left")
-    distance = between.groupBy("x.q_obj", "x.seq", "x.last").agg(F.countDistinct("y.proj", "y.bucket").alias("d"))
-    hit = F.col("last").isNotNull() & (F.col("d") < pages)
-    return distance.groupBy("q_obj").agg(F.sum(hit.cast("long")).alias("hits"), F.sum((~hit).cast("long")).alias("misses"))
+    """(q_obj, hits, misses) of an LRU buffer of equal pages: a hit has fewer than ``pages`` other pages since its last use."""
+    hit = F.coalesce(F.col("distance") < pages, F.lit(False))
+    return reuse_distances(trace).groupBy("q_obj").agg(F.sum(hit.cast("long")).alias("hits"), F.sum((~hit).cast("long")).alias("misses"))
+
+
+def pick_split(costs: DataFrame) -> int:
+    """The number of splits of the least mean total time, ties to the fewer, from rows of (n_splits, total_ms)."""
+    best = costs.groupBy("n_splits").agg(F.avg("total_ms").alias("total_ms")).orderBy("total_ms", "n_splits").first()
+    return int(best.n_splits)

@@ -3,45 +3,76 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from objann.operators.kernel import QuerySet, block_sq_dist, blocks
+from objann.operators.kernel import QuerySet, block_sq_dist, blocks, query_batches
 from objann.sources.families import Family, object_sizes
 
 
-def _grouped_counts(q: QuerySet, obj: np.ndarray, cells: np.ndarray, keep: np.ndarray | None = None):
-    """Counts by (query object, object, cell) of a (query point x point) matrix."""
-    shape = cells.shape
-    frame = np.stack([np.broadcast_to(q.q_obj[:, None], shape).ravel(), np.broadcast_to(obj[None, :], shape).ravel(), cells.ravel()], axis=1)
-    if keep is not None:
-        frame = frame[keep.ravel()]
-    return np.unique(frame, axis=0, return_counts=True) if len(frame) else (np.zeros((0, 3), np.int64), np.zeros(0, np.int64))
+def counted_batch(q: QuerySet, obj: np.ndarray, cells: np.ndarray, keep: np.ndarray | None = None) -> pa.RecordBatch:
+    """Counts by (query object, object, cell) of a (query point x point) matrix, each pair coded as one integer."""
+    objects, own = np.unique(obj, return_inverse=True)
+    parts = []
+    for name, a, b in q.objects():
+        part = cells[a:b]
+        where = np.broadcast_to(own[None, :], part.shape)
+        if keep is not None:
+            part, where = part[keep[a:b]], where[keep[a:b]]
+        part, where = part.ravel(), where.ravel()
+        if not len(part):
+            continue
+        low = int(part.min())
+        span = int(part.max()) - low + 1
+        if span * len(objects) <= 4 * len(part) + 65_536:
+            counts = np.bincount(where * span + (part - low), minlength=span * len(objects))
+            codes = np.flatnonzero(counts)
+            number, cell, n = codes // span, codes % span + low, counts[codes]
+        else:
+            order = np.lexsort((part, where))
+            where, part = where[order], part[order]
+            first = np.flatnonzero(np.concatenate([[True], (where[1:] != where[:-1]) | (part[1:] != part[:-1])]))
+            number, cell, n = where[first], part[first], np.diff(np.append(first, len(part)))
+        parts.append((np.full(len(number), name), objects[number], cell, n))
+    columns = [np.concatenate(c) for c in zip(*parts)] if parts else [np.zeros(0, np.int64)] * 4
+    return pa.RecordBatch.from_arrays([pa.array(c.astype(np.int64)) for c in columns], ["q_obj", "object_id", "cell", "n"])
 
 
 def _histogram(points: DataFrame, q: QuerySet, cell_of) -> DataFrame:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for obj, _, vec in blocks(batches, len(q.q_obj)):
-            rows, n = _grouped_counts(q, obj, cell_of(block_sq_dist(q.vec, vec)))
-            yield pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1]), pa.array(rows[:, 2]), pa.array(n.astype(np.int64))], ["q_obj", "object_id", "cell", "n"])
+            yield counted_batch(q, obj, cell_of(block_sq_dist(q.vec, vec)))
 
     raw = points.select("object_id", "point_id", "vec").mapInArrow(count, "q_obj long, object_id long, cell long, n long")
     return raw.groupBy("q_obj", "object_id", "cell").agg(F.sum("n").alias("n"))
 
 
+def in_batches(queries: DataFrame, make) -> DataFrame:
+    """The union of ``make`` over batches of whole query objects; ``make(None)`` for none at all."""
+    made = [make(q) for q in query_batches(queries)]
+    return reduce(DataFrame.union, made) if made else make(None)
+
+
+NO_QUERY = QuerySet(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros((0, 0), np.int64))
+
+
 def query_sizes(spark, q: QuerySet) -> DataFrame:
     return spark.createDataFrame(list(q.sizes().items()), "q_obj long, n_query long")
 
 
 def object_similarity(points: DataFrame, queries: DataFrame, family: Family, radius: int) -> DataFrame:
     """(q_obj, object_id, num, den): point pairs within the radius, of all pairs."""
-    q = QuerySet.collect(queries)
     limit = (radius * family.unit) ** 2
-    near = _histogram(points, q, lambda d: (d <= limit).astype(np.int64))
-    return near.groupBy("q_obj", "object_id").agg(F.sum(F.when(F.col("cell") == 1, F.col("n")).otherwise(0)).alias("num"), F.sum("n").alias("den"))
+
+    def similar(q: QuerySet | None) -> DataFrame:
+        near = _histogram(points if q else points.where("false"), q or NO_QUERY, lambda d: (d <= limit).astype(np.int64))
+        return near.groupBy("q_obj", "object_id").agg(F.sum(F.when(F.col("cell") == 1, F.col("n")).otherwise(0)).alias("num"), F.sum("n").alias("den"))
+
+    return in_batches(queries, similar)
 
 
 def share_rank(gamma: tuple[int, int]):
@@ -56,41 +87,69 @@ def gamma_distance(points: DataFrame, queries: DataFrame, family: Family, gamma:
 
     Two passes with mergeable histograms: cells of 1/16 radius find the cell that holds the rank,
     then only pairs in that cell are counted exactly, so an object of any size is spread over tasks.
+    The objects' sizes come from the first histogram, which holds every pair.
     """
-    q = QuerySet.collect(queries)
-    spark = points.sparkSession
+    return in_batches(queries, lambda q: batch_distances(points if q else points.where("false"), q or NO_QUERY, family, gamma))
+
+
+def batch_distances(points: DataFrame, q: QuerySet, family: Family, gamma: tuple[int, int]) -> DataFrame:
     width = family.unit / 16
 
     def cell_of(d):
         return np.floor(np.sqrt(d.astype(np.float64)) / width).astype(np.int64)
 
-    ranks = object_sizes(points).join(F.broadcast(query_sizes(spark, q)), how="cross").select("q_obj", "object_id", share_rank(gamma).alias("rank_in_pairs"))
     coarse = _histogram(points, q, cell_of)
-    order = Window.partitionBy("q_obj", "object_id").orderBy("cell")
-    summed = coarse.withColumn("upto", F.sum("n").over(order)).join(ranks, ["q_obj", "object_id"])
-    target = summed.where((F.col("upto") >= F.col("rank_in_pairs")) & (F.col("upto") - F.col("n") < F.col("rank_in_pairs")))
+    pair = Window.partitionBy("q_obj", "object_id")
+    summed = coarse.withColumns({"upto": F.sum("n").over(pair.orderBy("cell")), "pairs": F.sum("n").over(pair)})
+    n, d = gamma
+    rank = F.greatest(F.lit(1), F.expr(f"(pairs * {n} + {d - 1}) div {d}")).cast("long")
+    target = summed.withColumn("rank_in_pairs", rank).where((F.col("upto") >= F.col("rank_in_pairs")) & (F.col("upto") - F.col("n") < F.col("rank_in_pairs")))
     target = target.select("q_obj", "object_id", F.col("cell").alias("goal"), (F.col("rank_in_pairs") - F.col("upto") + F.col("n")).alias("rest"), "rank_in_pairs")
-    goals = target.groupBy("object_id").agg(F.collect_list(F.struct("q_obj", "goal")).alias("goals"))
+    goals = target.groupBy("object_id").agg(F.sort_array(F.collect_list(F.struct("q_obj", "goal"))).alias("goals"))
+    names = [o for o, _, _ in q.objects()]
 
     def exact(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = batch.to_pylist()
-            for row in rows:
-                d = block_sq_dist(q.vec, np.array([row["vec"]], dtype=np.int64))[:, 0]
-                cells = cell_of(d)
-                wanted = {g["q_obj"]: g["goal"] for g in row["goals"]}
-                keep = cells == np.array([wanted.get(o, -1) for o in q.q_obj.tolist()])
-                values, n = np.unique(np.stack([q.q_obj[keep], d[keep]], axis=1), axis=0, return_counts=True) if keep.any() else (np.zeros((0, 2), np.int64), np.zeros(0, np.int64))
-                yield pa.RecordBatch.from_arrays([pa.array(values[:, 0]), pa.array(np.full(len(values), row["object_id"], np.int64)), pa.array(values[:, 1]), pa.array(n.astype(np.int64))], ["q_obj", "object_id", "sq_dist", "n"])
+        known = np.array(names, np.int64)
+        step = max(1, (1 << 22) // max(1, len(q.q_obj)))
+        for whole in batches:
+            for a in range(0, whole.num_rows, step):
+                batch = whole.slice(a, step)
+                obj = batch.column(0).to_numpy()
+                x = batch.column(1).flatten().to_numpy(zero_copy_only=False).astype(np.int64).reshape(len(obj), -1)
+                lists = batch.column(2)
+                inner, lengths = lists.flatten(), lists.value_lengths().to_numpy()
+                goal = np.full((len(known), len(obj)), -1, np.int64)
+                goal[np.searchsorted(known, inner.field(0).to_numpy()), np.repeat(np.arange(len(obj)), lengths)] = inner.field(1).to_numpy()
+                dist = block_sq_dist(q.vec, x)
+                keep = cell_of(dist) == goal[np.searchsorted(known, q.q_obj)]
+                yield counted_batch(q, obj, dist, keep)
 
     fine = points.join(goals, "object_id").select("object_id", "vec", "goals").mapInArrow(exact, "q_obj long, object_id long, sq_dist long, n long")
     fine = fine.groupBy("q_obj", "object_id", "sq_dist").agg(F.sum("n").alias("n"))
-    order = Window.partitionBy("q_obj", "object_id").orderBy("sq_dist")
-    found = fine.withColumn("upto", F.sum("n").over(order)).join(target, ["q_obj", "object_id"])
+    found = fine.withColumn("upto", F.sum("n").over(pair.orderBy("sq_dist"))).join(target, ["q_obj", "object_id"])
     found = found.where((F.col("upto") >= F.col("rest")) & (F.col("upto") - F.col("n") < F.col("rest")))
     return found.select("q_obj", "object_id", "rank_in_pairs", "sq_dist")
 
 
+def gamma_distance_sketch(points: DataFrame, queries: DataFrame, family: Family, gamma: tuple[int, int], cells: int = 16) -> DataFrame:
+    """(q_obj, object_id, low, high): radii between which the share distance lies, from the first histogram alone.
+
+    One pass and no second look at the points; the bounds are 1 / ``cells`` of the radius unit apart.
+    """
+    width = family.unit / cells
+
+    def sketch(q: QuerySet | None) -> DataFrame:
+        coarse = _histogram(points if q else points.where("false"), q or NO_QUERY, lambda d: np.floor(np.sqrt(d.astype(np.float64)) / width).astype(np.int64))
+        pair = Window.partitionBy("q_obj", "object_id")
+        n, d = gamma
+        summed = coarse.withColumns({"upto": F.sum("n").over(pair.orderBy("cell")), "pairs": F.sum("n").over(pair)})
+        rank = F.greatest(F.lit(1), F.expr(f"(pairs * {n} + {d - 1}) div {d}"))
+        held = summed.where((F.col("upto") >= rank) & (F.col("upto") - F.col("n") < rank))
+        return held.select("q_obj", "object_id", (F.col("cell") / cells).alias("low"), ((F.col("cell") + 1) / cells).alias("high"))
+
+    return in_batches(queries, sketch)
+
+
 def exact_object_knn(points: DataFrame, queries: DataFrame, family: Family, gamma: tuple[int, int], k: int) -> DataFrame:
     """(q_obj, rank, object_id, sq_dist): the true nearest objects, ties to the smaller id."""
     order = Window.partitionBy("q_obj").orderBy("sq_dist", "object_id")
@@ -103,7 +162,7 @@ def collision_index(counts: DataFrame, points: DataFrame, queries: DataFrame, th
     close = counts.where(F.col("cc") >= threshold).groupBy("q_obj", "object_id").agg(F.count("*").alias("num"))
     sizes = object_sizes(points)
     own = object_sizes(queries).select(F.col("object_id").alias("q_obj"), F.col("n_points").alias("n_query"))
-    return close.join(sizes, "object_id").join(F.broadcast(own), "q_obj").select("q_obj", "object_id", "num", (F.col("n_points") * F.col("n_query")).alias("den"))
+    return close.join(sizes, "object_id").join(own, "q_obj").select("q_obj", "object_id", "num", (F.col("n_points") * F.col("n_query")).alias("den"))
 
 
 def gamma_candidates(index: DataFrame, gamma: tuple[int, int], eps: tuple[int, int] = (1, 5)) -> DataFrame:

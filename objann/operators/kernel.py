@@ -1,4 +1,4 @@
-"""Block kernels: broadcast query points against Arrow blocks of stored points, exact in integers."""
+"""Block kernels: query points on the driver against blocks of stored points, exact in integers."""
 
 from __future__ import annotations
 
@@ -8,31 +8,48 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
-from objann.functions.params import Params
-
-MAX_QUERY_POINTS = 200_000  # bound of the broadcast side; more query points are run in batches of query objects
+BATCH_POINTS = 20_000  # query points that go to every task at once; one object of more is a batch of its own
 BLOCK = 1 << 22  # cells of one distance block
+CELLS = 1 << 23  # pairs of one collision block
 
 
 @dataclass(frozen=True)
 class QuerySet:
-    """Query points on the driver, checked for size: they go to every task."""
+    """One batch of query points, in the order of their objects and ids."""
 
     q_obj: np.ndarray
     q_id: np.ndarray
     vec: np.ndarray
 
-    @staticmethod
-    def collect(points: DataFrame) -> "QuerySet":
-        rows = points.select("object_id", "point_id", "vec").limit(MAX_QUERY_POINTS + 1).collect()
-        if len(rows) > MAX_QUERY_POINTS:
-            raise ValueError("too many query points for one batch; split the query objects")
-        rows.sort(key=lambda r: (r[0], r[1]))
-        return QuerySet(np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.int64), np.array([r[2] for r in rows], np.int64))
+    def __post_init__(self):
+        check_range(self.vec)
+
+    def objects(self) -> list[tuple[int, int, int]]:
+        """(query object, first row, end row)."""
+        ids, first = np.unique(self.q_obj, return_index=True)
+        return list(zip(ids.tolist(), first.tolist(), [*first[1:].tolist(), len(self.q_obj)]))
 
     def sizes(self) -> dict[int, int]:
-        return dict(zip(*(x.tolist() for x in np.unique(self.q_obj, return_counts=True))))
+        return {o: b - a for o, a, b in self.objects()}
+
+
+def query_batches(queries: DataFrame, most: int = BATCH_POINTS) -> Iterator[QuerySet]:
+    """Whole query objects in batches of at most ``most`` points; what a driver and a task hold is one batch."""
+    sizes = sorted(tuple(r) for r in queries.groupBy("object_id").count().collect())  # one row for each query object
+    names, held = [], 0
+    for name, size in [*sizes, (None, 0)]:
+        if names and (name is None or held + size > most):
+            rows = queries.where(F.col("object_id").isin(names)).select("object_id", "point_id", "vec").toArrow()
+            obj, pid = rows.column(0).to_numpy(), rows.column(1).to_numpy()
+            flat = rows.column(2).combine_chunks().flatten().to_numpy(zero_copy_only=False).astype(np.int64)
+            order = np.lexsort((pid, obj))
+            yield QuerySet(obj[order], pid[order], flat.reshape(len(obj), -1)[order])
+            names, held = [], 0
+        if name is not None:
+            names.append(name)
+            held += size
 
 
 def check_range(vec: np.ndarray) -> None:
@@ -43,12 +60,15 @@ def check_range(vec: np.ndarray) -> None:
 
 def block_sq_dist(q: np.ndarray, x: np.ndarray) -> np.ndarray:
     a, b = q.astype(np.float64), x.astype(np.float64)
-    return ((a * a).sum(1)[:, None] + (b * b).sum(1)[None, :] - 2 * (a @ b.T)).astype(np.int64)
+    out = a @ (-2 * b.T)
+    out += (a * a).sum(1)[:, None]
+    out += (b * b).sum(1)[None, :]
+    return out.astype(np.int64)
 
 
-def blocks(batches: Iterator[pa.RecordBatch], n_query: int):
+def blocks(batches: Iterator[pa.RecordBatch], n_query: int, cells: int = BLOCK):
     """(object ids, point ids, vectors) in blocks that bound n_query x rows."""
-    step = max(1, BLOCK // max(1, n_query))
+    step = max(1, cells // max(1, n_query))
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -59,34 +79,92 @@ def blocks(batches: Iterator[pa.RecordBatch], n_query: int):
             yield obj[a : a + step], pid[a : a + step], vec[a : a + step]
 
 
-def first_levels(hq: np.ndarray, hx: np.ndarray, params: Params, width: int, levels: int) -> np.ndarray:
-    """First level at which each (query, point) pair collides on each projection; levels + 1 if never."""
-    out = np.full((len(hq), len(hx), hq.shape[1]), levels + 1, dtype=np.int8)
-    for t in range(levels, -1, -1):
-        if params.kind == "static":
-            size = int(params.c) ** t
-            hit = (hq // size)[:, None, :] == (hx // size)[None, :, :]
+def run_lengths(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(first place, end) of each run of equal values."""
+    first = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]])) if len(values) else np.zeros(0, np.int64)
+    return first, np.concatenate([first[1:], [len(values)]]).astype(np.int64)
+
+
+class Collisions:
+    """Which stored points of a block collide with which query points, as bit matrices by level and projection.
+
+    ``hx`` holds the block's hashes, one row for a bit position; ``present`` tells which of them are
+    known.  Query points of one cell share a bit row, so a cell is compared with the block once.
+    """
+
+    def __init__(self, hq: np.ndarray, hx: np.ndarray, present: np.ndarray | None, limits: list[int], static: bool):
+        pad = -len(hx) % 64
+        self.hq, self.static, self.limits = hq, static, limits
+        self.hx = np.concatenate([hx, np.zeros((pad, hx.shape[1]), hx.dtype)]) if pad else hx
+        known = np.ones(hx.shape, bool) if present is None else present
+        self.known = np.concatenate([known, np.zeros((pad, hx.shape[1]), bool)]) if pad else known
+        self.words = len(self.hx) // 64
+
+    def bits(self, level: int, j: int) -> np.ndarray:
+        """(query points, words) of 64 points each."""
+        x, q = self.hx[:, j], self.hq[:, j]
+        if self.static:
+            size = self.limits[level]
+            cells, own = np.unique(q // size, return_inverse=True)
+            hit = cells[:, None] == (x // size)[None, :]
         else:
-            hit = 2 * np.abs(hq[:, None, :] - hx[None, :, :]) <= width * params.c**t
-        out[hit] = t
-    return out
+            values, own = np.unique(q, return_inverse=True)
+            hit = 2 * np.abs(values[:, None] - x[None, :]) <= self.limits[level]
+        hit &= self.known[:, j][None, :]
+        return np.packbits(hit, axis=1).view(np.uint64)[own]
 
 
-def close_keys(first: np.ndarray, threshold: int, levels: int, mode: str = "carry") -> np.ndarray:
-    """Event keys level * (m + 1) + projection at which each pair has ``threshold`` collisions, -1 if never.
+def close_events(pairs: Collisions, m: int, threshold: int, levels: range, mode: str = "carry", upto: int | None = None) -> Iterator[tuple[int, int, np.ndarray]]:
+    """(turn, key, bits): the pairs that have ``threshold`` collisions at each event key level * (m + 1) + projection.
 
-    carry: counts go on over levels, one key per pair (one column).  restart: counts begin anew at
-    each level, so there is a key per pair and level.
+    Counts are kept bit by bit for 64 pairs a word, and begin so far below a power of two that the
+    threshold overflows them: the carry out of the top bit is the set of pairs that reach it.
+    carry: counts go on over levels.  For levels that begin after 0, all that was reached before
+    comes as one event at the end of the level before.  restart: counts begin anew at each level,
+    so a pair has an event in each (turn: the level).  The last level may end after ``upto`` projections.
     """
-    m = first.shape[2]
-    number = np.arange(1, m + 1)
-    if mode == "carry":
-        keys = np.where(first <= levels, first.astype(np.int64) * (m + 1) + number, np.int64(1) << 40)
-        keys = np.partition(keys, threshold - 1, axis=2)[:, :, threshold - 1] if threshold <= m else np.full(first.shape[:2], 1 << 40)
-        return np.where(keys < 1 << 40, keys, -1)[:, :, None]
-    out = np.full((*first.shape[:2], levels + 1), -1, dtype=np.int64)
-    for t in range(levels + 1):
-        reached = np.cumsum(first <= t, axis=2)
-        has = reached[:, :, -1] >= threshold
-        out[:, :, t] = np.where(has, t * (m + 1) + 1 + (reached < threshold).sum(axis=2), -1)
-    return out
+    planes = max(1, threshold.bit_length())
+    start = (1 << planes) - threshold
+    shape = (len(pairs.hq), pairs.words)
+
+    def fresh():
+        full = np.uint64(0xFFFFFFFFFFFFFFFF)
+        return [np.full(shape, full if start >> p & 1 else 0, np.uint64) for p in range(planes)], np.zeros(shape, np.uint64)
+
+    def add(counts, done, bits):
+        carry = bits & ~done
+        for plane in counts:
+            if not carry.any():
+                return None
+            after = plane & carry
+            np.bitwise_xor(plane, carry, out=plane)
+            carry = after
+        if not carry.any():
+            return None
+        done |= carry
+        return carry
+
+    if threshold > m:
+        return
+    counts, done = fresh()
+    if mode == "carry" and levels.start > 0:
+        for j in range(m):
+            add(counts, done, pairs.bits(levels.start - 1, j))
+        if done.any():
+            yield -1, (levels.start - 1) * (m + 1) + m, done.copy()
+    for t in levels:
+        if mode == "restart":
+            counts, done = fresh()
+        for j in range(m if upto is None or t < levels.stop - 1 else upto):
+            bits = pairs.bits(t, j)
+            if mode == "carry" and t > 0:
+                bits &= ~pairs.bits(t - 1, j)
+            if (reached := add(counts, done, bits)) is not None:
+                yield -1 if mode == "carry" else t, t * (m + 1) + j + 1, reached
+
+
+def bit_places(bits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(query row, point row) of all set bits."""
+    some = np.flatnonzero(bits.any(axis=1))
+    rows, cols = np.nonzero(np.unpackbits(bits[some].view(np.uint8), axis=1))
+    return some[rows], cols

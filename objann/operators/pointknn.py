@@ -10,63 +10,127 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from objann.operators.gamma import NO_QUERY, in_batches
 from objann.operators.hashing import Projections
-from objann.operators.kernel import QuerySet, block_sq_dist, blocks, close_keys, first_levels
+from objann.operators.kernel import CELLS, Collisions, QuerySet, bit_places, block_sq_dist, blocks, close_events
 from objann.sources.families import Family, object_sizes
 
 KNN = ["q_obj", "q_id", "rank", "object_id", "point_id", "sq_dist"]
+FOUND = "q_obj long, q_id long, object_id long, point_id long, sq_dist long"
+
+
+def _best(d: np.ndarray, first: np.ndarray, second: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """(row, column) of each row's k least entries by (d, first, second)."""
+    if d.shape[1] > k:
+        rows, cols = np.nonzero(d <= np.partition(d, k - 1, axis=1)[:, [k - 1]])
+    else:
+        rows, cols = (x.ravel() for x in np.indices(d.shape))
+    order = np.lexsort((second[cols], first[cols], d[rows, cols], rows))
+    rows, cols = rows[order], cols[order]
+    keep = np.arange(len(rows)) - np.searchsorted(rows, rows) < k
+    return rows[keep], cols[keep]
 
 
 def linear_knn(points: DataFrame, queries: DataFrame, k_prime: int) -> DataFrame:
     """Exact: each block keeps its k' best for each query point, the rest is one window.  Order: distance, object, point."""
-    q = QuerySet.collect(queries)
 
-    def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for obj, pid, vec in blocks(batches, len(q.q_obj)):
-            d = block_sq_dist(q.vec, vec)
-            order = np.lexsort((np.broadcast_to(pid, d.shape), np.broadcast_to(obj, d.shape), d), axis=1)[:, :k_prime]
-            rows = np.repeat(np.arange(len(d)), order.shape[1])
-            cols = order.ravel()
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (q.q_obj[rows], q.q_id[rows], obj[cols], pid[cols], d[rows, cols])], ["q_obj", "q_id", "object_id", "point_id", "sq_dist"])
+    def scan(q: QuerySet | None) -> DataFrame:
+        q, source = (q, points) if q else (NO_QUERY, points.where("false"))
 
-    near = points.select("object_id", "point_id", "vec").mapInArrow(best, "q_obj long, q_id long, object_id long, point_id long, sq_dist long")
-    ranked = near.withColumn("rank", F.row_number().over(Window.partitionBy("q_obj", "q_id").orderBy("sq_dist", "object_id", "point_id")))
-    return ranked.where(F.col("rank") <= k_prime).select(*KNN)
+        def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for obj, pid, vec in blocks(batches, len(q.q_obj)):
+                d = block_sq_dist(q.vec, vec)
+                rows, cols = _best(d, obj, pid, k_prime)
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (q.q_obj[rows], q.q_id[rows], obj[cols], pid[cols], d[rows, cols])], ["q_obj", "q_id", "object_id", "point_id", "sq_dist"])
+
+        near = source.select("object_id", "point_id", "vec").mapInArrow(best, FOUND)
+        ranked = near.withColumn("rank", F.row_number().over(Window.partitionBy("q_obj", "q_id").orderBy("sq_dist", "object_id", "point_id")))
+        return ranked.where(F.col("rank") <= k_prime).select(*KNN)
+
+    return in_batches(queries, scan)
 
 
 def hashed_knn(points: DataFrame, queries: DataFrame, family: Family, proj: Projections, k_prime: int, beta_points: float | None = None) -> DataFrame:
     """Static-bucket or query-centred point search: collision counting with a stop for each query point.
 
     Stops at k' + beta n close points (beta 100 / n), or at the end of a level with k' of them within
-    c times the radius; ranks what is close by then by true distance.
+    c times the radius; ranks what is close by then by true distance.  One pass counts close points
+    by query point and event, which gives the stops; a second keeps each block's k' best up to them.  So what is
+    moved is bounded by events and by k', not by the close pairs.  A block goes on to no further level
+    once it alone stops all its query points.
     """
-    q = QuerySet.collect(queries)
-    hashed = proj.hashes(q.vec)
-    m, c = proj.params.m, int(proj.params.c)
-
-    def close(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for obj, pid, vec in blocks(batches, len(q.q_obj) * m):
-            keys = close_keys(first_levels(hashed, proj.hashes(vec), proj.params, proj.width, proj.levels), proj.params.l, proj.levels)[:, :, 0]
-            rows, cols = np.nonzero(keys >= 0)
-            d = block_sq_dist(q.vec, vec)
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (q.q_obj[rows], q.q_id[rows], obj[cols], pid[cols], d[rows, cols], keys[rows, cols])], ["q_obj", "q_id", "object_id", "point_id", "sq_dist", "key"])
-
-    found = points.select("object_id", "point_id", "vec").mapInArrow(close, "q_obj long, q_id long, object_id long, point_id long, sq_dist long, key long")
-    n = points.count()
+    n = points.count() if beta_points is not None else 0
     enough = k_prime + (100 if beta_points is None else math.ceil(beta_points * n))
-    point = ["q_obj", "q_id"]
-    t1 = found.withColumn("at", F.row_number().over(Window.partitionBy(*point).orderBy("key", "point_id"))).where(F.col("at") == enough).select(*point, F.col("key").alias("t1"))
-    reach = F.lit(proj.levels + 1)
-    for t in range(proj.levels, -1, -1):
-        reach = F.when(F.col("sq_dist") <= (c * c**t * family.unit) ** 2, F.lit(t)).otherwise(reach)
-    near = found.withColumn("level", F.greatest(F.expr(f"key div {m + 1}"), reach)).withColumn("at", F.row_number().over(Window.partitionBy(*point).orderBy("level", "point_id")))
-    t2 = near.where((F.col("at") == k_prime) & (F.col("level") <= proj.levels)).select(*point, (F.col("level") * (m + 1) + m).alias("t2"))
-    last = proj.levels * (m + 1) + m
-    inside = found.join(t1, point, "left").join(t2, point, "left").where(F.col("key") <= F.least(F.coalesce("t1", F.lit(last)), F.coalesce("t2", F.lit(last))))
-    ranked = inside.withColumn("rank", F.row_number().over(Window.partitionBy(*point).orderBy("sq_dist", "point_id")))
+    return in_batches(queries, lambda q: _hashed(points if q else points.where("false"), q or NO_QUERY, family, proj, k_prime, enough))
+
+
+def _hashed(points: DataFrame, q: QuerySet, family: Family, proj: Projections, k_prime: int, enough: int) -> DataFrame:
+    m, top = proj.params.m, proj.levels
+    hashed = proj.hashes(q.vec) if len(q.q_obj) else np.zeros((0, m), np.int64)
+    radii = np.array(proj.squared_radii(family.unit, proj.params.c))
+    limits, never = proj.limits(), np.int64(1) << 40
+
+    def close_pairs(vec: np.ndarray, levels: int, stop: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+        """(event keys, squared distances) of all pairs of a block."""
+        pairs = Collisions(hashed, proj.hashes(vec), None, limits, proj.static)
+        keys = np.full((len(hashed), len(vec)), never)
+        for t, key, bits in _by_level(pairs, m, proj.params.l, levels):
+            if bits is None:
+                if stop is None and ((keys < never).sum(axis=1) >= enough).all():
+                    break
+                continue
+            rows, cols = bit_places(bits)
+            keys[rows, cols] = key
+        return keys, block_sq_dist(q.vec, vec)
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, _, vec in blocks(batches, len(hashed), CELLS // 8):
+            keys, d = close_pairs(vec, top, None)
+            rows, cols = np.nonzero(keys < never)
+            entry = keys[rows, cols]
+            level = np.maximum(entry // (m + 1), np.searchsorted(radii, d[rows, cols]))
+            span = (top + 2) * (m + 1)
+            out = []
+            for kind, value in ((0, entry), (1, level * (m + 1) + m)):
+                codes, n = np.unique(rows * span + np.minimum(value, span - 1), return_counts=True)
+                out.append((codes // span, np.full(len(codes), kind), codes % span, n))
+            slot, kind, key, n = (np.concatenate(c).astype(np.int64) for c in zip(*out))
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (slot, kind, key, n)], ["slot", "kind", "key", "n"])
+
+    source = points.select("object_id", "point_id", "vec")
+    counts = source.mapInArrow(count, "slot long, kind long, key long, n long").groupBy("slot", "kind", "key").agg(F.sum("n").alias("n"))
+    upto = F.sum("n").over(Window.partitionBy("slot", "kind").orderBy("key"))
+    last = top * (m + 1) + m
+    reached = counts.withColumn("upto", upto).where(((F.col("kind") == 0) & (F.col("upto") >= enough)) | ((F.col("kind") == 1) & (F.col("upto") >= k_prime) & (F.col("key") <= last)))
+    stop = np.full(len(hashed), last, np.int64)
+    for r in reached.groupBy("slot").agg(F.min("key").alias("stop")).collect():  # one number for each query point of the batch
+        stop[r.slot] = r.stop
+    levels = int(stop.max(initial=0)) // (m + 1)
+
+    def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for obj, pid, vec in blocks(batches, len(hashed), CELLS // 8):
+            keys, d = close_pairs(vec, levels, stop)
+            d = np.where(keys <= stop[:, None], d, np.iinfo(np.int64).max)
+            rows, cols = _best(d, pid, obj, k_prime)
+            fine = d[rows, cols] < np.iinfo(np.int64).max
+            rows, cols = rows[fine], cols[fine]
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (q.q_obj[rows], q.q_id[rows], obj[cols], pid[cols], d[rows, cols])], ["q_obj", "q_id", "object_id", "point_id", "sq_dist"])
+
+    near = source.mapInArrow(best, FOUND)
+    ranked = near.withColumn("rank", F.row_number().over(Window.partitionBy("q_obj", "q_id").orderBy("sq_dist", "point_id", "object_id")))
     return ranked.where(F.col("rank") <= k_prime).select(*KNN)
 
 
+def _by_level(pairs: Collisions, m: int, threshold: int, top: int):
+    """The events of ``close_events`` with (level, -1, None) at the end of each level."""
+    level = 0
+    for turn, key, bits in close_events(pairs, m, threshold, range(top + 1)):
+        while key > level * (m + 1) + m:
+            yield level, -1, None
+            level += 1
+        yield turn, key, bits
+
+
 def borda(knn: DataFrame, k_prime: int, k: int, scheme: str = "positional", points: DataFrame | None = None) -> DataFrame:
     """(q_obj, rank, object_id, score): objects by the ranks of their points in the lists.
 

@@ -1,10 +1,10 @@
-"""k nearest objects by collision index, with early stops."""
+"""k nearest objects by collision index over the stored bucket index, with early stops."""
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from fractions import Fraction
 
 import numpy as np
@@ -12,10 +12,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from objann.operators.gamma import _grouped_counts, gamma_distance, query_sizes
+from objann.operators.gamma import batch_distances, query_sizes
 from objann.operators.hashing import Projections
-from objann.operators.kernel import QuerySet, blocks, close_keys, first_levels
-from objann.sources.families import Family, object_sizes
+from objann.operators.index import Index, directories, read_blocks, read_postings
+from objann.operators.kernel import CELLS, Collisions, QuerySet, close_events, query_batches, run_lengths
+from objann.sources.families import Family
+from objann.sources.tables import written
+
+STATS = "q_obj long, status string, stop_level int, stop_proj int, n_candidates long"
+RESULT = "q_obj long, rank int, object_id long, sq_dist long"
+COUNTS = "q_obj long, object_id long, turn long, key long, n long"
 
 
 @dataclass
@@ -24,40 +30,48 @@ class ObjectKnnResult:
     stats: DataFrame  # q_obj, status, stop_level, stop_proj, n_candidates
 
 
-def candidate_keys(points: DataFrame, queries: DataFrame, proj: Projections, gamma: tuple[int, int], eps=(1, 5), count_mode: str = "carry", levels: int | None = None) -> DataFrame:
-    """(q_obj, object_id, key): the event level * (m + 1) + projection at which an object becomes a candidate.
+def close_counts(rows: DataFrame, index: Index, q: QuerySet, levels: range, mode: str, upto: int | None = None) -> DataFrame:
+    """(q_obj, object_id, turn, key, n): pairs of the query object and the object that become close at each event.
 
-    Signature scan: the query points' hashes go to every task, which gives for each pair the
-    event at which it has enough collisions; these are counted by (query object, object, event),
-    and the object's event is the one at which the counts reach its threshold.  The shuffle
-    carries at most levels x projections rows for each object and task, not pairs.
+    ``rows`` are the posting lists that were read.  They and the directories meet by block; a block's
+    task counts collisions of its pairs in bit matrices, so no pair ever is a row.
     """
-    q = QuerySet.collect(queries)
+    proj, limits = index.proj, index.proj.limits()
     hashed = proj.hashes(q.vec)
-    levels = proj.levels if levels is None else levels
-    m, threshold = proj.params.m, proj.params.l
-
-    def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for obj, _, vec in blocks(batches, len(q.q_obj) * m):
-            events = close_keys(first_levels(hashed, proj.hashes(vec), proj.params, proj.width, levels), threshold, levels, count_mode)
-            for turn in range(events.shape[2]):
-                rows, n = _grouped_counts(q, obj, events[:, :, turn], events[:, :, turn] >= 0)
-                yield pa.RecordBatch.from_arrays([pa.array(rows[:, 0]), pa.array(rows[:, 1]), pa.array(np.full(len(rows), turn, np.int64)), pa.array(rows[:, 2]), pa.array(n.astype(np.int64))], ["q_obj", "object_id", "turn", "key", "n"])
-
-    counted = points.select("object_id", "point_id", "vec").mapInArrow(keys, "q_obj long, object_id long, turn long, key long, n long")
-    counted = counted.groupBy("q_obj", "object_id", "turn", "key").agg(F.sum("n").alias("n"))
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for block in read_blocks(batches, proj):
+            step = max(1, CELLS // len(block.hashes))
+            for a in range(0, len(hashed), step):
+                first, _ = run_lengths(q.q_obj[a : a + step])
+                names = q.q_obj[a : a + step][first]
+                pairs = Collisions(hashed[a : a + step], block.hashes, block.present, limits, proj.static)
+                out: list[tuple] = []
+                for turn, key, bits in close_events(pairs, proj.params.m, proj.params.l, levels, mode, upto):
+                    ones = np.bitwise_count(bits.view(np.uint8)).astype(np.int32)
+                    held = np.add.reduceat(np.add.reduceat(ones, first, axis=0), block.first_byte, axis=1)
+                    x, y = np.nonzero(held)
+                    out.append((names[x], block.objects[y], np.full(len(x), turn), np.full(len(x), key), held[x, y].astype(np.int64)))
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in zip(*out)], ["q_obj", "object_id", "turn", "key", "n"])
+
+    dealt = rows.union(directories(index)).repartition("block").sortWithinPartitions("block", "proj")
+    return dealt.mapInArrow(count, COUNTS).groupBy("q_obj", "object_id", "turn", "key").agg(F.sum("n").alias("n"))
+
+
+def candidate_keys(counts: DataFrame, index: Index, q: QuerySet, gamma: tuple[int, int], eps: tuple[int, int] = (1, 5)) -> DataFrame:
+    """(q_obj, object_id, key): the event level * (m + 1) + projection at which an object becomes a candidate."""
     upto = F.sum("n").over(Window.partitionBy("q_obj", "object_id", "turn").orderBy("key"))
-    sizes = F.broadcast(query_sizes(points.sparkSession, q))
-    placed = counted.withColumn("upto", upto).join(sizes, "q_obj").join(object_sizes(points), "object_id")
+    sizes = F.broadcast(query_sizes(counts.sparkSession, q))
+    placed = counts.withColumn("upto", upto).join(sizes, "q_obj").join(index.sizes, "object_id")
     num, den = (eps[1] - eps[0]) * gamma[0], eps[1] * gamma[1]
     return placed.where(F.col("upto") * den >= F.col("n_query") * F.col("n_points") * num).groupBy("q_obj", "object_id").agg(F.min("key").alias("key"))
 
 
 def object_knn(
-    points: DataFrame,
+    index: Index,
     queries: DataFrame,
     family: Family,
-    proj: Projections,
     gamma: tuple[int, int] = (1, 4),
     k: int = 25,
     eps: tuple[int, int] = (1, 5),
@@ -65,78 +79,149 @@ def object_knn(
     t2_bound: str = "R",
     order_by: str = "distance",
     mode: str = "onepass",
-    n_objects: int | None = None,
+    proj_batch: int | None = None,
     exclude_self: bool = False,
+    where: DataFrame | None = None,
+    filter_mode: str = "pre",
 ) -> ObjectKnnResult:
     """The k nearest objects of each query object, with what stopped each search.
 
-    onepass: all levels in one plan; the stop is an order statistic of the candidate events.
-    iterative: one plan per level; query objects that have stopped leave, so later and wider levels read
-    only what is still open.  Both give the same rows under ``carry``.
+    onepass: the posting lists of all levels are read at once; the stop is an order statistic of the
+    candidate events.  iterative: one round per level (or per ``proj_batch`` projections of it) reads
+    only the ring of buckets that the level adds; query objects that have stopped leave.  Both
+    give the same rows, under ``carry`` and under ``restart`` counts.
     T1: enough candidates, tested after each projection.  T2: at the end of a level k
-    candidates lie within the radius (``cR``: c times it).  Neither: ``exhausted``.
+    candidates lie within the radius (``cR``: c times it).  Neither by the end of the ladder: ``exhausted``.
+    Distances are worked out for candidates only.  ``order_by`` is distance or collision (the event).
+    ``where`` (object_id) limits the objects: ``pre`` searches among them alone, so it is exact and
+    the number of objects is theirs; ``post`` filters the k found, so fewer may be left.
     """
-    if mode == "iterative" and count_mode == "carry":
-        return _iterative(points, queries, family, proj, gamma, k, eps, t2_bound, order_by, n_objects)
-    keys = candidate_keys(points, queries, proj, gamma, eps, count_mode)
-    if exclude_self:
-        keys = keys.where("object_id <> q_obj")
-    keys = keys.persist()  # one row for each candidate object, read by both stop tests
-    distances = gamma_distance(points.join(keys.select("object_id").distinct(), "object_id", "left_semi"), queries, family, gamma).persist()
-    return _finish(keys, distances, queries, family, proj, k, t2_bound, order_by, n_objects or object_sizes(points).count())
-
-
-def _stops(keys: DataFrame, distances: DataFrame, queries: DataFrame, family: Family, proj: Projections, k: int, t2_bound: str, n_objects: int) -> DataFrame:
-    m, c = proj.params.m, int(proj.params.c)
-    enough = k + math.ceil(min(Fraction(25, n_objects), Fraction(999, 1000)) * n_objects)
-    by_key = Window.partitionBy("q_obj").orderBy("key", "object_id")
-    t1 = keys.withColumn("at", F.row_number().over(by_key)).where(F.col("at") == enough).select("q_obj", F.col("key").alias("t1"))
-    step = c if t2_bound == "cR" else 1
-    # each candidate counts from the later of its entry level and the first level whose radius holds it
-    entered = keys.join(distances, ["q_obj", "object_id"]).withColumn("entry", F.expr(f"key div {m + 1}"))
-    reach = F.lit(proj.levels + 1)
-    for t in range(proj.levels, -1, -1):
-        reach = F.when(F.col("sq_dist") <= (step * c**t * family.unit) ** 2, F.lit(t)).otherwise(reach)
-    near = entered.withColumn("level", F.greatest("entry", reach)).withColumn("at", F.row_number().over(Window.partitionBy("q_obj").orderBy("level", "object_id")))
-    t2 = near.where((F.col("at") == k) & (F.col("level") <= proj.levels)).select("q_obj", (F.col("level") * (m + 1) + m).alias("t2"))
-    asked = queries.select(F.col("object_id").alias("q_obj")).distinct()
-    both = asked.join(t1, "q_obj", "left").join(t2, "q_obj", "left")
-    last = proj.levels * (m + 1) + m
-    first = F.coalesce("t1", F.lit(last + 1)) <= F.coalesce("t2", F.lit(last + 1))
-    status = F.when(F.col("t1").isNull() & F.col("t2").isNull(), "exhausted").when(first, "T1").otherwise("T2")
-    return both.select("q_obj", status.alias("status"), F.least(F.coalesce("t1", F.lit(last)), F.coalesce("t2", F.lit(last))).cast("long").alias("stop"))
-
-
-def _finish(keys, distances, queries, family, proj, k, t2_bound, order_by, n_objects) -> ObjectKnnResult:
-    m = proj.params.m
-    stops = _stops(keys, distances, queries, family, proj, k, t2_bound, n_objects)
-    inside = keys.join(stops, "q_obj").where("key <= stop").join(distances.select("q_obj", "object_id", "sq_dist"), ["q_obj", "object_id"])
-    first = ["sq_dist", "object_id"] if order_by == "distance" else ["key", "object_id"]
-    ranked = inside.withColumn("rank", F.row_number().over(Window.partitionBy("q_obj").orderBy(*first)))
-    result = ranked.where(F.col("rank") <= k).select("q_obj", "rank", "object_id", "sq_dist")
-    counted = inside.groupBy("q_obj").agg(F.count("*").alias("n"))
-    stats = stops.join(counted, "q_obj", "left").select(
-        "q_obj", "status", F.expr(f"cast(stop div {m + 1} as int)").alias("stop_level"), F.expr(f"cast(stop % {m + 1} as int)").alias("stop_proj"), F.coalesce("n", F.lit(0)).alias("n_candidates")
-    )
+    if where is not None and filter_mode == "pre":
+        sizes = written(index.sizes.join(where, "object_id", "left_semi"), "object-sizes")
+        index = replace(index, sizes=sizes, n_objects=sizes.count())
+    search = _Search(index, family, gamma, k, eps, count_mode, t2_bound, order_by, exclude_self)
+    found = [search.onepass(q) if mode == "onepass" else search.iterative(q, proj_batch) for q in query_batches(queries)]
+    spark = index.table.sparkSession
+    result, stats = spark.createDataFrame([], RESULT), spark.createDataFrame([], STATS)
+    for more in found:
+        result, stats = (more.result, more.stats) if more is found[0] else (result.union(more.result), stats.union(more.stats))
+    if where is not None and filter_mode == "post":
+        order = Window.partitionBy("q_obj").orderBy("rank")
+        result = result.join(where, "object_id", "left_semi").withColumn("rank", F.row_number().over(order)).select("q_obj", "rank", "object_id", "sq_dist")
     return ObjectKnnResult(result, stats)
 
 
-def _iterative(points, queries, family, proj, gamma, k, eps, t2_bound, order_by, n_objects) -> ObjectKnnResult:
-    n_objects = n_objects or object_sizes(points).count()
-    left, found = queries, []
-    for level in range(proj.levels + 1):
-        part = Projections(proj.a, proj.b, proj.width, proj.params, level)
-        keys = candidate_keys(points, left, part, gamma, eps).persist()
-        distances = gamma_distance(points.join(keys.select("object_id").distinct(), "object_id", "left_semi"), left, family, gamma).persist()
-        done = _finish(keys, distances, left, family, part, k, t2_bound, order_by, n_objects)
-        status = {r.q_obj: r for r in done.stats.collect()}  # one row for each open query object
-        over = [q for q, r in status.items() if r.status != "exhausted" or level == proj.levels]
-        if over:
-            found.append(ObjectKnnResult(done.result.where(F.col("q_obj").isin(over)), done.stats.where(F.col("q_obj").isin(over))))
-            left = left.where(~F.col("object_id").isin(over))
-        if len(over) == len(status):
-            break
-    result, stats = found[0].result, found[0].stats
-    for more in found[1:]:
-        result, stats = result.union(more.result), stats.union(more.stats)
-    return ObjectKnnResult(result, stats)
+@dataclass
+class _Search:
+    index: Index
+    family: Family
+    gamma: tuple[int, int]
+    k: int
+    eps: tuple[int, int]
+    count_mode: str
+    t2_bound: str
+    order_by: str
+    exclude_self: bool
+
+    def __post_init__(self):
+        self.proj: Projections = self.index.proj
+        self.m, self.top = self.proj.params.m, self.proj.levels
+        self.enough = self.k + math.ceil(min(Fraction(25, max(1, self.index.n_objects)), Fraction(999, 1000)) * self.index.n_objects)
+
+    def keys(self, rows: DataFrame, q: QuerySet, levels: range, upto: int | None = None) -> DataFrame:
+        found = candidate_keys(close_counts(rows, self.index, q, levels, self.count_mode, upto), self.index, q, self.gamma, self.eps)
+        return found.where("object_id <> q_obj") if self.exclude_self else found
+
+    def t1(self, keys: DataFrame) -> DataFrame:
+        order = Window.partitionBy("q_obj").orderBy("key", "object_id")
+        return keys.withColumn("at", F.row_number().over(order)).where(F.col("at") == self.enough).select("q_obj", F.col("key").alias("t1"))
+
+    def distances(self, pairs: DataFrame, q: QuerySet) -> DataFrame:
+        """(q_obj, object_id, sq_dist) of the pairs."""
+        points = self.index.points.join(pairs.select("object_id").distinct(), "object_id", "left_semi")
+        found = batch_distances(points, q, self.family, self.gamma).select("q_obj", "object_id", "sq_dist")
+        return found.join(pairs.select("q_obj", "object_id"), ["q_obj", "object_id"], "left_semi")
+
+    def onepass(self, q: QuerySet) -> ObjectKnnResult:
+        hashed = self.proj.hashes(q.vec)
+        keys = written(self.keys(read_postings(self.index, hashed, self.top), q, range(self.top + 1)), "keys")
+        # what comes after T1 can neither be returned nor stop the search
+        needed = keys.join(self.t1(keys), "q_obj", "left").where(F.col("t1").isNull() | (F.col("key") <= F.col("t1"))).select("q_obj", "object_id", "key")
+        distances = written(self.distances(written(needed, "candidates"), q), "distances")
+        return self.finish(keys, distances, q, self.top)
+
+    def iterative(self, q: QuerySet, proj_batch: int | None) -> ObjectKnnResult:
+        spark = self.index.table.sparkSession
+        held: DataFrame | None = None
+        keys = distances = None
+        found: list[ObjectKnnResult] = []
+        for level in range(self.top + 1):
+            hashed = self.proj.hashes(q.vec)
+            for start in range(0, self.m, proj_batch or self.m):
+                upto = min(start + (proj_batch or self.m), self.m)
+                ring = read_postings(self.index, hashed, level, level - 1 if level else None).where(f"proj > {start} AND proj <= {upto}")
+                held = written(ring if held is None else held.union(ring), "postings-read")
+                now = self.keys(held, q, range(level, level + 1), upto)
+                if keys is not None:
+                    now = keys.union(now.join(keys, ["q_obj", "object_id"], "left_anti"))
+                seen = written(now, "keys")
+                if upto < self.m and self.t1(seen).count() == len(q.sizes()):
+                    break
+            keys = seen
+            fresh = keys if distances is None else keys.join(distances, ["q_obj", "object_id"], "left_anti")
+            more = self.distances(written(fresh, "candidates"), q)
+            distances = written(more if distances is None else distances.union(more), "distances")
+            done = self.finish(keys, distances, q, level)
+            status = {r.q_obj: r for r in done.stats.collect()}  # one row for each open query object
+            over = [o for o, r in status.items() if r.status != "exhausted" or level == self.top]
+            if over:
+                found.append(ObjectKnnResult(done.result.where(F.col("q_obj").isin(over)), done.stats.where(F.col("q_obj").isin(over))))
+                left = ~np.isin(q.q_obj, over)
+                q = QuerySet(q.q_obj[left], q.q_id[left], q.vec[left])
+                keys, distances = keys.where(~F.col("q_obj").isin(over)), distances.where(~F.col("q_obj").isin(over))
+            if not len(q.q_obj):
+                break
+        result, stats = spark.createDataFrame([], RESULT), spark.createDataFrame([], STATS)
+        for more in found:
+            result, stats = (more.result, more.stats) if more is found[0] else (result.union(more.result), stats.union(more.stats))
+        return ObjectKnnResult(result, stats)
+
+    def finish(self, keys: DataFrame, distances: DataFrame, q: QuerySet, levels: int) -> ObjectKnnResult:
+        m = self.m
+        stops = self.stops(keys, distances, q, levels)
+        inside = keys.join(stops, "q_obj").where("key <= stop").join(distances, ["q_obj", "object_id"])
+        first = ["sq_dist", "object_id"] if self.order_by == "distance" else ["key", "object_id"]
+        ranked = inside.withColumn("rank", F.row_number().over(Window.partitionBy("q_obj").orderBy(*first)))
+        result = ranked.where(F.col("rank") <= self.k).select("q_obj", "rank", "object_id", "sq_dist")
+        counted = inside.groupBy("q_obj").agg(F.count("*").alias("n"))
+        stats = stops.join(counted, "q_obj", "left").select(
+            "q_obj", "status", F.expr(f"cast(stop div {m + 1} as int)").alias("stop_level"), F.expr(f"cast(stop % {m + 1} as int)").alias("stop_proj"), F.coalesce("n", F.lit(0)).cast("long").alias("n_candidates")
+        )
+        return ObjectKnnResult(result, stats)
+
+    def stops(self, keys: DataFrame, distances: DataFrame, q: QuerySet, levels: int) -> DataFrame:
+        m = self.m
+        # each candidate counts from the later of its entry level and the first level whose radius holds it
+        entered = keys.join(distances, ["q_obj", "object_id"]).withColumn("entry", F.expr(f"key div {m + 1}"))
+        reach = F.lit(levels + 1)
+        for t, limit in reversed(list(enumerate(self.proj.squared_radii(self.family.unit, self.proj.params.c if self.t2_bound == "cR" else 1)[: levels + 1]))):
+            reach = F.when(F.col("sq_dist") <= limit, F.lit(t)).otherwise(reach)
+        order = Window.partitionBy("q_obj").orderBy("level", "object_id")
+        near = entered.withColumn("level", F.greatest("entry", reach)).withColumn("at", F.row_number().over(order))
+        t2 = near.where((F.col("at") == self.k) & (F.col("level") <= levels)).select("q_obj", (F.col("level") * (m + 1) + m).alias("t2"))
+        both = query_sizes(keys.sparkSession, q).select("q_obj").join(self.t1(keys), "q_obj", "left").join(t2, "q_obj", "left")
+        last = levels * (m + 1) + m
+        first = F.coalesce("t1", F.lit(last + 1)) <= F.coalesce("t2", F.lit(last + 1))
+        status = F.when(F.col("t1").isNull() & F.col("t2").isNull(), "exhausted").when(first, "T1").otherwise("T2")
+        return both.select("q_obj", status.alias("status"), F.least(F.coalesce("t1", F.lit(last)), F.coalesce("t2", F.lit(last))).cast("long").alias("stop"))
+
+
+def schedule_costs(index: Index, queries: DataFrame, level: int) -> DataFrame:
+    """(q_obj, joint, independent): buckets read at a level when all query points go on together, and when each goes alone."""
+    from objann.operators.hashing import inverted, level_bucket
+
+    radius = index.proj.limits()[level]
+    own = inverted(queries, index.proj).select(F.col("object_id").alias("q_obj"), F.col("point_id").alias("q_id"), "proj", level_bucket(F.col("bucket"), radius).alias("cell"))
+    stored = index.table.where("proj > 0").select("proj", "bucket", level_bucket(F.col("bucket"), radius).alias("cell")).distinct()
+    read = own.join(stored, ["proj", "cell"])
+    return read.groupBy("q_obj").agg(F.countDistinct("proj", "bucket").alias("joint"), F.count("*").alias("independent"))

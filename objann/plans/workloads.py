@@ -2,93 +2,355 @@
 
 from __future__ import annotations
 
+import time
+from collections.abc import Iterator
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from objann.functions.params import derive_params, gamma_min
+from objann.functions.params import derive_params, fp_bound, gamma_min, point_error_rates
 from objann.operators import buffers
-from objann.operators.gamma import exact_object_knn, gamma_distance
+from objann.operators.gamma import gamma_distance
 from objann.operators.hashing import Projections, make_projections
-from objann.operators.metrics import is_c_approx, object_ratio
+from objann.operators.index import Index, build_index
+from objann.operators.kernel import CELLS, Collisions, QuerySet, bit_places, block_sq_dist, blocks, close_events, query_batches
+from objann.operators.metrics import object_ratio
 from objann.operators.pointknn import borda, hashed_knn, linear_knn
-from objann.operators.search import object_knn
-from objann.plans.twin_sql import QUERY_OBJECTS
-from objann.sources.families import TWIN, Family, points
+from objann.operators.search import _Search, candidate_keys, object_knn
+from objann.sources.families import DOC, EMB, SUPP, TWIN, USER, Family, object_sizes, pick_queries, points
+from objann.sources.tables import written
 
-N_TWIN = 100
+HALF, QUARTER = (1, 2), (1, 4)
+# the stated query sets; they grow with the tables, but for the fixed objects of the planted pairs
+QUERIES = {"twin": "object_id IN (8, 98, 23, 77, 17, 80)", "user": "object_id % 150 = 3", "doc": "object_id % 250 = 7", "supp": "object_id % 50 = 1", "emb": "object_id % 10 = 0"}
+# share of false positives: 25 over the number of objects at scale 0.01
+BETA = {"twin": 0.25, "user": 25 / 150, "doc": 0.025, "supp": 0.25, "emb": 0.999}
+FAMILIES = {f.name: f for f in (TWIN, USER, DOC, SUPP, EMB)}
 
+_indexes: dict[tuple, Index] = {}
 
-def twin(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    p = points(spark, sf_dir, TWIN)
-    return p, p.where(F.col("object_id").isin(*QUERY_OBJECTS))
 
+def projections(name: str, kind: str = "static", **options) -> Projections:
+    return make_projections(FAMILIES[name], derive_params(kind, beta=BETA[name]), **options)
 
-def twin_projections(kind: str = "static", **options) -> Projections:
-    return make_projections(TWIN, derive_params(kind, beta=25 / N_TWIN), **options)
 
+def family_points(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
+    """All points of a family, and those of its stated query set."""
+    p = points(spark, sf_dir, FAMILIES[name])
+    return p, p.where(QUERIES[name])
 
-def method_grid(p: DataFrame, q: DataFrame, family: Family, proj: Projections, query_proj: Projections, gamma: tuple[int, int], k: int, k_primes=(25, 50, 100), n_objects: int = N_TWIN) -> DataFrame:
-    """(method, k_prime, q_obj, object_ratio, coverage, n_undefined): object search against the three fused baselines."""
-    truth = exact_object_knn(p, q, family, gamma, k).persist()
-    distances = gamma_distance(p, q, family, gamma).persist()
 
-    def row(name: str, k_prime: int, result: DataFrame) -> DataFrame:
-        return object_ratio(result, truth, distances).select(F.lit(name).alias("method"), F.lit(k_prime).alias("k_prime"), "*")
+def stored_index(spark: SparkSession, sf_dir: str, name: str, kind: str = "static", **options) -> Index:
+    """The family's index, built once in a session, as an index is built offline."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, kind, tuple(sorted(options.items())))
+    if key in _indexes:
+        try:
+            _indexes[key].sizes.isEmpty()
+        except Exception:  # the folder it lay in is gone
+            del _indexes[key]
+    if key not in _indexes:
+        _indexes[key] = build_index(points(spark, sf_dir, FAMILIES[name]), projections(name, kind, **options))
+    return _indexes[key]
 
-    out = row("object_search", 0, object_knn(p, q, family, proj, gamma, k, n_objects=n_objects).result.drop("rank", "sq_dist"))
+
+def union(parts) -> DataFrame:
+    return reduce(DataFrame.union, parts)
+
+
+def random_queries(p: DataFrame, n: int = 10) -> DataFrame:
+    """The points of n objects in the order of a hash of their ids."""
+    return written(p.join(F.broadcast(pick_queries(p, n)), "object_id", "left_semi"), "queries")
+
+
+def timed(make) -> tuple[DataFrame, float]:
+    """(the rows, written, and the seconds that took)."""
+    began = time.time()
+    return written(make(), "timed"), round(time.time() - began, 3)
+
+
+def method_grid(spark: SparkSession, sf_dir: str, name: str, gamma: tuple[int, int] = QUARTER, k: int = 25, k_primes=(25, 50, 100), n_queries: int = 10) -> DataFrame:
+    """(method, k_prime, q_obj, object_ratio, coverage, n_undefined, seconds): object search against the three fused
+    baselines, for random query objects of one family.  Seconds are of the whole query set, without building the index."""
+    family, index = FAMILIES[name], stored_index(spark, sf_dir, name)
+    q = random_queries(index.points, n_queries)
+    proj, centred = index.proj, projections(name, "query")
+    distances = written(gamma_distance(index.points, q, family, gamma), "distances")
+    order = Window.partitionBy("q_obj").orderBy("sq_dist", "object_id")
+    truth = distances.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("q_obj", "rank", "object_id", "sq_dist")
+
+    def row(method: str, k_prime: int, make) -> DataFrame:
+        found, seconds = timed(make)
+        return object_ratio(found.select("q_obj", "object_id"), truth, distances).select(F.lit(method).alias("method"), F.lit(k_prime).alias("k_prime"), "*", F.lit(seconds).alias("seconds"))
+
+    out = [row("object_search", 0, lambda: object_knn(index, q, family, gamma, k).result)]
     for k_prime in k_primes:
-        for name, lists in (("linear", linear_knn(p, q, k_prime)), ("static", hashed_knn(p, q, family, proj, k_prime)), ("query_centred", hashed_knn(p, q, family, query_proj, k_prime))):
-            out = out.union(row(name, k_prime, borda(lists, k_prime, k).select("q_obj", "object_id")))
-    return out
+        lists = {"linear": lambda n: linear_knn(index.points, q, n), "static": lambda n: hashed_knn(index.points, q, family, proj, n), "query_centred": lambda n: hashed_knn(index.points, q, family, centred, n)}
+        out += [row(method, k_prime, lambda make=make: borda(make(k_prime), k_prime, k)) for method, make in lists.items()]
+    return union(out)
 
 
-def k_sweep(p: DataFrame, q: DataFrame, family: Family, proj: Projections, gamma: tuple[int, int], ks=(1, 5, 10, 25, 50), n_objects: int = N_TWIN) -> DataFrame:
-    """(k, object_ratio) of object search, the mean over the query objects."""
-    out = None
+def k_sweep(spark: SparkSession, sf_dir: str, name: str, gamma: tuple[int, int] = QUARTER, ks=(1, 5, 10, 25, 50, 100), k_prime: int = 50) -> DataFrame:
+    """(method, k, object_ratio, seconds) of object search and of fused static-bucket lists: means over the stated query set."""
+    family, index = FAMILIES[name], stored_index(spark, sf_dir, name)
+    q = written(index.points.where(QUERIES[name]), "queries")
+    distances = written(gamma_distance(index.points, q, family, gamma), "distances")
+    order = Window.partitionBy("q_obj").orderBy("sq_dist", "object_id")
+    ranked = written(distances.withColumn("rank", F.row_number().over(order)), "ranked")
+    lists, list_seconds = timed(lambda: hashed_knn(index.points, q, family, index.proj, k_prime))
+    out = []
     for k in ks:
-        truth = exact_object_knn(p, q, family, gamma, k)
-        found = object_knn(p, q, family, proj, gamma, k, n_objects=n_objects).result
-        row = object_ratio(found, truth).agg(F.lit(k).alias("k"), F.round(F.avg("object_ratio"), 6).alias("object_ratio"))
-        out = row if out is None else out.union(row)
-    return out
+        truth = ranked.where(F.col("rank") <= k)
+        mine, seconds = timed(lambda k=k: object_knn(index, q, family, gamma, k).result)
+        fused, fuse_seconds = timed(lambda k=k: borda(lists, k_prime, k))
+        for method, found, took in (("object_search", mine, seconds), ("static", fused, round(list_seconds + fuse_seconds, 3))):
+            ratio = object_ratio(found.select("q_obj", "object_id"), truth, distances)
+            out.append(ratio.agg(F.lit(method).alias("method"), F.lit(k).alias("k"), F.round(F.avg("object_ratio"), 6).alias("object_ratio"), F.lit(took).alias("seconds")))
+    return union(out)
 
 
-def buffer_costs(p: DataFrame, q: DataFrame, proj: Projections, share: float = 0.096, n_splits: int = buffers.SPLITS) -> DataFrame:
-    """Modelled cost of the naive strategies and the proposed eviction with split queries, at a share of the index."""
-    capacity = int(share * p.count() * proj.params.m * buffers.ENTRY_BYTES)
-    plain, split = buffers.access_trace(p, q, proj), buffers.access_trace(p, q, proj, n_splits)
-    runs = [buffers.simulate_buffer(plain, "lru", capacity), buffers.simulate_buffer(plain, "per_bucket", capacity), buffers.simulate_buffer(split, "frequency", capacity)]
-    return runs[0].union(runs[1]).union(runs[2])
+# buffer-conscious processing
 
 
-def split_sweep(p: DataFrame, q: DataFrame, proj: Projections, splits=(1, 2, 5, 10, 20), share: float = 0.096) -> DataFrame:
-    capacity = int(share * p.count() * proj.params.m * buffers.ENTRY_BYTES)
-    out = None
-    for n in splits:
-        row = buffers.simulate_buffer(buffers.access_trace(p, q, proj, n), "frequency", capacity).agg(F.lit(n).alias("n_splits"), F.sum("seeks").alias("seeks"), F.sum("io_ms").alias("io_ms"), F.sum("alg_cost").alias("alg_cost"))
-        out = row if out is None else out.union(row)
-    return out
+def stop_levels(spark: SparkSession, sf_dir: str, name: str, gamma: tuple[int, int] = QUARTER, k: int = 25) -> int:
+    """The highest level at which a search of the stated query set stops: what its trace reads."""
+    index = stored_index(spark, sf_dir, name)
+    return int(object_knn(index, index.points.where(QUERIES[name]), FAMILIES[name], gamma, k).stats.agg(F.max("stop_level")).first()[0])
+
+
+class BufferRuns:
+    """Traces of a family's query set up to the level where its searches stop, and their replay at a share of the index."""
 
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str, n_random: int = 500):
+        self.name, self.proj = name, projections(name)
+        self.points, self.queries = family_points(spark, sf_dir, name)
+        self.points, self.queries = written(self.points, "points"), written(self.queries, "queries")
+        self.levels = stop_levels(spark, sf_dir, name)
+        self.entries = self.points.count() * self.proj.params.m * buffers.ENTRY_BYTES
+        self.sample = buffers.random_points(self.points, n_random, FAMILIES[name].dim)
+        self.n_query = self.queries.count() / max(1, self.queries.select("object_id").distinct().count())
+        self._needs = None
 
-def buffer_size_sweep(p: DataFrame, q: DataFrame, proj: Projections, shares=(0.064, 0.096, 0.128, 0.16)) -> DataFrame:
-    out = None
+    def trace(self, n_splits: int = 1, schedule: str = "joint") -> DataFrame:
+        return buffers.access_trace(self.points, self.queries, self.proj, n_splits, self.levels, schedule)
+
+    def estimate(self, **options) -> DataFrame:
+        sample = written(self.sample, "sample")
+        return buffers.estimated_frequency(self.points, sample, self.proj, self.n_query, max(1, sample.count()), levels=self.levels, **options)
+
+    def with_estimate(self, trace: DataFrame, **options) -> DataFrame:
+        return trace.join(self.estimate(**options).select("proj", "bucket", "est_freq"), ["proj", "bucket"])
+
+    def capacity(self, share: float) -> int:
+        return int(share * self.entries)
+
+
+def buffer_costs(spark: SparkSession, sf_dir: str, name: str, share: float = 0.096) -> DataFrame:
+    """Modelled cost by query object of LRU, one load per bucket, and the proposed eviction on split queries: with frequencies
+    estimated offline as a real query has them, and with exact ones as a bound."""
+    runs = BufferRuns(spark, sf_dir, name)
+    capacity = runs.capacity(share)
+    plain, split = written(runs.trace(), "trace"), written(runs.with_estimate(runs.trace(buffers.SPLITS)), "trace")
+    return union(
+        [
+            buffers.simulate_buffer(plain, "lru", capacity),
+            buffers.simulate_buffer(plain, "per_bucket", capacity),
+            buffers.simulate_buffer(split, "frequency", capacity, "proposed", frequencies="estimated"),
+            buffers.simulate_buffer(split, "frequency", capacity, "proposed_exact", frequencies="exact"),
+        ]
+    )
+
+
+def buffer_size_sweep(spark: SparkSession, sf_dir: str, name: str, shares=(0.064, 0.096, 0.128, 0.16)) -> DataFrame:
+    """(policy, share, seeks, mb, alg_ms, io_ms, total_ms): the proposed strategy against point searches with an LRU buffer; 20 to 50 MB of the index that the shares stand for."""
+    runs = BufferRuns(spark, sf_dir, name)
+    split = written(runs.with_estimate(runs.trace(buffers.SPLITS)), "trace")
+    alone = written(runs.trace(schedule="independent"), "trace")
+    out = []
     for share in shares:
-        row = buffer_costs(p, q, proj, share)
-        out = row if out is None else out.union(row)
-    return out
-
-
-def guarantee_rates(p: DataFrame, q: DataFrame, family: Family, gamma: tuple[int, int], n_objects: int, seeds=range(3), radius: int = 8) -> DataFrame:
-    """(seed, q_obj, c2): whether results are within c squared of the exact ones."""
-    truth = exact_object_knn(p, q, family, gamma, 1).persist()
-    out = None
-    for seed in seeds:
-        proj = make_projections(family, derive_params("static", beta=min(0.999, 25 / n_objects)), seed=seed)
-        found = object_knn(p, q, family, proj, gamma, 1, n_objects=n_objects).result
-        row = is_c_approx(found, truth, proj.params.c**2).select(F.lit(seed).alias("seed"), "q_obj", F.col("c_approx").alias("c2"))
-        out = row if out is None else out.union(row)
-    return out
+        for costs in (buffers.simulate_buffer(split, "frequency", runs.capacity(share), "proposed", frequencies="estimated"), buffers.simulate_buffer(alone, "lru", runs.capacity(share), "static_lru")):
+            out.append(_mean_costs(costs).withColumn("share", F.lit(share)))
+    return union(out)
+
+
+def _mean_costs(costs: DataFrame) -> DataFrame:
+    return costs.groupBy("policy").agg(*[F.round(F.avg(c), 6).alias(c) for c in ("hits", "seeks", "evictions", "mb", "alg_ms", "io_ms", "total_ms")])
+
+
+def split_sweep(spark: SparkSession, sf_dir: str, name: str, splits=(1, 2, 5, 10, 20, 50), share: float = 0.096) -> DataFrame:
+    """(n_splits, seeks, mb, alg_ms, io_ms, total_ms, picked): the proposed strategy by number of slices, and the number that an index would keep."""
+    runs = BufferRuns(spark, sf_dir, name)
+    out = []
+    for n in splits:
+        costs = buffers.simulate_buffer(runs.with_estimate(runs.trace(n)), "frequency", runs.capacity(share), "proposed", frequencies="estimated")
+        out.append(_mean_costs(costs).drop("policy").withColumn("n_splits", F.lit(n)))
+    costs = written(union(out), "split-costs")
+    return costs.withColumn("picked", F.col("n_splits") == buffers.pick_split(costs))
+
+
+def buffer_ablation(spark: SparkSession, sf_dir: str, name: str, share: float = 0.096) -> DataFrame:
+    """Mean costs of the proposed eviction, and with each of its criteria, the estimate's form and the splits changed."""
+    runs = BufferRuns(spark, sf_dir, name)
+    capacity = runs.capacity(share)
+    split = written(runs.with_estimate(runs.trace(buffers.SPLITS)), "trace")
+    depth = written(runs.with_estimate(runs.trace(buffers.SPLITS), shape="equal_depth"), "trace")
+    unsplit = written(runs.with_estimate(runs.trace()), "trace")
+    run = lambda name, trace, **options: buffers.simulate_buffer(trace, "frequency", capacity, name, **{"frequencies": "estimated", **options})
+    parts = [run("proposed", split), run("no_recency", split, recent_frac=0.0), run("no_distance", split, far_frac=0.0), run("no_frequency", split, use_frequency=False), run("equal_depth", depth), run("unsplit", unsplit), run("exact", split, frequencies="exact")]
+    return union([_mean_costs(p) for p in parts])
+
+
+def exact_counts(runs: BufferRuns, queries: DataFrame) -> DataFrame:
+    return buffers.bucket_needs(runs.points, queries, runs.proj, runs.levels).groupBy("proj", "bucket").agg(F.count("*").alias("exact_freq"))
+
+
+def frequency_curves(spark: SparkSession, sf_dir: str, name: str, proj: int = 1) -> DataFrame:
+    """(bucket, region, real, random, est_freq) on one projection: how often each bucket is needed by the points of a real query
+    object, by as many random points, and by the estimate."""
+    runs = BufferRuns(spark, sf_dir, name)
+    first = runs.queries.agg(F.min("object_id")).first()[0]
+    one = runs.queries.where(F.col("object_id") == first)
+    n, total = one.count(), max(1, runs.sample.count())
+    real = exact_counts(runs, one).withColumnRenamed("exact_freq", "real")
+    random = exact_counts(runs, runs.sample).select("proj", "bucket", F.round(F.col("exact_freq") * n / total, 6).alias("random"))
+    curves = runs.estimate().where(F.col("proj") == proj).join(real, ["proj", "bucket"], "left").join(random, ["proj", "bucket"], "left")
+    return curves.select("bucket", "region", F.coalesce("real", F.lit(0)).alias("real"), F.coalesce("random", F.lit(0.0)).alias("random"), "est_freq")
+
+
+def frequency_errors(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """(shape, proj, mae, corr) of the estimates against the exact accesses of the query set, per query object."""
+    runs = BufferRuns(spark, sf_dir, name)
+    objects = max(1, runs.queries.select("object_id").distinct().count())
+    exact = written(exact_counts(runs, runs.queries).withColumn("exact_freq", F.col("exact_freq") / objects), "exact")
+    return union([buffers.frequency_error(exact, runs.estimate(shape=shape)).select(F.lit(shape).alias("shape"), "*") for shape in ("equal_width", "equal_depth")])
+
+
+# the guarantee
+
+
+def close_rates(p: DataFrame, q: QuerySet, family: Family, projs: list[Projections], level: int) -> DataFrame:
+    """(seed, q_obj, object_id, pairs, close, near, near_close, far, far_close) at one level, for every set of projections:
+    pairs that reach the threshold, and how many of the pairs within the radius and beyond c times it do."""
+    near_limit, far_limit = (projs[0].squared_radii(family.unit, step)[level] for step in (1, projs[0].params.c))
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for obj, _, vec in blocks(batches, len(q.q_obj), CELLS):
+            d = block_sq_dist(q.vec, vec)
+            near, far = d <= near_limit, d > far_limit
+            names, own = np.unique(obj, return_inverse=True)
+            rows = []
+            for seed, proj in enumerate(projs):
+                pairs = Collisions(proj.hashes(q.vec), proj.hashes(vec), None, proj.limits(), proj.static)
+                close = np.zeros(d.shape, bool)
+                for _, _, bits in close_events(pairs, proj.params.m, proj.params.l, range(level, level + 1), "restart"):
+                    close[bit_places(bits)] = True
+                for name, a, b in q.objects():
+                    sums = [np.bincount(own, weights=x[a:b].sum(axis=0), minlength=len(names)).astype(np.int64) for x in (np.ones(d.shape, bool), close, near, near & close, far, far & close)]
+                    rows.append((np.full(len(names), seed), np.full(len(names), name), names, *sums))
+            columns = ["seed", "q_obj", "object_id", "pairs", "close", "near", "near_close", "far", "far_close"]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c).astype(np.int64)) for c in zip(*rows)], columns)
+
+    schema = "seed long, q_obj long, object_id long, pairs long, close long, near long, near_close long, far long, far_close long"
+    raw = p.select("object_id", "point_id", "vec").mapInArrow(count, schema)
+    return raw.groupBy("seed", "q_obj", "object_id").agg(*[F.sum(c).alias(c) for c in ("pairs", "close", "near", "near_close", "far", "far_close")])
+
+
+def guarantee_rates(spark: SparkSession, sf_dir: str, name: str, gamma: tuple[int, int] = QUARTER, seeds: int = 20, eps=(1, 5)) -> DataFrame:
+    """(seed, level, p1, p1_target, false_positives, allowed, p2, fp_bound, near_rate, near_target, far_miss_rate, far_target).
+
+    For every seed, at each level that separates near from far objects: p1 is the share of the
+    objects within the radius that are candidates; p2 tells whether the false positives of every query object
+    stay within beta S; the last four are the point rates behind them, with the least rates proven.
+    """
+    family = FAMILIES[name]
+    p, queries = family_points(spark, sf_dir, name)
+    p = written(p, "points")
+    queries = written(queries, "queries")
+    distances = written(gamma_distance(p, queries, family, gamma), "distances")
+    sizes = object_sizes(p).agg(F.count("*").alias("s"), F.min("n_points").alias("least")).first()
+    params = derive_params("static", beta=BETA[name])
+    projs = [make_projections(family, params, seed=seed) for seed in range(seeds)]
+    near_target, far_target = point_error_rates(params)
+    radii = projs[0].squared_radii(family.unit)
+    spread = distances.agg(F.min(F.when(F.col("q_obj") != F.col("object_id"), F.col("sq_dist"))).alias("low"), F.max("sq_dist").alias("high")).first()
+    levels = [t for t, r in enumerate(radii) if spread.low <= r and t <= 1 + next((u for u, x in enumerate(radii) if x >= spread.high), len(radii) - 1)][:3]
+    out = []
+    for q in query_batches(queries):
+        least_query = min(q.sizes().values())
+        for level in levels or [0]:
+            rates = close_rates(p, q, family, projs, level).join(distances.select("q_obj", "object_id", "sq_dist"), ["q_obj", "object_id"])
+            candidate = F.col("close") * (eps[1] * gamma[1]) >= F.col("pairs") * ((eps[1] - eps[0]) * gamma[0])
+            high = F.col("close") >= F.col("pairs") * (gamma[0] / gamma[1] + params.beta / 2)
+            within, beyond = F.col("sq_dist") <= radii[level], F.col("sq_dist") > projs[0].squared_radii(family.unit, params.c)[level]
+            each = rates.groupBy("seed", "q_obj").agg(
+                F.sum((within & candidate).cast("long")).alias("hit"), F.sum(within.cast("long")).alias("inside"), F.sum((high & beyond).cast("long")).alias("fp"), *[F.sum(c).alias(c) for c in ("near", "near_close", "far", "far_close")]
+            )
+            allowed = min(params.beta, 0.999) * sizes.s
+            out.append(
+                each.groupBy("seed").agg(
+                    F.lit(level).alias("level"),
+                    F.round(F.sum("hit") / F.sum("inside"), 6).alias("p1"),
+                    F.lit(round(1 - params.delta, 6)).alias("p1_target"),
+                    F.max("fp").alias("false_positives"),
+                    F.lit(round(allowed, 6)).alias("allowed"),
+                    (F.max("fp") <= allowed).alias("p2"),
+                    F.lit(round(fp_bound(sizes.s, params.beta, gamma[0] / gamma[1], least_query, sizes.least), 6)).alias("fp_bound"),
+                    F.round(F.sum("near_close") / F.sum("near"), 6).alias("near_rate"),
+                    F.lit(round(near_target, 6)).alias("near_target"),
+                    F.round(1 - F.sum("far_close") / F.sum("far"), 6).alias("far_miss_rate"),
+                    F.lit(round(far_target, 6)).alias("far_target"),
+                )
+            )
+    return union(out)
+
+
+def c2_rates(spark: SparkSession, sf_dir: str, name: str, gamma: tuple[int, int] = QUARTER, seeds: int = 20) -> DataFrame:
+    """(seed, q_obj, c2): whether the object returned, the query itself left out, is within c squared of the nearest one.
+
+    The counts of all seeds come from one pass over the points: a query object and a seed make one query.
+    """
+    family = FAMILIES[name]
+    p, queries = family_points(spark, sf_dir, name)
+    p, queries = written(p, "points"), written(queries, "queries")
+    params = derive_params("static", beta=BETA[name])
+    projs = [make_projections(family, params, seed=seed) for seed in range(seeds)]
+    sizes = written(object_sizes(p), "object-sizes")
+    distances = written(gamma_distance(p, queries, family, gamma).where("q_obj <> object_id"), "distances")
+    truth = distances.groupBy("q_obj").agg(F.min("sq_dist").alias("best"))
+    index = Index(p, p, sizes, projs[0], sizes.count(), 0)
+    search = _Search(index, family, gamma, 1, (1, 5), "carry", "R", "distance", True)
+    out = []
+    for q in query_batches(queries):
+        named = QuerySet(np.concatenate([q.q_obj * seeds + s for s in range(seeds)]), np.tile(q.q_id, seeds), np.tile(q.vec, (seeds, 1)))
+        counts = seeded_counts(p, q, projs, seeds)
+        keys = written(candidate_keys(counts, index, named, gamma).where(F.expr(f"q_obj div {seeds}") != F.col("object_id")), "keys")
+        many = distances.select(F.explode(F.transform(F.sequence(F.lit(0), F.lit(seeds - 1)), lambda s: F.col("q_obj") * seeds + s)).alias("q_obj"), "object_id", "sq_dist")
+        found = search.finish(keys, many, named, projs[0].levels).result
+        split = found.select(F.expr(f"q_obj % {seeds}").alias("seed"), F.expr(f"q_obj div {seeds}").alias("q_obj"), "sq_dist")
+        out.append(split.join(truth, "q_obj").select("seed", "q_obj", (F.col("sq_dist") <= F.col("best") * params.c**4).cast("int").alias("c2")))
+    return union(out)
+
+
+def seeded_counts(p: DataFrame, q: QuerySet, projs: list[Projections], seeds: int) -> DataFrame:
+    """``close_counts`` of all seeds in one pass over the points; query object o and seed s are query o * seeds + s."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for obj, _, vec in blocks(batches, len(q.q_obj), CELLS):
+            names, own = np.unique(obj, return_inverse=True)
+            out = []
+            for seed, proj in enumerate(projs):
+                pairs = Collisions(proj.hashes(q.vec), proj.hashes(vec), None, proj.limits(), proj.static)
+                for _, key, bits in close_events(pairs, proj.params.m, proj.params.l, range(proj.levels + 1)):
+                    rows, cols = bit_places(bits)
+                    codes, n = np.unique(q.q_obj[rows] * len(names) + own[cols], return_counts=True)
+                    out.append((codes // len(names) * seeds + seed, names[codes % len(names)], np.full(len(codes), -1), np.full(len(codes), key), n))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c).astype(np.int64)) for c in zip(*out)], ["q_obj", "object_id", "turn", "key", "n"])
+
+    raw = p.select("object_id", "point_id", "vec").mapInArrow(count, "q_obj long, object_id long, turn long, key long, n long")
+    return raw.groupBy("q_obj", "object_id", "turn", "key").agg(F.sum("n").alias("n"))
 
 
 def parameter_table(spark: SparkSession, sizes=(50, 100, 150, 200, 1000, 2000, 9994, 24980, 28049)) -> DataFrame:

@@ -20,14 +20,15 @@ class Family:
     name: str
     dim: int
     unit: int  # the integer length of radius 1
+    diameter: float = 16.0  # the widest distance of two points, in radii
 
 
 UNIT = 8192
-TWIN = Family("twin", 64, 163840)
-EMB, LABEL = Family("emb", 64, UNIT), Family("label", 64, UNIT)
-SUPP, PART, ORDER, CUST = (Family(n, 5, UNIT) for n in ("supp", "part", "order", "cust"))
-USER = Family("user", 8, UNIT)
-DOC, PAGE, CONV, BENCH = (Family(n, 32, UNIT) for n in ("doc", "page", "conv", "bench"))
+TWIN = Family("twin", 64, 163840, 24.0)  # 2 x (20 + 3 + 7) / 20 unit lengths
+EMB, LABEL = Family("emb", 64, UNIT), Family("label", 64, UNIT)  # unit vectors
+SUPP, PART, ORDER, CUST = (Family(n, 5, UNIT, 20.0) for n in ("supp", "part", "order", "cust"))
+USER = Family("user", 8, UNIT, 24.0)
+DOC, PAGE, CONV, BENCH = (Family(n, 32, UNIT) for n in ("doc", "page", "conv", "bench"))  # unit vectors
 
 
 def embedding_points(spark: SparkSession, sf_dir: str, by_label: bool = False) -> DataFrame:
@@ -37,18 +38,23 @@ def embedding_points(spark: SparkSession, sf_dir: str, by_label: bool = False) -
 
 
 def twin_points(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """100 objects of 12 points in planted pairs.  The vectors joined in are the 500 with the least ids."""
-    e = load_table(spark, sf_dir, "embeddings").where("vec_id < 500").select("vec_id", F.transform("embedding", q16).alias("v"))
-    ids = spark.range(1200).select(F.col("id").alias("point_id"), F.expr("id div 12").alias("j"), F.expr("id % 12").alias("i"))
-    ids = ids.select("point_id", "j", F.expr("j div 2").alias("a"), F.expr("400 + j % 2").alias("b"), F.expr("(12 * j + 7 * i + 100) % 500").alias("c"))
+    """Planted pairs: of n vectors (n / 5 objects of 12 points), each the sum of the pair's vector, one of two
+    from the last fifth, and one that goes round the whole table."""
+    e = load_table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", q16).alias("v"))
+    n = e.count()
+    ids = spark.range(n // 5 * 12).select(F.col("id").alias("point_id"), F.expr("id div 12").alias("j"), F.expr("id % 12").alias("i"))
+    ids = ids.select("point_id", "j", F.expr("j div 2").alias("a"), F.expr(f"{n * 4 // 5} + j % 2").alias("b"), F.expr(f"(12 * j + 7 * i + 100) % {n}").alias("c"))
     for name in "abc":
-        ids = ids.join(F.broadcast(e.select(F.col("vec_id").alias(name), F.col("v").alias(f"v{name}"))), name)
+        ids = ids.join(e.select(F.col("vec_id").alias(name), F.col("v").alias(f"v{name}")), name)
     vec = F.zip_with(F.zip_with("va", "vb", lambda x, y: 20 * x + 3 * y), "vc", lambda x, y: x + 7 * y)
     return ids.select(F.col("j").alias("object_id"), "point_id", vec.alias("vec"))
 
 
 def line_points(spark: SparkSession, sf_dir: str, key: str) -> DataFrame:
-    """Line items of a supplier, part, order or customer; the line key repeats, so rows are numbered by all columns."""
+    """Line items of a supplier, part, order or customer; the line key repeats, so rows are numbered by all columns.
+
+    Point ids hold 2^20 lines of a key; a key of more would repeat ids and is an error.
+    """
     lines = load_table(spark, sf_dir, "lineitem")
     if key == "o_custkey":
         orders = load_table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_custkey")
@@ -57,7 +63,7 @@ def line_points(spark: SparkSession, sf_dir: str, key: str) -> DataFrame:
     number = F.row_number().over(Window.partitionBy(key).orderBy(*columns)).cast("long")
     days = F.datediff(F.col("l_shipdate").cast("date"), F.lit("1992-01-01").cast("date")).cast("double")
     vec = F.array(q16(F.col("l_quantity") / 50.0), q16(F.col("l_extendedprice") / 105000.0), q16(F.col("l_discount") * 10.0), q16(F.col("l_tax") * 12.5), q16(days / 2500.0))
-    return lines.select(F.col(key).alias("object_id"), (F.col(key) * (1 << 20) + number).alias("point_id"), vec.alias("vec"))
+    return lines.select(F.col(key).alias("object_id"), (F.col(key) * (1 << 20) + F.when(number < 1 << 20, number).otherwise(F.raise_error(F.lit("too many lines of one key")))).alias("point_id"), vec.alias("vec"))
 
 
 def user_points(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -71,8 +77,14 @@ def event_vector() -> Column:
     return F.array(q16(F.sqrt(1.0 + F.col("value")) / 22.0), q16(F.hour("ts").cast("double") / 24.0), *map(q16, kinds), q16(k / 100.0))
 
 
+PARTS = 10_000  # parts of one text that point ids hold
+
+
 def text_points(df: DataFrame, key: str, text: Column) -> DataFrame:
-    """Sentences and lines of at least 20 characters as signed 3-gram counts in 32 bins, at unit length."""
+    """Sentences and lines of at least 20 characters as signed 3-gram counts in 32 bins, at unit length.
+
+    Point ids hold PARTS sentences and lines of a text; a text of more is an error, as ids would repeat.
+    """
     parts = df.select(F.col(key).alias("object_id"), F.posexplode(F.split(text, "[.\n]")).alias("at", "part")).withColumn("part", F.trim("part"))
     long = parts.where(F.length("part") >= 20)
 
@@ -87,10 +99,11 @@ def text_points(df: DataFrame, key: str, text: Column) -> DataFrame:
                     keep.append(k)
                     vectors.append(np.floor(bins / np.sqrt(square) * 65536 + 0.5).astype(np.int64))
             ids = batch.take(pa.array(keep, pa.int64()))
-            number = pc.add(pc.multiply(ids.column(0), 10000), ids.column(1))
+            number = pc.add(pc.multiply(ids.column(0), PARTS), ids.column(1))
             yield pa.RecordBatch.from_arrays([ids.column(0), number, pa.array([v.tolist() for v in vectors], pa.list_(pa.int64()))], ["object_id", "point_id", "vec"])
 
-    long = long.select(F.col("object_id").cast("long").alias("object_id"), F.col("at").cast("long").alias("at"), "part")
+    at = F.when(F.col("at") < PARTS, F.col("at").cast("long")).otherwise(F.raise_error(F.lit("too many parts of one text")))
+    long = long.select(F.col("object_id").cast("long").alias("object_id"), at.alias("at"), "part")
     return long.mapInArrow(count, "object_id long, point_id long, vec array<long>")
 
 
@@ -113,10 +126,14 @@ def points(spark: SparkSession, sf_dir: str, family: Family) -> DataFrame:
     return makers[family.name]()
 
 
+TURNS = 100  # turns of one conversation that slots hold
+
+
 def conversation_points(turns: DataFrame) -> DataFrame:
-    """A conversation's turns in one object: each turn is numbered apart."""
-    own = text_points(turns.withColumn("slot", F.col("conv_id") * 100 + F.col("turn")), "slot", F.col("text"))
-    return own.select(F.expr("object_id div 100").alias("object_id"), "point_id", "vec")
+    """A conversation's turns in one object: each turn is numbered apart; more than TURNS of them are an error."""
+    turn = F.when(F.col("turn") < TURNS, F.col("turn")).otherwise(F.raise_error(F.lit("too many turns of one conversation")))
+    own = text_points(turns.withColumn("slot", F.col("conv_id") * TURNS + turn), "slot", F.col("text"))
+    return own.select(F.expr(f"object_id div {TURNS}").alias("object_id"), "point_id", "vec")
 
 
 def validate_points(df: DataFrame, dim: int, mode: str = "fail") -> DataFrame:
