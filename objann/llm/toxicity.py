@@ -29,6 +29,7 @@ _word = re.compile(r"[^\W_]+(?:[@$!*0-9]+[^\W_]+)*")
 _runs = re.compile(r"(.)\1{2,}")
 _cue = re.compile(r"\b(?:quot\w*|wrote|writes|said|says|cited?|zitat\w*|schrieb|sagte|dijo|escribi\w*|cita|dit|écrit|citation)\b")
 _plain = str.maketrans("01345@$!", "oieasasi")
+ODD = r"[\p{L}][0-9@$!*]+[\p{L}]|(^|[^\p{L}])[0-9@$!]+\p{L}\p{L}|(.)(?:aaa|eee|iii|ooo|uuu)"  # words that may be spelled with other signs or drawn out
 OPEN_QUOTES, CLOSE_QUOTES = "\"“„«‹", "\"”“»›"
 
 
@@ -233,7 +234,7 @@ def text_features(texts: pa.Array, lexicon: Lexicon) -> np.ndarray:
         offsets -= offsets[0]
         coded = lists.flatten().dictionary_encode()
         chunks, numbers = coded.dictionary, coded.indices.to_numpy()
-        likely = pc.or_(pc.match_substring_regex(chunks, lexicon.fragments), pc.match_substring_regex(chunks, r"[\p{L}][0-9@$!*]+[\p{L}]|(^|[^\p{L}])[0-9@$!]+\p{L}\p{L}|(.)(?:aaa|eee|iii|ooo|uuu)"))
+        likely = pc.or_(pc.match_substring_regex(chunks, lexicon.fragments), pc.match_substring_regex(chunks, ODD))
         hits: dict[int, list[float]] = {}
         for number in np.flatnonzero(likely.to_numpy(zero_copy_only=False)).tolist():
             strengths = [k for w in _word.findall(chunks[number].as_py()) if (k := lexicon.match(w)) > 0]
@@ -396,6 +397,8 @@ def _fitted(documents: DataFrame, labels: DataFrame, most: int) -> ToxicityModel
 
     def misspelled(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
+            words = pc.utf8_slice_codeunits(batch.column(0), 0, -1)
+            batch = batch.filter(pc.or_(pc.match_substring_regex(words, plain.fragments), pc.match_substring_regex(words, ODD)))
             rows = [(w[:-1], t, c) for w, t, c in zip(*(batch.column(k).to_pylist() for k in range(3)))]
             rows = [(w, term, t, c) for w, t, c in rows if plain.exact(w) is None and (term := plain.fuzzy(w)) is not None]
             columns = list(zip(*rows)) or [()] * 4
