@@ -13,7 +13,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from objann.llm.shared import byte_slices, read_table, scratch, text_or_empty, written
+from objann.llm.shared import byte_slices, read_table, release_shuffles, scratch, text_or_empty, written
 
 WIDTH = 192
 FILL = b" "
@@ -184,6 +184,7 @@ def chunk_store(df: DataFrame, listed: DataFrame, key: str = "doc_id", text: str
     uses = places.join(written(owners, "media-owners"), "digest").select("media", "place", (F.struct("media", "place") == F.col("owner")).alias("lends"))
     uses = written(uses.groupBy("media").agg(F.collect_list(F.struct("place", "lends")).alias("uses")), "media-uses")
     manifests = lists.join(uses, "media", "left")
+    release_shuffles(spark)  # before the one large shuffle
 
     def compress(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[bytes] = set()
@@ -296,6 +297,7 @@ def store_and_read(df: DataFrame, key: str = "doc_id", text: str = "text") -> Da
     listed = written(chunk_lists(df, key, text), "media-lists", lasting=True)
     with scratch():
         store = chunk_store(df, listed, key, text)
+    release_shuffles(df.sparkSession)
     read = written(read_back(store), "media-read", lasting=True)
     return listed.select("id", "n_bytes", "media").join(read, "media").select(F.col("id").alias(key), "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "n_chunks", "feature")
 
