@@ -104,7 +104,8 @@ def random_points(points: DataFrame, n: int, dim: int, seed: int = 11, source: s
 def frequency_error(exact: DataFrame, estimate: DataFrame) -> DataFrame:
     """(proj, mae, corr) of exact against estimated access counts of all buckets; a bucket without accesses has none."""
     both = estimate.join(exact, ["proj", "bucket"], "left").withColumn("exact_freq", F.coalesce("exact_freq", F.lit(0)))
-    return both.groupBy("proj").agg(F.round(F.avg(F.abs(F.col("exact_freq") - F.col("est_freq"))), 6).alias("mae"), F.round(F.corr("exact_freq", "est_freq"), 6).alias("corr"))
+    spread = F.stddev_pop("exact_freq") * F.stddev_pop("est_freq")  # 0 where one of them is the same everywhere: no correlation then
+    return both.groupBy("proj").agg(F.round(F.avg(F.abs(F.col("exact_freq") - F.col("est_freq"))), 6).alias("mae"), F.round(F.try_divide(F.covar_pop("exact_freq", "est_freq"), spread), 6).alias("corr"))
 
 
 class FrequencyBuffer:

@@ -54,7 +54,7 @@ def share_distance_function():
 
 @udtf(returnType="object_id long, point_id long, sq_dist long")
 class Neighbours:
-    """``neighbours(TABLE(points) PARTITION BY object_id, query, k)``: the k points of each object that are nearest to a vector."""
+    """``neighbours(TABLE(points) PARTITION BY (object_id), query, k)``: the k points of each object that are nearest to a vector."""
 
     def __init__(self):
         self.rows, self.query, self.k = [], None, 0
@@ -113,7 +113,7 @@ def udaf_gamma(spark: SparkSession, sf_dir: str) -> DataFrame:
 def udtf_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     vec = _prepared(spark, sf_dir).sql("SELECT vec FROM twin_queries ORDER BY point_id LIMIT 1").first().vec
     literal = ", ".join(f"{v}L" for v in vec)
-    near = spark.sql(f"SELECT * FROM neighbours(TABLE(twin_points) PARTITION BY object_id, array({literal}), 25)")
+    near = spark.sql(f"SELECT * FROM neighbours(TABLE(twin_points) PARTITION BY (object_id), array({literal}), 25)")
     return near.withColumn("rank", F.row_number().over(Window.orderBy("sq_dist", "object_id", "point_id"))).where("rank <= 25")
 
 

@@ -291,15 +291,15 @@ def guarantee_rates(spark: SparkSession, sf_dir: str, name: str, gamma: tuple[in
             out.append(
                 each.groupBy("seed").agg(
                     F.lit(level).alias("level"),
-                    F.round(F.sum("hit") / F.sum("inside"), 6).alias("p1"),
+                    F.round(F.try_divide(F.sum("hit"), F.sum("inside")), 6).alias("p1"),
                     F.lit(round(1 - params.delta, 6)).alias("p1_target"),
                     F.max("fp").alias("false_positives"),
                     F.lit(round(allowed, 6)).alias("allowed"),
                     (F.max("fp") <= allowed).alias("p2"),
                     F.lit(round(fp_bound(sizes.s, params.beta, gamma[0] / gamma[1], least_query, sizes.least), 6)).alias("fp_bound"),
-                    F.round(F.sum("near_close") / F.sum("near"), 6).alias("near_rate"),
+                    F.round(F.try_divide(F.sum("near_close"), F.sum("near")), 6).alias("near_rate"),
                     F.lit(round(near_target, 6)).alias("near_target"),
-                    F.round(1 - F.sum("far_close") / F.sum("far"), 6).alias("far_miss_rate"),
+                    F.round(1 - F.try_divide(F.sum("far_close"), F.sum("far")), 6).alias("far_miss_rate"),
                     F.lit(round(far_target, 6)).alias("far_target"),
                 )
             )

@@ -1,18 +1,24 @@
-"""Parameters, hand cases, the twin family and buffer replay."""
+"""Parameters, hand cases, kernels and searches against plain loops, and what must not depend on how a query is run."""
 
 import math
 
+import numpy as np
 import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
-from objann.functions.params import collision_prob, derive_params
-from objann.operators import buffers, gamma
-from objann.plans.workloads import twin, twin_projections
+from objann.functions.params import collision_prob, derive_params, gamma_min, point_error_rates, radius_ladder
+from objann.operators import buffers, gamma, kernel
+from objann.operators.hashing import make_projections, window_hits
+from objann.operators.index import build_index, load_index, read_postings, save_index
+from objann.operators.pointknn import hashed_knn, linear_knn
 from objann.operators.search import object_knn
-from objann.sources.families import TWIN, Family, validate_points
+from objann.plans import workloads
+from objann.plans.workloads import family_points, projections
+from objann.sources.families import TWIN, Family, text_points, validate_points
 
 SF = "/root/testdata/sf0.01"
+POINTS = "object_id long, point_id long, vec array<long>"
 
 
 @pytest.mark.parametrize("n, static, query", [(50, (62, 32), (35, 23)), (100, (75, 39), (43, 29)), (1000, (112, 61), (63, 44)), (28049, (158, 88), (89, 64))])
@@ -20,31 +26,205 @@ def test_parameters(n, static, query):
     for kind, expected in (("static", static), ("query", query)):
         p = derive_params(kind, beta=25 / n)
         assert (p.m, p.l) == expected
+        near, far = point_error_rates(p)
+        assert near >= 1 - p.delta - 0.02 and far >= 1 - p.beta / 2 - 0.02
     assert math.isclose(collision_prob("static", 1, 2.184), 0.6394, abs_tol=1e-4)
     with pytest.raises(ValueError):
         derive_params("static", c=1.5)
 
 
+def test_radii_go_on_until_the_widest_span():
+    assert radius_ladder(2, 30) == [1, 2, 4, 8, 16, 32] and radius_ladder(1.5, 1) == [1]
+    near, far = Family("near", 4, 1000, 2.0), Family("far", 4, 1000, 2000.0)
+    p = derive_params("static")
+    for family in (near, far):
+        proj = make_projections(family, p)
+        longest = np.sqrt((proj.a.astype(float) ** 2).sum(axis=1).max()) / 4096
+        assert 2**proj.levels >= longest * family.diameter / p.w and (proj.levels == 0 or 2 ** (proj.levels - 1) < longest * family.diameter / p.w)
+
+
+def test_the_guarantee_says_nothing_over_one():
+    with pytest.warns(UserWarning):
+        assert gamma_min(12, 12, 0.1, 0.2, 0.25) > 1
+    assert gamma_min(600, 541, 0.1, 0.2, 0.25) < 0.05
+
+
 def test_hand_case(spark):
     u = Family("hand", 2, 100)
-    p = spark.createDataFrame([(1, 10, [0, 0]), (1, 11, [0, 300])], "object_id long, point_id long, vec array<long>")
-    q = spark.createDataFrame([(9, 1, [0, 0]), (9, 2, [200, 0])], "object_id long, point_id long, vec array<long>")
+    p = spark.createDataFrame([(1, 10, [0, 0]), (1, 11, [0, 300])], POINTS)
+    q = spark.createDataFrame([(9, 1, [0, 0]), (9, 2, [200, 0])], POINTS)
     for share, square in (((1, 4), 0), ((1, 2), 4), ((3, 4), 9), ((1, 1), 13)):
         assert [r.sq_dist for r in gamma.gamma_distance(p, q, u, share).collect()] == [square * 10000]
+        low, high = gamma.gamma_distance_sketch(p, q, u, share).first()[2:]
+        assert low <= math.sqrt(square) < high
     assert gamma.object_similarity(p, q, u, 2).first()[2:] == (2, 4)
     assert gamma.object_similarity(p, q, u, 3).first()[2:] == (3, 4)
+    assert gamma.gamma_distance(p, q.where("false"), u, (1, 2)).count() == 0 and gamma.gamma_distance(p.where("false"), q, u, (1, 2)).count() == 0
+
+
+def scattered(spark, seed=3, objects=40, unit=500):
+    rng = np.random.default_rng(seed)
+    rows, n = [], 0
+    for o in range(objects):
+        centre = rng.integers(-6 * unit, 6 * unit, 6)
+        for _ in range(int(rng.integers(1, 14))):
+            rows.append((o, n, (centre + rng.integers(-unit, unit, 6)).tolist()))
+            n += 1
+    return spark.createDataFrame(rows, POINTS), {o: np.array([v for a, _, v in rows if a == o]) for o in range(objects)}
+
+
+def test_share_distance_properties(spark, monkeypatch):
+    family = Family("loose", 6, 500, 60.0)
+    p, own = scattered(spark)
+    q = p.where("object_id < 6")
+    tables = {g: {(r.q_obj, r.object_id): r.sq_dist for r in gamma.gamma_distance(p, q, family, g).collect()} for g in ((1, 10), (1, 2), (1, 1))}
+    for share, table in tables.items():
+        for (a, b), found in table.items():
+            pairs = np.sort(((own[a][:, None] - own[b][None, :]) ** 2).sum(axis=2).ravel())
+            assert found == pairs[max(1, -(-share[0] * len(pairs) // share[1])) - 1]
+    for pair, low in tables[1, 10].items():
+        assert low <= tables[1, 2][pair] <= tables[1, 1][pair]
+        assert pair[1] >= 6 or tables[1, 2][pair[::-1]] == tables[1, 2][pair]
+    monkeypatch.setattr(kernel, "BLOCK", 40)  # many blocks, and query points in batches
+    batches = list(kernel.query_batches(q, 5))
+    assert len(batches) > 2 and sum(len(b.q_obj) for b in batches) == q.count()
+
+
+@pytest.mark.parametrize("kind, c", [("static", 2), ("static", 3), ("query", 2), ("query", 1.5)])
+@pytest.mark.parametrize("mode", ["carry", "restart"])
+def test_close_events_against_plain_counting(kind, c, mode):
+    rng = np.random.default_rng(7)
+    params = derive_params(kind, c=c, beta=0.3)
+    proj = make_projections(Family("kernel", 5, 700, 40.0), params)
+    q, x = rng.integers(-9000, 9000, (7, 5)), rng.integers(-9000, 9000, (130, 5))
+    x[:7] = q + rng.integers(-300, 300, (7, 5))
+    hq, hx = proj.hashes(q), proj.hashes(x)
+    present = rng.random(hx.shape) < 0.97
+    m, limits = params.m, proj.limits()
+    want = set()
+    for a in range(len(q)):
+        for b in range(len(x)):
+            hit = [[(hq[a, j] // r == hx[b, j] // r if kind == "static" else 2 * abs(hq[a, j] - hx[b, j]) <= r) and present[b, j] for j in range(m)] for r in limits]
+            count, done = 0, False
+            for t in range(len(limits)):
+                if mode == "restart":
+                    count, done = 0, False
+                for j in range(m):
+                    count += hit[t][j] and (mode == "restart" or t == 0 or not hit[t - 1][j])
+                    if count == params.l and not done:
+                        done = True
+                        want.add((-1 if mode == "carry" else t, t * (m + 1) + j + 1, a, b))
+    pairs = kernel.Collisions(hq, hx, present, limits, kind == "static")
+    got = {(turn, key, a, b) for turn, key, bits in kernel.close_events(pairs, m, params.l, range(len(limits)), mode) for a, b in zip(*map(list, kernel.bit_places(bits)))}
+    assert got == want and want
+    if mode == "carry":  # a level on its own: what came before is one event
+        level = 2
+        own = {(key, a, b) for turn, key, bits in kernel.close_events(pairs, m, params.l, range(level, level + 1)) for a, b in zip(*map(list, kernel.bit_places(bits)))}
+        end = (level - 1) * (m + 1) + m
+        assert own == {(max(key, end), a, b) for _, key, a, b in want if key <= level * (m + 1) + m}
+
+
+def answers(found):
+    return sorted(map(tuple, found.result.collect())), sorted(map(tuple, found.stats.collect()))
+
+
+def test_searches_do_not_depend_on_how_they_run(spark):
+    family = Family("loose", 6, 500, 24.0)
+    p, _ = scattered(spark, objects=40)
+    q = p.where("object_id % 17 = 2")
+    static = build_index(p, make_projections(family, derive_params("static", beta=25 / 60)), block_points=64)
+    for options, batch in (({}, None), ({"count_mode": "restart"}, None), ({}, 25)):
+        whole = answers(object_knn(static, q, family, (1, 2), 3, **options))
+        assert whole[0] and {s[1] for s in whole[1]} <= {"T1", "T2"}
+        assert answers(object_knn(static, q, family, (1, 2), 3, mode="iterative", proj_batch=batch, **options)) == whole
+
+
+def test_windows_of_a_real_ratio_search_alike_in_both_modes(spark):
+    family = Family("loose", 6, 500, 8.0)
+    p, _ = scattered(spark, objects=30)
+    q = p.where("object_id = 2")
+    index = build_index(p, make_projections(family, derive_params("query", c=1.5, beta=25 / 60)), block_points=64)
+    whole = answers(object_knn(index, q, family, (1, 2), 3, exclude_self=True))
+    assert answers(object_knn(index, q, family, (1, 2), 3, mode="iterative", exclude_self=True)) == whole
+    assert whole[0] and all(r[0] != r[2] for r in whole[0])
+
+
+def test_filtered_exhausted_and_empty_searches(spark):
+    family = Family("loose", 6, 500, 24.0)
+    p, _ = scattered(spark, objects=60)
+    index = build_index(p, make_projections(family, derive_params("static", beta=25 / 60)))
+    q = p.where("object_id IN (4, 15)")
+    some = spark.range(0, 60, 3).select(F.col("id").alias("object_id"))
+    pre = object_knn(index, q, family, (1, 2), 4, where=some).result.collect()
+    truth = gamma.exact_object_knn(p.join(some, "object_id", "left_semi"), q, family, (1, 2), 4).collect()
+    assert {r.object_id for r in pre} <= set(range(0, 60, 3)) and len(pre) == len(truth) == 8
+    post = object_knn(index, q, family, (1, 2), 4, where=some, filter_mode="post").result.collect()
+    assert {r.object_id for r in post} <= set(range(0, 60, 3)) and len(post) <= 8
+    over = object_knn(index, q, family, (1, 1), 59)
+    assert {r.status for r in over.stats.collect()} <= {"T2", "exhausted"}
+    none = object_knn(index, q.where("false"), family)
+    assert none.result.count() == 0 and none.stats.count() == 0
+
+
+def test_rings_read_every_posting_once(spark):
+    p, q = family_points(spark, SF, "twin")
+    index = build_index(p, projections("twin"))
+    hashed = index.proj.hashes(next(kernel.query_batches(q)).vec)
+    key = ["block", "proj", "bucket"]
+    rings = [{tuple(r) for r in read_postings(index, hashed, t, t - 1 if t else None).select(*key).collect()} for t in range(4)]
+    assert all(not (a & b) for k, a in enumerate(rings) for b in rings[:k])
+    assert set().union(*rings) == {tuple(r) for r in read_postings(index, hashed, 3).select(*key).collect()}
+    plan = read_postings(index, hashed, 1)._jdf.queryExecution().executedPlan().toString()
+    assert "PushedFilters" in plan and "GreaterThanOrEqual(bucket" in plan and "BroadcastHashJoin" in plan
+
+
+def test_saved_index_gives_the_same_answers(spark, tmp_path):
+    p, q = family_points(spark, SF, "twin")
+    index = build_index(p, projections("twin"))
+    save_index(index, str(tmp_path))
+    assert answers(object_knn(load_index(spark, str(tmp_path)), q, TWIN, (1, 2), 2)) == answers(object_knn(index, q, TWIN, (1, 2), 2))
 
 
 def test_twins_are_found(spark):
-    p, q = twin(spark, SF)
+    p, q = family_points(spark, SF, "twin")
     truth = {(r.q_obj, r.object_id) for r in gamma.exact_object_knn(p, q, TWIN, (1, 2), 2).collect()}
     assert truth == {(a, b) for a, o in ((8, 9), (98, 99), (23, 22), (77, 76), (17, 16), (80, 81)) for b in (a, o)}
-    found = object_knn(p, q, TWIN, twin_projections(), (1, 2), 2, n_objects=100)
+    found = object_knn(build_index(p, projections("twin")), q, TWIN, (1, 2), 2)
     assert {(r.q_obj, r.object_id) for r in found.result.collect()} == truth
     for r in found.stats.collect():
         assert r.status in ("T1", "T2") and (r.status == "T2" or r.n_candidates >= 27)
 
 
+def test_point_searches_against_plain_loops(spark):
+    family = Family("loose", 6, 500, 60.0)
+    p, own = scattered(spark, objects=30)
+    q = p.where("object_id IN (3, 9)")
+    rows = [(r.object_id, r.point_id, np.array(r.vec)) for r in p.collect()]
+    got = {}
+    for r in linear_knn(p, q, 7).collect():
+        got.setdefault(r.q_id, []).append((r.rank, r.sq_dist, r.object_id, r.point_id))
+    for o, i, v in rows:
+        if o in (3, 9):
+            best = sorted((int(((v - x) ** 2).sum()), a, b) for a, b, x in rows)[:7]
+            assert sorted(got[i]) == [(k + 1, *x) for k, x in enumerate(best)]
+    # with more close points allowed than there are, a hashed search ends by T2 or at the ladder's end with the nearest ones
+    wide = hashed_knn(p, q, family, make_projections(family, derive_params("query", c=1.5, beta=0.5)), 7)
+    assert {(r.q_id, r.rank) for r in wide.collect()} == {(i, k) for i in got for k in range(1, 8)}
+
+
+def test_windows_of_a_real_ratio(spark):
+    family = Family("loose", 6, 500, 60.0)
+    p, _ = scattered(spark, objects=8)
+    proj = make_projections(family, derive_params("query", c=1.5, beta=0.5))
+    hits = {tuple(r) for r in window_hits(p, p.where("object_id = 2"), proj, 3).select("proj", "q_id", "point_id").collect()}
+    rows = [(r.object_id, r.point_id, proj.hashes(np.array([r.vec]))[0]) for r in p.collect()]
+    reach = math.floor(proj.width * 1.5**3)
+    assert hits == {(j + 1, a, b) for o, a, x in rows if o == 2 for _, b, y in rows for j in range(proj.params.m) if 2 * abs(x[j] - y[j]) <= reach}
+
+
+# buffers
+
+
 def test_lru_and_per_bucket_hand_case():
     trace = pd.DataFrame({"level": 0, "proj": 1, "bucket": [1, 2, 1, 3, 2], "bytes": 1})
     lru = buffers.replay(trace, "lru", 2)
@@ -55,15 +235,106 @@ def test_lru_and_per_bucket_hand_case():
 
 
 def test_lru_hits_grow_with_the_buffer(spark):
-    p, q = twin(spark, SF)
-    trace = buffers.access_trace(p, q.where("object_id = 8"), twin_projections()).toPandas().sort_values("seq")
+    p, q = family_points(spark, SF, "twin")
+    trace = buffers.access_trace(p, q.where("object_id = 8"), projections("twin"), levels=3).toPandas().sort_values("seq")
     hits = [buffers.replay(trace, "lru", size)["hits"] for size in (2000, 8000, 32000)]
     assert hits == sorted(hits)
 
 
+def test_split_hand_case(spark):
+    needs = [(1, 3, 1, name, low, 8, b, 1) for name, low in ((1, 0), (2, 2), (3, 5)) for b in range(low, low + 8)]
+    df = spark.createDataFrame(needs, "q_obj long, level int, proj int, q_id long, low long, length long, bucket long, bytes long")
+    rows = sorted({(r.start, r.q_id, r.split_id + 1) for r in buffers.sliced(df, 2).collect()})
+    assert [f"{'ABC'[q - 1]}{s}" for _, q, s in rows] == ["A1", "B1", "A2", "C1", "B2", "C2"]
+
+
+class PlainBuffer:
+    """The eviction rule with lists, one page at a time."""
+
+    def __init__(self, capacity, remaining, recent_frac=0.1, far_frac=0.5, use_frequency=True):
+        self.capacity, self.left, self.held = capacity, dict(remaining), []
+        self.options = recent_frac, far_frac, use_frequency
+
+    def access(self, page, size):
+        recent, far_frac, use = self.options
+        self.left[page] = max(0, self.left.get(page, 0) - 1)
+        if any(p == page for p, _ in self.held):
+            return True, 0
+        if size > self.capacity:
+            return False, 0
+        gone = 0
+        while sum(s for _, s in self.held) + size > self.capacity:
+            names = [p for p, _ in self.held]
+            old = names[: len(names) - int(len(names) * recent)]
+            far = {p: abs(p[1] - page[1]) if p[0] == page[0] else math.inf for p in old}
+            limit = sorted(far.values())[int((len(old) - 1) * far_frac)]
+            best = min((p for p in old if far[p] >= limit), key=lambda p: (self.left.get(p, 0) if use else 0, -far[p], names.index(p)))
+            self.held = [x for x in self.held if x[0] != best]
+            gone += 1
+        self.held.append((page, size))
+        return False, gone
+
+
+@pytest.mark.parametrize("options", [{}, {"recent_frac": 0.0}, {"far_frac": 0.0}, {"use_frequency": False}])
+def test_frequency_eviction_against_plain_lists(options):
+    rng = np.random.default_rng(5)
+    pages = [(int(a), int(b)) for a, b in zip(np.sort(rng.integers(1, 4, 1500)), rng.integers(0, 40, 1500))]
+    size = {p: int(rng.integers(1, 9)) for p in pages}
+    counts = {p: pages.count(p) for p in set(pages)}
+    fast, plain = buffers.FrequencyBuffer(60, counts, **options), PlainBuffer(60, counts, **options)
+    assert [fast.access(p, size[p]) for p in pages] == [plain.access(p, size[p]) for p in pages]
+
+
+def test_reuse_distances_give_lru_hits(spark):
+    rng = np.random.default_rng(6)
+    trace = pd.DataFrame({"q_obj": 1, "seq": range(400), "level": 0, "proj": 1, "q_id": 1, "bucket": rng.integers(0, 30, 400), "bytes": 1, "split_id": 0})
+    df = spark.createDataFrame(trace)
+    for pages in (1, 5, 40):
+        assert buffers.lru_by_reuse_distance(df, pages).first().hits == buffers.replay(trace, "lru", pages)["hits"]
+
+
+def test_naive_strategies_differ_as_reported(spark):
+    p, q = family_points(spark, SF, "twin")
+    trace = buffers.access_trace(p, q.where("object_id IN (8, 23)"), projections("twin"), levels=3)
+    lru, each = (buffers.simulate_buffer(trace, policy, 60_000).toPandas() for policy in ("lru", "per_bucket"))
+    assert (each.io_ms.sum() < lru.io_ms.sum()) and (each.alg_cost.sum() > lru.alg_cost.sum())
+
+
+def test_estimates_are_close_to_what_queries_need(spark):
+    p, q = family_points(spark, SF, "twin")
+    proj = projections("twin")
+    sample = buffers.random_points(p, 400, TWIN.dim)
+    estimate = buffers.estimated_frequency(p, sample, proj, q.count(), sample.count(), levels=3)
+    exact = buffers.bucket_needs(p, q, proj, 3).groupBy("proj", "bucket").agg(F.count("*").alias("exact_freq"))
+    errors = buffers.frequency_error(exact, estimate).toPandas()
+    assert len(errors) == proj.params.m and errors["corr"].median() > 0.5
+    box = buffers.random_points(p, 50, TWIN.dim, source="box")
+    assert box.count() == 50 and buffers.estimated_frequency(p, box, proj, 72, 50, shape="equal_depth", levels=2).select("region").distinct().count() == 10
+
+
+# guarantee, families
+
+
+def test_guarantee_rates_reach_their_targets(spark):
+    rows = workloads.guarantee_rates(spark, "/root/testdata/sf0.001", "supp", seeds=3).collect()
+    assert rows and all(r.p1 is None or r.p1 >= r.p1_target for r in rows) and all(r.p2 for r in rows)
+    assert all(r.near_rate is None or r.near_rate >= r.near_target - 0.05 for r in rows)
+
+
 def test_validation(spark):
-    df = spark.createDataFrame([(1, 1, [1, 2]), (1, 2, None), (None, 3, [1, 2]), (1, 4, [1])], "object_id long, point_id long, vec array<long>")
+    df = spark.createDataFrame([(1, 1, [1, 2]), (1, 2, None), (None, 3, [1, 2]), (1, 4, [1])], POINTS)
     assert validate_points(df, 2, "drop").count() == 1
     with pytest.raises(ValueError):
         validate_points(df, 2)
     assert validate_points(df.where(F.lit(False)), 2).count() == 0
+
+
+def test_point_ids_that_would_repeat_are_an_error(spark):
+    text = spark.createDataFrame([(1, "\n" * 10_000 + "x" * 30)], "doc_id long, text string")
+    with pytest.raises(Exception, match="too many parts"):
+        text_points(text, "doc_id", F.col("text")).collect()
+
+
+def test_wide_vectors_are_refused():
+    with pytest.raises(ValueError):
+        kernel.QuerySet(np.array([1]), np.array([1]), np.array([[1 << 27]]))
