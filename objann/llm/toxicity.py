@@ -13,6 +13,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from objann.llm.near_join import shingle_sets
 from objann.llm.shared import read_table, scratch, text_or_empty, written
 
 MAX_LABELLED = 8000  # bound of the sample of labelled rows that a model is fitted on
@@ -359,13 +360,33 @@ def training_rows(documents: DataFrame, labels: DataFrame, most: int = MAX_LABEL
     usable = labels.where(F.col("toxic").isNotNull() & (F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 != 0))
     picked = usable.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
     rows = documents.select("doc_id", text_or_empty().alias("text")).join(F.broadcast(picked), "doc_id")
-    return rows.select("text", "toxic")
+    return rows.select("text", F.col("toxic").cast("int").alias("toxic"))
+
+
+def each_once(rows: DataFrame) -> DataFrame:
+    """``rows`` (text, toxic) with about one text of each group of copies and near copies, by the least of two hashes of its word n-grams.
+
+    The words of one toxic text that has many copies would else look like terms.  Of a group the
+    least by hash, label and text stays, so the choice does not depend on the order of rows.
+    """
+
+    def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            least = [(int(s.min()), int((s * np.uint64(0x9E3779B97F4A7C15)).min())) if len(s) else (0, 0) for s in shingle_sets(batch.column(0))]
+            signs = [pa.array(np.array([x[k] for x in least], np.uint64).view(np.int64)) for k in (0, 1)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, *signs], ["text", "toxic", "one", "two"])
+
+    out = rows.mapInArrow(sign, "text string, toxic int, one long, two long")
+    for name in ("one", "two"):
+        first = F.struct(F.xxhash64("text").alias("h"), "toxic", "text", "two")
+        out = out.groupBy(name).agg(F.min(first).alias("kept")).select("kept.text", "kept.toxic", "kept.two")
+    return out.select("text", "toxic")
 
 
 def fit(documents: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> ToxicityModel:
     """Lexicon and weights from a bounded sample of labelled rows (parameter ``most``).
 
-    1. Words and word beginnings by toxic and clean texts give the terms.  2. All words of the sample are
+    Groups of copies count about once.  1. Words and word beginnings by toxic and clean texts give the terms.  2. All words of the sample are
     matched against all terms with the automaton; what they match in toxic and in clean texts gives
     each term's strength when misspelled.  3. The features of the sample's texts give the weights.
     What comes to the driver are the features of enough toxic texts, the words that look like
@@ -376,7 +397,7 @@ def fit(documents: DataFrame, labels: DataFrame, most: int = MAX_LABELLED) -> To
 
 
 def _fitted(documents: DataFrame, labels: DataFrame, most: int) -> ToxicityModel:
-    sample = written(training_rows(documents, labels, most), "toxicity-sample")
+    sample = written(each_once(training_rows(documents, labels, most)), "toxicity-sample")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         found: dict[str, list[int]] = {}
