@@ -25,7 +25,7 @@ from objann.sources.tables import written
 
 HALF, QUARTER = (1, 2), (1, 4)
 # the stated query sets; they grow with the tables, but for the fixed objects of the planted pairs
-QUERIES = {"twin": "object_id IN (8, 98, 23, 77, 17, 80)", "user": "object_id % 150 = 3", "doc": "object_id % 250 = 7", "supp": "object_id % 50 = 1", "emb": "object_id % 10 = 0"}
+QUERIES = {"twin": "object_id IN (8, 98, 23, 77, 17, 80)", "user": "object_id % 150 = 3", "doc": "object_id % 250 = 7", "supp": "object_id % 500 = 1", "emb": "object_id % 10 = 0"}
 # share of false positives: 25 over the number of objects at scale 0.01
 BETA = {"twin": 0.25, "user": 25 / 150, "doc": 0.025, "supp": 0.25, "emb": 0.999}
 FAMILIES = {f.name: f for f in (TWIN, USER, DOC, SUPP, EMB)}
