@@ -3,6 +3,7 @@
 import shutil
 import subprocess
 import sys
+from datetime import datetime
 from pathlib import Path
 
 from pyspark.sql import functions as F
@@ -15,18 +16,11 @@ ROOT = Path(__file__).resolve().parents[1]
 SF = "/root/testdata/sf0.001"
 
 
-def folder_of(spark, tmp_path, rows):
-    spark.createDataFrame(rows, events.EVENT_SCHEMA).coalesce(1).write.parquet(str(tmp_path / "raw"))
-    target = tmp_path / "in"
-    target.mkdir(exist_ok=True)
-    return target, next((tmp_path / "raw").glob("*.parquet"))
-
-
 def test_late_rows_are_dropped_and_counted(spark, tmp_path):
-    stamp = lambda h, m=0: __import__("datetime").datetime(2024, 1, 1, h, m)
+    stamp = lambda h: datetime(2024, 1, 1, h)
     batches = [[(1, stamp(1), 1, "view", 1.0, "{}"), (2, stamp(9), 1, "view", 1.0, "{}")], [(3, stamp(2), 1, "view", 1.0, "{}"), (4, stamp(10), 2, "view", 1.0, "{}")], [(5, stamp(3), 1, "view", 1.0, "{}")]]
-    source = spark.readStream.schema(events.EVENT_SCHEMA).parquet(str(tmp_path / "in"))
     (tmp_path / "in").mkdir()
+    source = spark.readStream.schema(events.EVENT_SCHEMA).parquet(str(tmp_path / "in"))
     counted = events.tumbling_counts(source)
     seen, dropped = {}, 0
     for k, rows in enumerate(batches):
