@@ -235,16 +235,17 @@ def read_back(store: DataFrame) -> DataFrame:
     """(media, payload_bytes, payload_sha256, tail_crc32, media_bytes, media_sha256, n_chunks, feature) of every medium of a store.
 
     A medium is put together from its ordered chunk list alone: its own chunks, and the shared ones by
-    a join on digests.  Every chunk and the whole are checked; a missing or altered chunk is an error.
+    a join on digests, each fetched once however often the medium repeats it.  Every chunk and the whole are checked; a missing or altered chunk is an error.
     Media without shared chunks are read where they lie; no other data is moved.
     """
     dictionary = bytes(store.where(F.col("kind") == DICTIONARY).first().data)
     packs = store.where(F.col("kind") == PACK).select(F.col("name").alias("media"), "digests", "sizes", "shared", "data")
-    alone = packs.where(F.size("shared") == 0).withColumn("borrowed", F.expr("cast(null as array<struct<place:int,data:binary>>)"))
+    alone = packs.where(F.size("shared") == 0).withColumn("borrowed", F.expr("cast(null as array<struct<digest:binary,data:binary>>)"))
     some = packs.where(F.size("shared") > 0)
-    wanted = some.select("media", F.explode("shared").alias("place"), "digests").select("media", "place", F.col("digests")[F.col("place")].alias("digest"))
+    digests = F.array_distinct(F.transform("shared", lambda place: F.col("digests")[place]))
+    wanted = some.select("media", F.explode(digests).alias("digest"))
     chunks = store.where(F.col("kind") == CHUNK).select(F.col("name").alias("digest"), "data")
-    borrowed = wanted.join(chunks, "digest", "left").groupBy("media").agg(F.collect_list(F.struct("place", "data")).alias("borrowed"))
+    borrowed = wanted.join(chunks, "digest", "left").groupBy("media").agg(F.collect_list(F.struct("digest", "data")).alias("borrowed"))
     names = ["media", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "n_chunks", "feature"]
 
     def rebuild(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -253,13 +254,13 @@ def read_back(store: DataFrame) -> DataFrame:
             rows = []
             for k in range(batch.num_rows):
                 name, digests, sizes, shared, data, borrowed = (batch.column(c)[k].as_py() for c in range(6))
-                own, at, elsewhere = packer.unpack(data), 0, {b["place"]: b["data"] for b in borrowed or ()}
+                own, at, elsewhere = packer.unpack(data), 0, {b["digest"]: b["data"] for b in borrowed or ()}
                 chunks, kept = [], set(shared)
                 for place, size in enumerate(sizes):
                     if place in kept:
-                        if elsewhere.get(place) is None:
+                        if elsewhere.get(digests[place]) is None:
                             raise ValueError("a chunk is missing from the store")
-                        chunks.append(packer.unpack(elsewhere[place]))
+                        chunks.append(packer.unpack(elsewhere[digests[place]]))
                     else:
                         chunks.append(own[at : at + size])
                         at += size
