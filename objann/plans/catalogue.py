@@ -240,7 +240,7 @@ def queries() -> dict:
     }
     for name in ("twin", "user", "doc", "supp", "emb"):
         share = HALF if name == "twin" else (1, 20) if name == "doc" else (1, 10) if name == "emb" else QUARTER
-        out[f"method_grid_{name}"] = lambda spark, sf, name=name, share=share: workloads.method_grid(spark, sf, name, share)
+        out[f"method_grid_{name}"] = lambda spark, sf, name=name, share=share: workloads.method_grid(spark, sf, name, share, n_queries=2 if name == "supp" else 10)
     for name in ("twin", "user"):
         out |= {
             f"k_sweep_{name}": lambda spark, sf, name=name: workloads.k_sweep(spark, sf, name, HALF if name == "twin" else QUARTER),
