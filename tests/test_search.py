@@ -90,6 +90,35 @@ def test_share_distance_properties(spark, monkeypatch):
     assert len(batches) > 2 and sum(len(b.q_obj) for b in batches) == q.count()
 
 
+def test_a_task_keeps_the_nearest_objects_only(spark, monkeypatch):
+    p, _ = scattered(spark, objects=80)
+    copies = p.where("object_id < 5").select((F.col("object_id") + 200).alias("object_id"), (F.col("point_id") + 5000).alias("point_id"), "vec")
+    p, family = p.union(copies).repartition(3), Family("loose", 6, 500, 60.0)
+    q = p.where("object_id < 6")
+    every = sorted((r.q_obj, r.sq_dist, r.object_id) for r in gamma.gamma_distance(p, q, family, (1, 3)).collect())
+    want = [row for o in range(6) for row in [r for r in every if r[0] == o][:4]]
+    found = gamma.exact_object_knn(p, q, family, (1, 3), 4).collect()
+    assert sorted((r.q_obj, r.sq_dist, r.object_id) for r in found) == want  # copies tie, the smaller id first
+    batch = next(kernel.query_batches(q))
+    near = gamma.object_distances(p, batch, (1, 3), 4)
+    assert near.count() <= 6 * 4 * near.rdd.getNumPartitions() and gamma.object_distances(p, batch, (1, 3)).count() == len(every)  # a row a pair of objects
+    monkeypatch.setattr(gamma, "LARGE", 9)  # objects of more points are spread
+    assert sorted((r.q_obj, r.sq_dist, r.object_id) for r in gamma.gamma_distance(p, q, family, (1, 3)).collect()) == every
+
+
+def test_ranks_in_blocks_and_slices(monkeypatch):
+    rng = np.random.default_rng(5)
+    sizes = np.array([1, 3, 3, 3, 7, 40])
+    x, q = rng.integers(-50, 50, (sizes.sum(), 4)), rng.integers(-50, 50, (9, 4))
+    d = ((x[:, None] - q[None]) ** 2).sum(axis=2)
+    ranks, begins = np.maximum(1, sizes * 9 // 4), np.cumsum(sizes) - sizes
+    want = [np.sort(d[b : b + n].ravel())[r - 1] for b, n, r in zip(begins, sizes, ranks)]
+    for pairs, most in ((1 << 18, 1 << 24), (60, 1 << 24), (60, 30)):
+        monkeypatch.setattr(gamma, "PAIRS", pairs)
+        monkeypatch.setattr(gamma, "MOST_PAIRS", most)
+        assert gamma.share_distances(gamma._sides(x, False), sizes, gamma._sides(q, True), ranks).tolist() == want
+
+
 @pytest.mark.parametrize("kind, c", [("static", 2), ("static", 3), ("query", 2), ("query", 1.5)])
 @pytest.mark.parametrize("mode", ["carry", "restart"])
 def test_close_events_against_plain_counting(kind, c, mode):
