@@ -11,7 +11,7 @@ from objann.functions.params import collision_prob, derive_params, gamma_min, po
 from objann.operators import buffers, gamma, kernel
 from objann.operators.hashing import make_projections, window_hits
 from objann.operators.index import build_index, read_postings
-from objann.operators.pointknn import hashed_knn, linear_knn
+from objann.operators.pointknn import Nearest, hashed_knn, linear_knn
 from objann.operators.search import object_knn
 from objann.plans import workloads
 from objann.plans.workloads import family_points, projections
@@ -221,6 +221,21 @@ def test_point_searches_against_plain_loops(spark):
     assert {(r.q_id, r.rank) for r in wide.collect()} == {(i, k) for i in got for k in range(1, 8)}
 
 
+def test_lists_go_on_over_blocks():
+    rng = np.random.default_rng(2)
+    q, x = rng.integers(-20, 20, (150, 3)), rng.integers(-20, 20, (3000, 3))
+    obj, pid = rng.integers(0, 9, 3000), rng.permutation(3000)
+    held = Nearest(q, 12)
+    for a in range(0, 3000, 700):
+        held.add(obj[a : a + 700], pid[a : a + 700], x[a : a + 700])
+    got: dict = {}
+    for columns in held.lists():
+        for row, *found in zip(*(c.tolist() for c in columns)):
+            got.setdefault(row, []).append(tuple(found))
+    for k, v in enumerate(q):  # a task sends k' entries a query point, however many blocks it has; many ties
+        assert got[k] == sorted(zip(((x - v) ** 2).sum(axis=1).tolist(), obj.tolist(), pid.tolist()))[:12]
+
+
 def test_windows_of_a_real_ratio(spark):
     family = Family("loose", 6, 500, 60.0)
     p, _ = scattered(spark, objects=8)
