@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+from objann.functions.params import WIDTHS, collision_prob
 from objann.operators.hashing import Projections
 from objann.sources.families import PARTS, TURNS, Family
 
@@ -63,6 +64,18 @@ def family_points(name: str) -> str:
     }[name]()
 
 
+def parameters(delta: float = 0.1, c: float = 2) -> str:
+    """Projections and thresholds for beta = 25 over the number of objects, from the collision probabilities as values."""
+    columns = []
+    for kind, w in WIDTHS.items():
+        p1, p2 = (f"{collision_prob(kind, s, w)!r}::DOUBLE" for s in (1, c))
+        m = f"ceil(ln(1 / {delta}::DOUBLE) * (1 + z) ** 2 / (2 * ({p1} - {p2}) ** 2))"
+        columns.append(f"CAST({m} AS INTEGER) AS {kind}_m, CAST(ceil((z * {p1} + {p2}) / (1 + z) * {m}) AS INTEGER) AS {kind}_l")
+    counts = " UNION ALL ".join(f"SELECT '{name}' AS family, count(DISTINCT {key}) AS n FROM {table}" for name, table, key in (("supp", "lineitem", "l_suppkey"), ("part", "lineitem", "l_partkey"), ("order", "lineitem", "l_orderkey"), ("user", "events", "user_id")))
+    beta = "CASE WHEN n <= 25 THEN 0.999::DOUBLE ELSE 25.0::DOUBLE / n END"
+    return f"WITH c AS ({counts}), r AS (SELECT family, n, sqrt(ln(2 / ({beta})) / ln(1 / {delta}::DOUBLE)) AS z FROM c) SELECT family, CAST(n AS INTEGER) AS n_objects, {', '.join(columns)} FROM r"
+
+
 def shown(name: str) -> str:
     return f"WITH {family_points(name)} SELECT object_id, point_id, array_to_string(vec, ',') AS vec FROM pts"
 

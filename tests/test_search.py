@@ -13,7 +13,7 @@ from objann.operators.hashing import make_projections, window_hits
 from objann.operators.index import build_index, read_postings
 from objann.operators.pointknn import Nearest, hashed_knn, linear_knn
 from objann.operators.search import object_knn
-from objann.plans import workloads
+from objann.plans import search_sql, workloads
 from objann.plans.workloads import family_points, projections
 from objann.sources.families import TWIN, Family, text_points, validate_points
 
@@ -33,6 +33,18 @@ def test_parameters(n, static, query):
         derive_params("static", c=1.5)
 
 
+def test_parameters_follow_the_tables(spark):
+    import duckdb
+
+    own = workloads.parameter_table(spark, SF)
+    db = duckdb.connect()
+    for name in ("lineitem", "events"):
+        db.sql(f"CREATE VIEW {name} AS SELECT * FROM '{SF}/{name}.parquet'")
+    found = db.sql(search_sql.parameters())
+    assert own.columns == found.columns and sorted(map(tuple, own.collect())) == sorted(found.fetchall())
+    assert {r.family: r.n_objects for r in own.collect()}["supp"] == 100
+
+
 def test_radii_go_on_until_the_widest_span():
     assert radius_ladder(2, 30) == [1, 2, 4, 8, 16, 32] and radius_ladder(1.5, 1) == [1]
     near, far = Family("near", 4, 1000, 2.0), Family("far", 4, 1000, 2000.0)
