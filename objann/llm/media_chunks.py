@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import zlib
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -140,6 +141,7 @@ class Packer:
 
 
 PACK, CHUNK, DICTIONARY = 0, 1, 2  # kinds of rows of a chunk store
+ROUNDS = 4  # media are shuffled in so many shares, one after the other, so that a share's shuffle files go before the next
 STORE = "kind int, name binary, digests array<binary>, sizes array<int>, shared array<int>, data binary"
 
 
@@ -173,7 +175,7 @@ def chunk_store(df: DataFrame, listed: DataFrame, key: str = "doc_id", text: str
     A row of kind PACK is one distinct medium: its ordered list of chunk digests and sizes, the places
     whose chunks are kept elsewhere, and its other chunks.  A row of kind CHUNK is a chunk with more than one use, by its
     digest.  Joins on digests find these; the least (medium, place) of the uses hands its chunk in.
-    One row holds the dictionary that all pieces are compressed with.
+    A round handles the media of one share of the digests' checksums.  One row holds the dictionary that all pieces are compressed with.
     """
     spark = df.sparkSession
     source = _texts(df, key, text)
@@ -186,19 +188,22 @@ def chunk_store(df: DataFrame, listed: DataFrame, key: str = "doc_id", text: str
     manifests = lists.join(uses, "media", "left")
     release_shuffles(spark)  # before the one large shuffle
 
-    def compress(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        met: set[bytes] = set()
-        packer = Packer(dictionary)
-        for batch in (part for whole in batches for part in byte_slices(whole, 0, SLICE_BYTES)):
-            keys, data = [], []
-            for text in batch.column(0):
-                media = to_image(payload_of(text.as_buffer().to_pybytes()))
-                name = hashlib.sha256(media).digest()
-                if name not in met:
-                    met.add(name)
-                    keys.append(name)
-                    data.append(packer.pack(media))
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(data, pa.binary())], ["media", "data"])
+    def compress_share(share: int):
+        def compress(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            met: set[bytes] = set()
+            packer = Packer(dictionary)
+            for batch in (part for whole in batches for part in byte_slices(whole, 0, SLICE_BYTES)):
+                keys, data = [], []
+                for text in batch.column(0):
+                    media = to_image(payload_of(text.as_buffer().to_pybytes()))
+                    name = hashlib.sha256(media).digest()
+                    if zlib.crc32(name) % ROUNDS == share and name not in met:
+                        met.add(name)
+                        keys.append(name)
+                        data.append(packer.pack(media))
+                yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(data, pa.binary())], ["media", "data"])
+
+        return compress
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         packer = Packer(dictionary)
@@ -223,12 +228,18 @@ def chunk_store(df: DataFrame, listed: DataFrame, key: str = "doc_id", text: str
             kinds = (pa.int32(), pa.binary(), pa.list_(pa.binary()), pa.list_(pa.int32()), pa.list_(pa.int32()), pa.binary())
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds)], ["kind", "name", "digests", "sizes", "shared", "data"])
 
-    media = source.select("text").mapInArrow(compress, "media binary, data binary")
-    # a medium's manifest and its data, once from each task that met it, lie side by side in one partition
-    meet = manifests.select("media", "digests", "sizes", "uses", F.lit(None).cast("binary").alias("data")).unionByName(media, allowMissingColumns=True)
-    kept = meet.repartition("media").sortWithinPartitions("media", F.col("data").isNotNull()).mapInArrow(keep, STORE)
-    own = spark.createDataFrame([(DICTIONARY, bytearray(b"dictionary"), None, None, None, bytearray(dictionary))], STORE)
-    return written(kept.union(own), "media-store", lasting=True)
+    def kept(share: int) -> DataFrame:
+        media = source.select("text").mapInArrow(compress_share(share), "media binary, data binary")
+        # a medium's manifest and its data, once from each task that met it, lie side by side in one partition
+        own = manifests.where(F.crc32("media") % ROUNDS == share)
+        meet = own.select("media", "digests", "sizes", "uses", F.lit(None).cast("binary").alias("data")).unionByName(media, allowMissingColumns=True)
+        return meet.repartition("media").sortWithinPartitions("media", F.col("data").isNotNull()).mapInArrow(keep, STORE)
+
+    parts = [written(spark.createDataFrame([(DICTIONARY, bytearray(b"dictionary"), None, None, None, bytearray(dictionary))], STORE), "media-store", lasting=True)]
+    for share in range(ROUNDS):
+        parts.append(written(kept(share), "media-store", lasting=True))
+        release_shuffles(spark)
+    return reduce(DataFrame.union, parts)
 
 
 def read_back(store: DataFrame) -> DataFrame:

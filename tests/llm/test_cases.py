@@ -1,5 +1,6 @@
 """Edge cases and brute-force versions of the operators: nulls, empties, repeats, ties, clashing names, both sides of each switch."""
 
+import hashlib
 import random
 from types import SimpleNamespace
 
@@ -253,6 +254,19 @@ def test_media_come_from_the_store_alone(spark):
         media_chunks.read_back(altered).collect()
 
 
+def test_media_are_stored_in_rounds_that_release_their_shuffles(spark, monkeypatch):
+    df, texts = media_docs(spark)
+    released, tables = [], []
+    monkeypatch.setattr(media_chunks, "release_shuffles", lambda s: released.append(s))
+    whole = media_chunks.written
+    monkeypatch.setattr(media_chunks, "written", lambda d, name, **options: tables.append((name, whole(d, name, **options))) or tables[-1][1])
+    media_chunks.chunk_store(df, media_chunks.chunk_lists(df, "doc_id", "text"))
+    rounds = [{bytes(r.name) for r in t.where("kind = 0").collect()} for name, t in tables if name == "media-store"][1:]
+    assert len(rounds) == media_chunks.ROUNDS == len(released) - 1
+    names = {hashlib.sha256(media_chunks.to_image(media_chunks.payload_of((t or "").encode()))).digest() for t in texts}
+    assert set().union(*rounds) == names and sum(map(len, rounds)) == len(names) and max(map(len, rounds)) < len(names)
+
+
 def test_media_empty_table_and_other_columns(spark):
     df, texts = media_docs(spark)
     assert media_chunks.store_and_read(df.where("false")).count() == 0
