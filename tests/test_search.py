@@ -1,6 +1,7 @@
 """Parameters, hand cases, kernels and searches against plain loops, and what must not depend on how a query is run."""
 
 import math
+from dataclasses import replace
 
 import numpy as np
 import pandas as pd
@@ -12,7 +13,7 @@ from objann.operators import buffers, gamma, kernel
 from objann.operators.hashing import make_projections, window_hits
 from objann.operators.index import build_index, read_postings
 from objann.operators.pointknn import Nearest, hashed_knn, linear_knn
-from objann.operators.search import object_knn
+from objann.operators.search import _Search, object_knn
 from objann.plans import search_sql, workloads
 from objann.plans.workloads import family_points, projections
 from objann.sources.families import TWIN, Family, text_points, validate_points
@@ -179,6 +180,60 @@ def test_searches_do_not_depend_on_how_they_run(spark):
     assert answers(object_knn(static, q, family, (1, 2), 3, mode="iterative", exclude_self=True)) == whole
 
 
+def test_close_pairs_at_an_event_against_all_events():
+    rng, m, threshold, limits = np.random.default_rng(4), 30, 16, [1, 2, 4, 8]
+    hq, hx, known = rng.integers(-3, 3, (61, m)), rng.integers(-3, 3, (200, m)), rng.random((200, m)) < 0.9
+    begins = np.array([0, 24, 32, 120, 168])
+    ends = np.append(begins[1:], 200)
+    entry = np.full((61, 200), 1 << 20)
+    for _, key, bits in kernel.close_events(kernel.Collisions(hq, hx, known, limits, True), m, threshold, range(4)):
+        entry[kernel.bit_places(bits)] = key
+    at = kernel.CloseAt(hq, np.array([0, 20, 50]), limits, m, threshold)
+    block = at.block(hx, known, begins, ends)
+    some = block.some(np.array([0, 2, 3]))
+    for key in range(4 * (m + 1)):
+        for g, (a, b) in enumerate(at.groups):
+            want = [int((entry[a:b, x:y] <= key).sum()) for x, y in zip(begins, ends)]
+            assert block.counts(g, key).tolist() == want and some.counts(g, key).tolist() == [want[k] for k in (0, 2, 3)]
+            assert some.some(np.array([1, 2])).counts(g, key).tolist() == [want[2], want[3]]
+
+
+@pytest.mark.parametrize("chosen", [False, True])
+def test_first_candidates_against_all_events(spark, chosen):
+    family = Family("loose", 6, 500, 60.0)
+    p, points = scattered(spark, objects=200)
+    index = build_index(p, make_projections(family, derive_params("static", beta=25 / 200)), block_points=64)
+    held = index.table.where("proj = 0").select("block", "hashes").collect()
+    names = [o for r in held for o in np.frombuffer(bytes(r.hashes), np.int64).tolist()]
+    assert sorted(names) == sorted(points) and len(held) >= 32  # every object lies whole in one block
+    (q,) = kernel.query_batches(p.where("object_id IN (3, 40, 77)"))
+    if chosen:
+        sizes = index.sizes.where("object_id % 3 = 1")
+        index = replace(index, sizes=sizes, n_objects=sizes.count())
+    search = _Search(index, family, (1, 2), 3, (1, 5), "carry", "R", "distance", True, chosen)
+    search.enough = 9
+    rows = read_postings(index, index.proj.hashes(q.vec), search.top)
+    every = {(r.q_obj, r.object_id): r.key for r in search.keys(rows, q, range(search.top + 1)).collect()}
+    known = search.sampled_stops(rows, q)
+    first = {(r.q_obj, r.object_id): r.key for r in search.first_keys(rows, q, known).collect()}
+    assert first.items() <= every.items() and len(first) < len(every)
+    for name in q.sizes():
+        last = sorted(key for (o, _), key in every.items() if o == name)[8]
+        assert known.get(name, last) >= last and {x for x in every if x[0] == name and every[x] <= last} <= first.keys()
+
+
+def test_an_object_larger_than_a_block(spark):
+    p = spark.createDataFrame([(o, 1000 * o + k, [k, o, 7]) for o, n in ((1, 30), (2, 150), (3, 49), (4, 5)) for k in range(n)], POINTS)
+    index = build_index(p, make_projections(Family("hand", 3, 100), derive_params("static")), block_points=64)
+    held = {}
+    for r in index.table.where("proj = 0").collect():
+        names, sizes = np.frombuffer(bytes(r.hashes), np.int64).tolist(), np.frombuffer(bytes(r.members), np.int64).reshape(2, -1)[1].tolist()
+        assert len(names) == 1 or 2 not in names
+        for o, n in zip(names, sizes):
+            held.setdefault(o, []).append(n)
+    assert {o: sum(n) for o, n in held.items()} == {1: 30, 2: 150, 3: 49, 4: 5} and sorted(map(len, held.values()))[-2:] != [4, 4]
+
+
 def test_filtered_and_empty_searches(spark):
     family = Family("loose", 6, 500, 24.0)
     p, _ = scattered(spark, objects=60)
