@@ -9,8 +9,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from objann.functions.params import collision_prob, derive_params, gamma_min, point_error_rates, radius_ladder
-from objann.operators import buffers, gamma, kernel
-from objann.operators.hashing import make_projections, window_hits
+from objann.operators import buffers, gamma, kernel, search
+from objann.operators.hashing import inverted, make_projections, window_hits
 from objann.operators.index import build_index, read_postings
 from objann.operators.pointknn import Nearest, hashed_knn, linear_knn
 from objann.operators.search import _Search, object_knn
@@ -429,3 +429,47 @@ def test_point_ids_that_would_repeat_are_an_error(spark):
 def test_wide_vectors_are_refused():
     with pytest.raises(ValueError):
         kernel.QuerySet(np.array([1]), np.array([1]), np.array([[1 << 27]]))
+
+
+@pytest.mark.parametrize("k, share", [(2, (1, 3)), (25, (1, 4)), (1, (1, 1))])
+def test_the_highest_stop_is_that_of_the_searches(spark, monkeypatch, k, share):
+    p, _ = scattered(spark, objects=60)
+    family = Family("loose", 6, 500, 60.0)
+    proj, q = make_projections(family, derive_params("static", beta=0.25)), p.where("object_id % 6 = 1")
+    index = build_index(p, proj)
+    stops = [r.stop_level for r in object_knn(index, q, family, share, k).stats.collect()]
+    assert search.highest_stop(p, q, family, proj, share, k) == max(stops)
+    for name, value in {"PIECE": 5, "POINTS": 40, "FEW": 1, "SHARES": (2,)}.items():  # objects in pieces, small blocks, samples
+        monkeypatch.setattr(search, name, value)
+    assert search.highest_stop(p, q, family, proj, share, k) == max(stops)
+
+
+def test_buckets_are_counted_by_batch(spark):
+    p, _ = scattered(spark)
+    proj = make_projections(Family("loose", 6, 500, 60.0), derive_params("static", beta=0.25))
+    want = sorted((r.proj, r.bucket, r.n) for r in inverted(p, proj).groupBy("proj", "bucket").agg(F.count("*").alias("n")).collect())
+    found = buffers.bucket_catalog(p, proj)
+    assert sorted((r.proj, r.bucket, r.n_points) for r in found.collect()) == want
+    assert "Generate" not in found._jdf.queryExecution().toString()  # no row a point and projection
+    wide = np.array([[0, 5], [1 << 40, 5]])
+    assert buffers.bucket_counts(wide).to_pydict() == {"proj": [1, 1, 2], "bucket": [0, 1 << 40, 5], "n": [1, 1, 2]}
+
+
+def test_traces_are_made_where_they_are_replayed(spark):
+    p, _ = scattered(spark, objects=60)
+    proj, q = make_projections(Family("loose", 6, 500, 60.0), derive_params("static", beta=0.25)), p.where("object_id % 6 = 1")
+    catalog = buffers.bucket_catalog(p, proj)
+    pages = buffers.estimated_frequency(p, p.where("point_id % 7 = 0"), proj, 5, 40, levels=3).join(catalog, ["proj", "bucket"])
+    capacity = int(0.1 * p.count() * proj.params.m * buffers.ENTRY_BYTES)
+    replays = [
+        buffers.Replay("lru", "lru", capacity, 1, "independent"),
+        buffers.Replay("per_bucket", "per_bucket", capacity),
+        buffers.Replay("estimated", "frequency", capacity, 10, estimate="est_freq", options=(("frequencies", "estimated"),)),
+        buffers.Replay("exact", "frequency", capacity, 10, options=(("frequencies", "exact"), ("recent_frac", 0.0))),
+    ]
+    found = buffers.replayed_costs(q, pages.toPandas(), proj, 3, replays)
+    want = []
+    for r in replays:
+        trace = buffers.access_trace(p, q, proj, r.n_splits, 3, r.schedule).join(pages.select("proj", "bucket", "est_freq"), ["proj", "bucket"])
+        want += buffers.simulate_buffer(trace, r.policy, r.capacity, r.name, **dict(r.options)).collect()
+    assert len(want) == 40 and sorted(map(tuple, found.collect())) == sorted(map(tuple, want))
