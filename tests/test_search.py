@@ -473,3 +473,45 @@ def test_traces_are_made_where_they_are_replayed(spark):
         trace = buffers.access_trace(p, q, proj, r.n_splits, 3, r.schedule).join(pages.select("proj", "bucket", "est_freq"), ["proj", "bucket"])
         want += buffers.simulate_buffer(trace, r.policy, r.capacity, r.name, **dict(r.options)).collect()
     assert len(want) == 40 and sorted(map(tuple, found.collect())) == sorted(map(tuple, want))
+
+
+def test_rates_are_summed_where_objects_are_whole(spark):
+    p, own = scattered(spark, objects=30)
+    family, params = Family("loose", 6, 500, 60.0), derive_params("static", beta=0.25)
+    projs = [make_projections(family, params, seed=s) for s in (1, 2)]
+    batch = next(kernel.query_batches(p.where("object_id < 3")))
+    found = workloads.close_rates(p, batch, family, projs, [1, 3], (1, 4), (1, 5))
+    assert found.count() == 2 * 2 * 3 and all(c not in found.columns for c in ("object_id", "point_id"))
+    for r in found.collect():
+        near_limit, far_limit = ((step * 2**r.level * 500) ** 2 for step in (1, 2))
+        want = np.zeros(7, np.int64)
+        for vec in own.values():
+            q, proj = own[r.q_obj], projs[r.seed]
+            d = ((q[:, None] - vec[None]) ** 2).sum(axis=2)
+            hq, hx = (proj.hashes(v) // 2**r.level for v in (q, vec))
+            close = (hq[:, None] == hx[None]).sum(axis=2) >= params.l
+            dist = np.sort(d.ravel())[max(1, -(-d.size // 4)) - 1]
+            candidate, high = close.sum() * 20 >= d.size * 4, close.sum() >= d.size * (0.25 + params.beta / 2)
+            near, far = d <= near_limit, d > far_limit
+            want += [dist <= near_limit and candidate, dist <= near_limit, high and dist > far_limit, near.sum(), (near & close).sum(), far.sum(), (far & close).sum()]
+        assert [r[c] for c in workloads.RATES] == want.tolist()
+
+
+def test_seeds_give_the_events_of_their_own_searches(spark):
+    p, _ = scattered(spark, objects=60)
+    family, params = Family("loose", 6, 500, 60.0), derive_params("static", beta=0.25)
+    projs = [make_projections(family, params, seed=s) for s in (1, 2)]
+    q = p.where("object_id % 20 = 1")
+    batch = next(kernel.query_batches(q))
+    found = workloads.seeded_keys(p, batch, projs, (1, 3), 4)
+    one_task = workloads.seeded_keys(p.coalesce(1), batch, projs, (1, 3), 4).collect()
+    for s, proj in enumerate(projs):
+        index = build_index(p, proj)
+        own = _Search(index, family, (1, 3), 1, (1, 5), "carry", "R", "distance", True)
+        every = sorted((r.q_obj, r.key, r.object_id) for r in own.keys(read_postings(index, proj.hashes(batch.vec), proj.levels), batch, range(proj.levels + 1)).collect())
+        for o in batch.sizes():
+            mine = [row for row in every if row[0] == o]
+            last = mine[:4][-1][1]
+            for rows in (found.collect(), one_task):
+                some = sorted((o, r.key, r.object_id) for r in rows if r.q_obj == o * 2 + s)
+                assert [r for r in some if r[1] <= last] == [r for r in mine if r[1] <= last] and set(some) <= set(mine)
