@@ -12,8 +12,8 @@ from objann.functions.params import collision_prob, derive_params, gamma_min, po
 from objann.operators import buffers, gamma, kernel, search
 from objann.operators.hashing import inverted, make_projections, window_hits
 from objann.operators.index import build_index, read_postings
-from objann.operators.pointknn import Nearest, hashed_knn, linear_knn
-from objann.operators.search import _Search, object_knn
+from objann.operators.pointknn import ClosePairs, Nearest, Stops, hashed_knn, linear_knn
+from objann.operators.search import _Search, object_knn, object_knn_of
 from objann.plans import search_sql, workloads
 from objann.plans.workloads import family_points, projections
 from objann.sources.families import TWIN, Family, text_points, validate_points
@@ -288,6 +288,42 @@ def test_point_searches_against_plain_loops(spark):
     assert {(r.q_id, r.rank) for r in wide.collect()} == {(i, k) for i in got for k in range(1, 8)}
 
 
+@pytest.mark.parametrize("kind, c", [("static", 2), ("static", 3), ("query", 2), ("query", 1.5)])
+def test_close_pairs_up_to_each_query_points_stop(kind, c):
+    rng = np.random.default_rng(4)
+    proj = make_projections(Family("kernel", 5, 700, 40.0), derive_params(kind, c=c, beta=0.3))
+    q, x = rng.integers(-9000, 9000, (9, 5)), rng.integers(-9000, 9000, (300, 5))
+    x[:9] = q + rng.integers(-300, 300, (9, 5))
+    m, last = proj.params.m, proj.levels * (proj.params.m + 1) + proj.params.m
+    near = ClosePairs(q, proj.hashes(q), proj)
+    event = np.full((len(q), len(x)), last + 1)
+    for _, key, bits in kernel.close_events(kernel.Collisions(proj.hashes(q), proj.hashes(x), None, proj.limits(), proj.static), m, proj.params.l, range(proj.levels + 1)):
+        event[kernel.bit_places(bits)] = key
+    stop = rng.integers(m, last + 1, len(q))
+    want = {(a, b, int(event[a, b]), int(((q[a] - x[b]) ** 2).sum())) for a, b in zip(*np.nonzero(event <= stop[:, None]))}
+    assert set(zip(*map(np.ndarray.tolist, near.block(x).pairs(stop)))) == want and want
+    # a block's own bound holds enough pairs and ends few projections after the event that does; a task's is exact
+    reached = near.block(x).reached(np.full(len(q), last), 40)
+    exact = np.minimum(np.sort(event, axis=1)[:, 39], last)
+    assert (reached >= exact).all() and (reached <= exact + 8).all()
+    stops = Stops(len(q), 40, 301, last)
+    for a in range(0, 300, 100):
+        rows, _, keys, _ = near.block(x[a : a + 100]).pairs(stops.at)
+        stops.add(rows, keys, keys)
+    assert stops.at.tolist() == exact.tolist()
+
+
+def test_one_pass_serves_several_k(spark):
+    family = Family("loose", 6, 500, 60.0)
+    p, _ = scattered(spark, objects=30)
+    index = build_index(p, make_projections(family, derive_params("static", beta=0.5)))
+    q = p.where("object_id IN (2, 5, 11)")
+    found = object_knn_of(index, q, family, (1, 3), (1, 4, 9))
+    for k, rows in found.items():
+        assert sorted(map(tuple, rows.collect())) == sorted(map(tuple, object_knn(index, q, family, (1, 3), k).result.collect()))
+    assert len(found) == 3
+
+
 def test_lists_go_on_over_blocks():
     rng = np.random.default_rng(2)
     q, x = rng.integers(-20, 20, (150, 3)), rng.integers(-20, 20, (3000, 3))
