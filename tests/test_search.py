@@ -12,7 +12,7 @@ from objann.functions.params import collision_prob, derive_params, gamma_min, po
 from objann.operators import buffers, gamma, kernel, search
 from objann.operators.hashing import inverted, make_projections, window_hits
 from objann.operators.index import build_index, read_postings
-from objann.operators.pointknn import ClosePairs, Nearest, Stops, hashed_knn, linear_knn
+from objann.operators.pointknn import ClosePairs, Nearest, Stops, hashed_knn, hashed_lists, linear_knn
 from objann.operators.search import _Search, object_knn, object_knn_of
 from objann.plans import search_sql, workloads
 from objann.plans.workloads import family_points, projections
@@ -324,6 +324,17 @@ def test_one_pass_serves_several_k(spark):
     assert len(found) == 3
 
 
+@pytest.mark.parametrize("kind", ["static", "query"])
+def test_hashed_lists_of_several_k_are_those_of_each(spark, kind):
+    family = Family("loose", 6, 500, 60.0)
+    p, _ = scattered(spark, objects=30)
+    q, proj = p.where("object_id IN (3, 9)"), make_projections(family, derive_params(kind, beta=0.5))
+    every = hashed_lists(p, q, family, proj, (4, 20, 9), 0.02).collect()
+    for k in (4, 9, 20):
+        assert sorted(tuple(r)[1:] for r in every if r.k_prime == k) == sorted(map(tuple, hashed_knn(p, q, family, proj, k, 0.02).collect()))
+    assert {r.k_prime for r in every} == {4, 9, 20}
+
+
 def test_lists_go_on_over_blocks():
     rng = np.random.default_rng(2)
     q, x = rng.integers(-20, 20, (150, 3)), rng.integers(-20, 20, (3000, 3))
