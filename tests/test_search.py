@@ -459,6 +459,20 @@ def test_guarantee_rates_reach_their_targets(spark):
     assert all(r.near_rate is None or r.near_rate >= r.near_target - 0.05 for r in rows)
 
 
+def test_guarantee_rates_cover_every_level_and_all_batches(spark, monkeypatch):
+    # objects of one point on a line: the nearest two within the first radius, the widest beyond the eighth
+    family = Family("line", 2, 100, 1000.0)
+    p = spark.createDataFrame([(o, o, [x, 0]) for o, x in enumerate([0, 50, 400, 1_500, 6_000, 20_000])], POINTS)
+    monkeypatch.setitem(workloads.FAMILIES, "line", family)
+    monkeypatch.setitem(workloads.BETA, "line", 0.25)
+    monkeypatch.setattr(workloads, "family_points", lambda *_: (p, p.where("object_id < 4")))
+    whole = workloads.guarantee_rates(spark, "", "line", seeds=2).collect()
+    assert sorted((r.seed, r.level) for r in whole) == [(s, t) for s in range(2) for t in range(10)]
+    monkeypatch.setattr(workloads, "query_batches", lambda q: kernel.query_batches(q, 1))
+    batched = workloads.guarantee_rates(spark, "", "line", seeds=2).collect()
+    assert sorted(map(str, batched)) == sorted(map(str, whole))
+
+
 def test_validation(spark):
     df = spark.createDataFrame([(1, 1, [1, 2]), (1, 2, None), (None, 3, [1, 2]), (1, 4, [1])], POINTS)
     assert validate_points(df, 2, "drop").count() == 1
