@@ -14,7 +14,7 @@ from objann.operators.hashing import inverted, make_projections, window_hits
 from objann.operators.index import build_index, read_postings
 from objann.operators.pointknn import ClosePairs, Nearest, Stops, hashed_knn, hashed_lists, linear_knn
 from objann.operators.search import _Search, object_knn, object_knn_of
-from objann.plans import search_sql, workloads
+from objann.plans import catalogue, search_sql, workloads
 from objann.plans.workloads import family_points, projections
 from objann.sources.families import TWIN, Family, text_points, validate_points
 
@@ -473,6 +473,16 @@ def test_guarantee_rates_cover_every_level_and_all_batches(spark, monkeypatch):
     assert sorted(map(str, batched)) == sorted(map(str, whole))
 
 
+@pytest.mark.parametrize("name", ["twin", "user", "doc", "supp", "emb"])
+def test_method_grids_take_ten_query_objects(monkeypatch, name):
+    asked = {}
+    monkeypatch.setattr(workloads, "stored_index", lambda *_: type("Stored", (), {"points": None, "proj": None}))
+    monkeypatch.setattr(workloads, "random_queries", lambda p, n: asked.setdefault("n", n) and 1 / 0)
+    with pytest.raises(ZeroDivisionError):
+        catalogue.queries()[f"method_grid_{name}"](None, "")
+    assert asked == {"n": 10}
+
+
 def test_validation(spark):
     df = spark.createDataFrame([(1, 1, [1, 2]), (1, 2, None), (None, 3, [1, 2]), (1, 4, [1])], POINTS)
     assert validate_points(df, 2, "drop").count() == 1
