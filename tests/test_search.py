@@ -586,3 +586,60 @@ def test_seeds_give_the_events_of_their_own_searches(spark):
             for rows in (found.collect(), one_task):
                 some = sorted((o, r.key, r.object_id) for r in rows if r.q_obj == o * 2 + s)
                 assert [r for r in some if r[1] <= last] == [r for r in mine if r[1] <= last] and set(some) <= set(mine)
+
+
+def test_a_share_of_the_objects_bounds_the_search_of_all(spark, monkeypatch):
+    p, _ = scattered(spark, objects=120)
+    family, params = Family("loose", 6, 500, 60.0), derive_params("static", beta=0.25)
+    projs = [make_projections(family, params, seed=s) for s in (1, 2)]
+    batch = next(kernel.query_batches(p.where("object_id % 40 = 1")))
+    monkeypatch.setattr(workloads, "SHARE", 3)
+    known = workloads.seeded_stops(p, workloads.object_sizes(p), batch, projs, (1, 3), 4)
+    every = workloads.seeded_keys(p, batch, projs, (1, 3), 10_000).collect()
+    bounded = workloads.seeded_keys(p, batch, projs, (1, 3), 4, known).collect()
+    assert known and set(bounded) < set(every)
+    for name in {r.q_obj for r in every}:
+        keys = sorted(r.key for r in every if r.q_obj == name)
+        assert known.get(name, keys[3]) >= keys[3]
+        kept = sorted(r.key for r in bounded if r.q_obj == name)
+        assert kept[:4] == keys[:4] and kept.count(keys[3]) == keys.count(keys[3]) and all(k <= known.get(name, k) for k in kept)
+
+
+def test_first_events_by_one_pass_of_a_level():
+    rng = np.random.default_rng(5)
+    m, threshold, limits = 9, 5, [1, 2, 4, 8]
+    hx, hq = rng.integers(0, 12, (120, m)), rng.integers(0, 12, (10, m))
+    begins, ends = np.arange(0, 120, 8), np.arange(8, 128, 8)
+    at = kernel.CloseAt(hq, np.array([0, 4]), limits, m, threshold)
+    block = at.block(hx, None, begins, ends)
+    need = rng.integers(1, 9, len(begins))
+    for group, (a, b) in enumerate(at.groups):
+        events = range(1, 4 * (m + 1))
+        counts = np.array([block.counts(group, key) for key in events])
+        last = events[-1]
+        some = np.flatnonzero(counts[-1] >= need)
+        want = {int(o): int(events[int((counts[:, o] >= need[o]).argmax())]) for o in some}
+        want = {o: key + (1 if key % (m + 1) == 0 else 0) for o, key in want.items()}
+        every = search.located(block.some(some), group, m, need[some], last, counts[-1][some])
+        assert {int(some[o]): key for o, key, _ in every} == want
+        assert all(n == counts[key - 1][some[o]] for o, key, n in every)
+        few = search.located(block.some(some), group, m, need[some], last, counts[-1][some], 3)
+        third = sorted(want.values())[2]
+        assert {int(some[o]): key for o, key, _ in few} == {o: key for o, key in want.items() if key <= third}
+
+
+def test_query_points_that_share_cells_are_counted_once(monkeypatch):
+    rng = np.random.default_rng(6)
+    hq = np.sort(rng.integers(0, 40, (64, 12)), axis=0)
+    at = kernel.CloseAt(hq, np.array([0]), [1, 8, 64], 12, 7)
+    block = at.block(rng.integers(0, 40, (64, 12)), None, np.array([0, 32]), np.array([32, 64]))
+    took, bits = [], kernel.close_bits
+    monkeypatch.setattr(kernel, "WORDS", 8)
+    monkeypatch.setattr(kernel, "close_bits", lambda rows, shape, *rest: bits([took.append(shape[0]) or r for r in rows], shape, *rest))
+    for level in (1, 2):
+        took.clear()
+        cells = (hq // 8**level)[:, None] == (block.hx.T // 8**level)[None]
+        want = (cells.sum(axis=2) >= 7).reshape(64, 2, 32).sum(axis=(0, 2))
+        assert block.counts(0, level * 13 + 12).tolist() == want.tolist()
+        assert sum(took) < 64 * 12
+    assert sum(took) == 12  # one cell holds all query points
